@@ -23,6 +23,12 @@ def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(table(spark, sf_dir, "documents"), tokenizer("word_bpe_49k.json"))
 
 
+def op6_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .lm import language_model_scores
+
+    return language_model_scores(table(spark, sf_dir, "documents"))
+
+
 def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .byte_bpe import round_trip
 
@@ -35,6 +41,6 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(table(spark, sf_dir, "documents").select("doc_id", "text", "source")).select("doc_id", "size", "source_size", "target", "taken")
 
 
-QUERIES: dict[str, Query] = {q.__name__: q for q in (op3_token_counts, op9_byte_bpe, op10_mixing)}
+QUERIES: dict[str, Query] = {q.__name__: q for q in (op3_token_counts, op6_language_model, op9_byte_bpe, op10_mixing)}
 
 ORACLE_SQL: dict[str, str] = {}
