@@ -23,6 +23,12 @@ def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(table(spark, sf_dir, "documents"), tokenizer("word_bpe_49k.json"))
 
 
+def op5_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .warc import archived
+
+    return archived(table(spark, sf_dir, "pages"))
+
+
 def op6_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .lm import language_model_scores
 
@@ -49,6 +55,15 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(table(spark, sf_dir, "documents").select("doc_id", "text", "source")).select("doc_id", "size", "source_size", "target", "taken")
 
 
-QUERIES: dict[str, Query] = {q.__name__: q for q in (op3_token_counts, op6_language_model, op7_quality, op9_byte_bpe, op10_mixing)}
+QUERIES: dict[str, Query] = {q.__name__: q for q in (op3_token_counts, op5_warc, op6_language_model, op7_quality, op9_byte_bpe, op10_mixing)}
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {
+    "op5_warc": """
+        WITH p AS (SELECT page_id, octet_length(encode(coalesce(html, ''))) AS n, sha256(coalesce(html, '')) AS digest FROM pages),
+        f AS (SELECT digest, min(page_id) AS first_id FROM p WHERE n >= 100 GROUP BY digest)
+        SELECT p.page_id, p.n::BIGINT AS payload_bytes, p.digest AS payload_digest,
+            CASE WHEN p.n >= 100 AND p.page_id > f.first_id THEN 'revisit' ELSE 'response' END AS record_type,
+            CASE WHEN p.n >= 100 AND p.page_id > f.first_id THEN f.first_id END AS refers_to
+        FROM p LEFT JOIN f USING (digest)
+    """,
+}
