@@ -43,6 +43,12 @@ def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", (remainder("doc_id", 4) == 2).alias("held_out"), "score", "predicted")
 
 
+def op8_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .jaccard import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .byte_bpe import round_trip
 
@@ -55,7 +61,7 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(table(spark, sf_dir, "documents").select("doc_id", "text", "source")).select("doc_id", "size", "source_size", "target", "taken")
 
 
-QUERIES: dict[str, Query] = {q.__name__: q for q in (op3_token_counts, op5_warc, op6_language_model, op7_quality, op9_byte_bpe, op10_mixing)}
+QUERIES: dict[str, Query] = {q.__name__: q for q in (op3_token_counts, op5_warc, op6_language_model, op7_quality, op8_ngram_jaccard, op9_byte_bpe, op10_mixing)}
 
 ORACLE_SQL: dict[str, str] = {
     "op5_warc": """
