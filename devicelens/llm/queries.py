@@ -17,6 +17,12 @@ def tokenizer(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op2_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .repeats import remove_repeats
+
+    return remove_repeats(table(spark, sf_dir, "documents")).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+
+
 def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .token_counts import token_counts
 
@@ -61,7 +67,7 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(table(spark, sf_dir, "documents").select("doc_id", "text", "source")).select("doc_id", "size", "source_size", "target", "taken")
 
 
-QUERIES: dict[str, Query] = {q.__name__: q for q in (op3_token_counts, op5_warc, op6_language_model, op7_quality, op8_ngram_jaccard, op9_byte_bpe, op10_mixing)}
+QUERIES: dict[str, Query] = {q.__name__: q for q in (op2_suffix_array, op3_token_counts, op5_warc, op6_language_model, op7_quality, op8_ngram_jaccard, op9_byte_bpe, op10_mixing)}
 
 ORACLE_SQL: dict[str, str] = {
     "op5_warc": """
