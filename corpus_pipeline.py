@@ -1,8 +1,62 @@
-"""The corpus pipeline: documents go through STAGES in turn."""
+"""The corpus pipeline: documents pass STAGES in turn, each written as Parquet and read again before the next.
 
-STAGES: list = []
-ORACLE_SQL = None
+quality   documents that the quality classifier rejects go (score below its threshold)
+dedup     of each group of near-duplicates (4-word Jaccard joins at 85 %) the document with the smallest doc_id stays
+repeats   byte strings of 200 bytes that occur again anywhere in the corpus are cut out; a character of which bytes went goes whole;
+          documents of which no word is left go, and n_chars follows the text
+mix       sources come to their target weights: documents are left out, or repeated up to 3 times
+encode    token ids of the byte-level BPE: doc_id, source, ids and n_tokens
+"""
 
+from __future__ import annotations
 
-def run(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/documents.parquet")
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from devicelens.llm.byte_bpe import encode_ids_of
+from devicelens.llm.common import WORD, scratch
+from devicelens.llm.jaccard import near_duplicates
+from devicelens.llm.mixing import mix
+from devicelens.llm.quality import fit, quality_scores
+from devicelens.llm.queries import tokenizer
+from devicelens.llm.repeats import remove_repeats
+
+COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
+
+
+def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    model = fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    return quality_scores(docs.select(*COLUMNS), model, keep=COLUMNS).filter("predicted = 1").select(*COLUMNS)
+
+
+def dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    kept = near_duplicates(docs.select("doc_id", "text")).filter("doc_id = component_id").select("doc_id").distinct()
+    return docs.select(*COLUMNS).join(kept, "doc_id", "left_semi")
+
+
+def repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    left = remove_repeats(docs.select(*COLUMNS), carry=["lang", "source"]).withColumn("text", F.col("kept_text"))
+    return left.filter(F.col("text").rlike(WORD)).withColumn("n_chars", F.char_length("text").cast("long")).select(*COLUMNS)
+
+
+def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    times = mix(docs.select(*COLUMNS)).filter("taken > 0").withColumn("times", (F.col("taken") / F.col("size")).cast("int"))
+    return times.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("times")))).select(*COLUMNS)
+
+
+def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return encode_ids_of(docs, tokenizer("byte_bpe_50k.json"), ["doc_id", "source"])
+
+
+STAGES = [("quality", quality), ("dedup", dedup), ("repeats", repeats), ("mix", mixed), ("encode", encode)]
+
+ORACLE_SQL = None  # nearest neighbours, suffix arrays and merges aren't SQL; tests hold the stages against brute force
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    folder = scratch(spark, "pipeline")
+    for name, stage in STAGES:
+        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
+        docs = spark.read.parquet(f"{folder}/{name}")
+    return docs

@@ -20,6 +20,7 @@ import pyarrow as pa
 import regex
 from pyspark import SparkFiles
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import types as T
 
 from .common import text_or_empty
 from .lexicon import Lexicon, compile_lexicon
@@ -158,16 +159,24 @@ def ship_lexicon(spark: SparkSession, path: str) -> str:
     return _SHIPPED[key]
 
 
-def encode_ids(docs: DataFrame, tokenizer_path: str) -> DataFrame:
-    """doc_id and the ids of every row; map-only."""
+def encode_ids_of(docs: DataFrame, tokenizer_path: str, keep: list[str]) -> DataFrame:
+    """The named columns, ids and n_tokens of every row; map-only."""
     name = ship_lexicon(docs.sparkSession, tokenizer_path)
+    kept = docs.select(*keep)
 
     def encoded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = BpeCodec.of(tokenizer_path, SparkFiles.get(name))
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([codec.encode(t.as_py()) for t in batch.column(1)], pa.list_(pa.int32()))], ["doc_id", "ids"])
+            ids = [codec.encode(t.as_py()) for t in batch.column(len(keep))]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(ids, pa.list_(pa.int32())), pa.array(map(len, ids), pa.int64())], [*keep, "ids", "n_tokens"])
+
+    schema = T.StructType(kept.schema.fields + T.StructType.fromDDL("ids array<int>, n_tokens long").fields)
+    return docs.select(*keep, text_or_empty().alias("_text")).mapInArrow(encoded, schema)
 
-    return docs.select("doc_id", text_or_empty().alias("text")).mapInArrow(encoded, "doc_id long, ids array<int>")
+
+def encode_ids(docs: DataFrame, tokenizer_path: str) -> DataFrame:
+    """doc_id and the ids of every row; map-only."""
+    return encode_ids_of(docs, tokenizer_path, ["doc_id"]).drop("n_tokens")
 
 
 def decode_ids(encoded: DataFrame, tokenizer_path: str) -> DataFrame:

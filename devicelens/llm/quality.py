@@ -19,6 +19,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import remainder, text_or_empty
 
@@ -103,18 +104,20 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> V
     return VotingModel(counts, np.array(got.column("label").to_pylist(), np.float64))
 
 
-def quality_scores(docs: DataFrame, model: VotingModel, threshold: float = THRESHOLD) -> DataFrame:
-    """The rows of docs with score and predicted; map-only. A task places and compares block after block."""
+def quality_scores(docs: DataFrame, model: VotingModel, threshold: float = THRESHOLD, keep: list[str] | None = None) -> DataFrame:
+    """doc_id or the columns named in keep, with score and predicted; map-only. A task places and compares block after block."""
     shared = docs.sparkSession.sparkContext.broadcast(model)  # sample_rows vectors of fixed length
+    kept = docs.select(*(keep or ["doc_id"]))
+    names = kept.columns
 
     def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = batch.column(batch.schema.get_field_index("text"))
+            texts = batch.columns[-1]
             found = [
-                shared.value.scores(np.array([trigram_counts((t or "").encode()) for t in texts[a : a + BLOCK_ROWS].to_pylist()]).reshape(-1, BINS))
+                shared.value.scores(np.array([trigram_counts(t.encode()) for t in texts[a : a + BLOCK_ROWS].to_pylist()]).reshape(-1, BINS))
                 for a in range(0, batch.num_rows, BLOCK_ROWS)
             ]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.concatenate(found or [np.empty(0)]), pa.float64())], ["doc_id", "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(np.concatenate(found or [np.empty(0)]), pa.float64())], [*names, "score"])
 
-    rows = docs.select("doc_id", text_or_empty().alias("text"))
-    return rows.mapInArrow(scored, "doc_id long, score double").withColumn("predicted", (F.col("score") >= threshold).cast("int"))
+    rows = docs.select(*names, text_or_empty().alias("_text"))
+    return rows.mapInArrow(scored, T.StructType([*kept.schema.fields, T.StructField("score", T.DoubleType())])).withColumn("predicted", (F.col("score") >= threshold).cast("int"))

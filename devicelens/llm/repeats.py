@@ -26,6 +26,7 @@ import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .blobs import pack, pack_sorted, slices, unpack, unpack_sorted
 from .common import cut, text_or_empty
@@ -39,6 +40,9 @@ _ROW = "kind string, part int, block int, a binary, b binary, c binary, d binary
 _ROW_TYPES = pa.schema([("kind", pa.string()), ("part", pa.int32()), ("block", pa.int32()), *((c, pa.binary()) for c in "abcde")])
 
 
+RESULT = "n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary, kept_text string, span_begins array<long>, span_ends array<long>"
+
+
 @dataclass
 class Runs:
     """Runs of windows: anchor, digest, document, first window, number of windows, and whether it may repeat in itself."""
@@ -112,7 +116,7 @@ def runs_of(texts: list[bytes], least: int = LEAST) -> Runs:
 
 def _ordered(block: pa.Table) -> tuple[pa.Table, list[bytes]]:
     """The block's rows in an order that doesn't depend on how they came."""
-    block = block.sort_by([("doc_id", "ascending"), ("text", "ascending")])
+    block = block.sort_by([(c, "ascending") for c in ("doc_id", "text", *(c for c in block.column_names if c not in ("doc_id", "text", "block")))])
     return block, [t.encode() for t in block.column("text").to_pylist()]
 
 
@@ -267,8 +271,8 @@ def united(doc: np.ndarray, begin: np.ndarray, end: np.ndarray) -> tuple[np.ndar
     return doc[first], begin[first], reach[np.append(first[1:], len(doc)) - 1] - doc[first] * base
 
 
-def remove(block: pa.Table, spans: pa.Table) -> pa.Table:
-    """The block's documents with what is left of them."""
+def remove(block: pa.Table, spans: pa.Table, carry: list[str]) -> pa.Table:
+    """The block's documents with what is left of them; ``kept_text`` leaves out characters of which bytes went."""
     block, texts = _ordered(block)
     got = [[unpack(x.as_py()).astype(np.int64) for x in spans.column(c)] for c in ("a", "b", "c")] if spans.num_rows else [[], [], []]
     doc, begin, length = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in got)
@@ -282,15 +286,17 @@ def remove(block: pa.Table, spans: pa.Table) -> pa.Table:
             kept.append(text[at:b])
             at = e
         left = b"".join([*kept, text[at:]])
-        rows.append((len(text), len(text) - len(left), len(mine), hashlib.sha256(left).hexdigest(), left, [b for b, _ in mine], [e for _, e in mine]))
-    types = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary(), pa.list_(pa.int64()), pa.list_(pa.int64())]
-    names = ["n_bytes", "n_removed", "n_spans", "kept_sha256", "kept", "span_begins", "span_ends"]
-    return pa.table([block.column("doc_id"), *(pa.array([r[i] for r in rows], t) for i, t in enumerate(types))], names=["doc_id", *names])
+        rows.append((len(text), len(text) - len(left), len(mine), hashlib.sha256(left).hexdigest(), left, left.decode("utf-8", "ignore"), [b for b, _ in mine], [e for _, e in mine]))
+    types = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.int64())]
+    names = ["n_bytes", "n_removed", "n_spans", "kept_sha256", "kept", "kept_text", "span_begins", "span_ends"]
+    return pa.table([*(block.column(c) for c in ("doc_id", *carry)), *(pa.array([r[i] for r in rows], t) for i, t in enumerate(types))], names=["doc_id", *carry, *names])
 
 
-def remove_repeats(docs: DataFrame, least: int = LEAST, hot: int = HOT, block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept (the remaining bytes), span_begins and span_ends of every row."""
-    rows = docs.select("doc_id", text_or_empty().alias("text"))
+def remove_repeats(docs: DataFrame, least: int = LEAST, hot: int = HOT, block_bytes: int = BLOCK_BYTES, carry: list[str] | None = None, texts: bool = True) -> DataFrame:
+    """doc_id, the columns to carry, n_bytes, n_removed, n_spans, kept_sha256, kept (the remaining bytes), kept_text, span_begins and
+    span_ends of every row; without kept and kept_text unless ``texts``."""
+    carry = carry or []
+    rows = docs.select("doc_id", *carry, text_or_empty().alias("text"))
     size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0  # how much there is decides only how it is dealt
     blocks, ranges = int(max(1, -(-size // block_bytes))), int(max(1, -(-size // RANGE_BYTES)))
     dealt = rows.withColumn("block", F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(blocks)).cast("int")).repartition(blocks, "block")
@@ -299,5 +305,8 @@ def remove_repeats(docs: DataFrame, least: int = LEAST, hot: int = HOT, block_by
     sorted_out = cut(dealt.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(lambda b, a: sort_out(b, a, ranges, least), _ROW))
     found = sorted_out.filter("kind <> 'spans'").groupBy("kind", "part").applyInArrow(lambda s: look_closer(s, least), _ROW)
     spans = sorted_out.filter("kind = 'spans'").union(found)
-    schema = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary, span_begins array<long>, span_ends array<long>"
-    return dealt.groupBy("block").cogroup(spans.groupBy("block")).applyInArrow(remove, schema)
+    schema = docs.select(F.col("doc_id").cast("long"), *carry).schema
+    result = T.StructType(schema.fields + T.StructType.fromDDL(RESULT).fields)
+    names = [f.name for f in result if texts or not f.name.startswith("kept_text") and f.name != "kept"]
+    result = T.StructType([f for f in result if f.name in names])
+    return dealt.groupBy("block").cogroup(spans.groupBy("block")).applyInArrow(lambda b, s: remove(b, s, carry).select(names), result)
