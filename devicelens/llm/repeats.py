@@ -34,7 +34,8 @@ from .suffixes import EnhancedSuffixArray
 from .vectors_of_text import _RANDOM, batches_of, mixed, powers
 
 LEAST, GRAM, HOT = 200, 32, 2_000
-BLOCK_BYTES, RANGE_BYTES, SEGMENT = 12 << 20, 16 << 20, 1 << 20
+BLOCK_BYTES, RANGE_BYTES, SEGMENT = 12 << 20, 16 << 20, 1 << 19
+FINER = 8  # ranges of suffix arrays for each range of questions: an array takes some 60 bytes for each of its own
 REPEATED, SENT, BUSY = 1, 2, 4  # what an answer says of a run
 _ROW = "kind string, part int, block int, a binary, b binary, c binary, d binary, e binary"
 _ROW_TYPES = pa.schema([("kind", pa.string()), ("part", pa.int32()), ("block", pa.int32()), *((c, pa.binary()) for c in "abcde")])
@@ -80,7 +81,7 @@ def runs_of(texts: list[bytes], least: int = LEAST) -> Runs:
     found: list[tuple] = []
     segments = _segments(texts, least)
     width = least - GRAM + 1
-    for a, b in batches_of([s[2] for s in segments], 2 << 20):
+    for a, b in batches_of([s[2] for s in segments], (1 << 20) - 4096):
         part = segments[a:b]
         data = np.frombuffer(b"".join(s[2] for s in part), np.uint8)
         edges = np.cumsum([0, *(len(s[2]) for s in part)])
@@ -189,7 +190,7 @@ def sort_out(block: pa.Table, answers: pa.Table, ranges: int, least: int) -> pa.
     busy = (of_run[sent] & BUSY) > 0
     settled = (of_run[sent] & REPEATED) > 0
     doc, begin, size = runs.doc[sent], runs.begin[sent], runs.windows[sent] + least - 1
-    at = slices(runs.anchor[sent], ranges)
+    at = slices(runs.anchor[sent], ranges * FINER)
     squeeze = zstandard.ZstdCompressor(level=1)
     for i, (low, high) in enumerate(zip(at[:-1], at[1:])):
         chosen = np.arange(low, high)[~busy[low:high]]

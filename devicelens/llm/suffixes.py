@@ -21,8 +21,8 @@ class EnhancedSuffixArray:
         self.data = np.frombuffer(b"".join(strings), np.uint8)
         n = len(self.data)
         self.first = np.concatenate([[0], np.cumsum(lengths)])
-        self.string = np.repeat(np.arange(len(strings)), lengths)
-        self.room = self.first[1:][self.string] - np.arange(n)  # bytes up to the string's end
+        self.string = np.repeat(np.arange(len(strings), dtype=np.int32), lengths)
+        self.room = (self.first[1:][self.string] - np.arange(n)).astype(np.int32)  # bytes up to the string's end
         key = np.zeros(n, np.uint64)
         for k in range(8):  # bytes beyond the end count as nothing; how much room there is tells them from zeros
             inside = np.flatnonzero(self.room > k)
@@ -35,15 +35,16 @@ class EnhancedSuffixArray:
             behind = np.zeros(n, np.int64)
             inside = np.flatnonzero(self.room > step)
             behind[inside] = rank[inside + step] + 1
-            pair = rank.astype(np.int64) * (n + 1) + behind
-            order = np.argsort(pair, kind="stable")
-            rank = self._ranked(order, pair)
-            self.ranks.append(rank)
+            behind += rank.astype(np.int64) * (n + 1)
+            order = np.argsort(behind, kind="stable")
+            rank = self._ranked(order, behind)
+            if step != _STEPS[-1]:
+                self.ranks.append(rank)
         self.order = order
 
     @staticmethod
     def _ranked(order: np.ndarray, *keys: np.ndarray) -> np.ndarray:
-        rank = np.zeros(len(order), np.int64)
+        rank = np.zeros(len(order), np.int32)
         new = np.zeros(len(order), bool)
         for key in keys:
             new[1:] |= key[order[1:]] != key[order[:-1]]
