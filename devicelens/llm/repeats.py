@@ -108,7 +108,8 @@ def runs_of(texts: list[bytes], least: int = LEAST) -> Runs:
         alone = counts[np.minimum(np.searchsorted(values, own), len(values) - 1)] < 2
         docs, offsets = np.array([s[0] for s in part]), np.array([s[1] for s in part])
         seg = segment[begin]
-        found.append((anchor[begin], _hash_of(sums, begin, windows + least - 1), docs[seg], offsets[seg] + begin - edges[:-1][seg], windows, alone))
+        # least hashes crowd at the low end; mixed once more they spread over the key ranges
+        found.append((mixed(anchor[begin]), _hash_of(sums, begin, windows + least - 1), docs[seg], offsets[seg] + begin - edges[:-1][seg], windows, alone))
     if not found:
         empty = np.zeros(0, np.int64)
         return Runs(empty.astype(np.uint64), empty.astype(np.uint64), empty, empty, empty, empty.astype(bool))
