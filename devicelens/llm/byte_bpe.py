@@ -26,7 +26,7 @@ from .common import text_or_empty
 from .lexicon import Lexicon, compile_lexicon
 from .token_counts import pieces
 
-REMEMBERED = 500_000
+REMEMBERED = 150_000
 #: The pattern of words of this vocabulary's library.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 

@@ -21,10 +21,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import remainder, text_or_empty
+from .common import remainder
 
 SAMPLE_ROWS, BINS, LATENT, NEIGHBOURS, POWER, PRIOR = 3_000, 4_096, 64, 15, 6, 0.3
-SEED, THRESHOLD, BLOCK_ROWS = "quality-1", 0.7, 1_024
+SEED, THRESHOLD, BLOCK_ROWS = "quality-1", 0.7, 256
 _AT_ONCE = 1 << 20
 
 
@@ -109,15 +109,16 @@ def quality_scores(docs: DataFrame, model: VotingModel, threshold: float = THRES
     shared = docs.sparkSession.sparkContext.broadcast(model)  # sample_rows vectors of fixed length
     kept = docs.select(*(keep or ["doc_id"]))
     names = kept.columns
+    place = names.index("text") if "text" in names else len(names)
 
     def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = batch.columns[-1]
+            texts = batch.column(place)
             found = [
-                shared.value.scores(np.array([trigram_counts(t.encode()) for t in texts[a : a + BLOCK_ROWS].to_pylist()]).reshape(-1, BINS))
+                shared.value.scores(np.array([trigram_counts((t or "").encode()) for t in texts[a : a + BLOCK_ROWS].to_pylist()]).reshape(-1, BINS))
                 for a in range(0, batch.num_rows, BLOCK_ROWS)
             ]
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(np.concatenate(found or [np.empty(0)]), pa.float64())], [*names, "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(np.concatenate(found or [np.empty(0)]), pa.float64())], [*names, "score"])
 
-    rows = docs.select(*names, text_or_empty().alias("_text"))
+    rows = kept if "text" in names else docs.select(*names, "text")  # a text goes to Python once
     return rows.mapInArrow(scored, T.StructType([*kept.schema.fields, T.StructField("score", T.DoubleType())])).withColumn("predicted", (F.col("score") >= threshold).cast("int"))
