@@ -17,7 +17,7 @@ def with_last_reboot(df: DataFrame) -> DataFrame:
 def uptime(df: DataFrame) -> DataFrame:
     """Uptime at receipt as an interval, as days and hours, and as fractional days."""
     df = df.withColumn("uptime", F.make_dt_interval(secs=F.col("engine_time").cast("decimal(18,6)")))
-    return df.withColumn("days", F.expr("engine_time div 86400")).withColumn("hours", F.expr("(engine_time % 86400) div 3600")).withColumn("uptime_days", F.round(F.col("engine_time") / 86400, 6))
+    return df.withColumn("days", F.expr("engine_time div 86400")).withColumn("hours", F.expr("(engine_time % 86400) div 3600")).withColumn("uptime_days", F.col("engine_time") / 86400)
 
 
 def multi_response(packets: DataFrame) -> DataFrame:

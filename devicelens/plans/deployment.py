@@ -208,10 +208,10 @@ def dominance_share(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query("dominance_region", """SELECT region, count(*) AS networks, round(quantile_cont(d, 0.25), 5) AS q1, round(quantile_cont(d, 0.5), 5) AS median, round(quantile_cont(d, 0.75), 5) AS q3, round(avg(d), 5) AS mean
-    FROM (SELECT region, round(top / routers, 6)::DOUBLE AS d FROM as_total WHERE routers >= 10) x GROUP BY region""")
+    FROM (SELECT region, (top / routers)::DOUBLE AS d FROM as_total WHERE routers >= 10) x GROUP BY region""")
 def dominance_region(spark: SparkSession, sf_dir: str) -> DataFrame:
     at = lambda p: F.round(F.percentile("dominance", F.lit(p)), 5)
-    rows = netstats.dominance(Inputs(spark, sf_dir).as_vendor).filter("routers >= 10")
+    rows = netstats.per_as(Inputs(spark, sf_dir).as_vendor).filter("routers >= 10").withColumn("dominance", F.col("top") / F.col("routers"))
     return rows.groupBy("region").agg(F.count("*").alias("networks"), at(0.25).alias("q1"), at(0.5).alias("median"), at(0.75).alias("q3"), F.round(F.avg("dominance"), 5).alias("mean"))
 
 

@@ -48,7 +48,7 @@ def last_reboot(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ingest.with_last_reboot(Inputs(spark, sf_dir).responses).select("scan", "addr", "last_reboot_s")
 
 
-@query("uptime_now", "SELECT scan, addr, engine_time // 86400 AS days, (engine_time % 86400) // 3600 AS hours, round(engine_time / 86400.0, 6)::DOUBLE AS uptime_days FROM responses WHERE engine_time > 0")
+@query("uptime_now", "SELECT scan, addr, engine_time // 86400 AS days, (engine_time % 86400) // 3600 AS hours, engine_time / 86400::DOUBLE AS uptime_days FROM responses WHERE engine_time > 0")
 def uptime_now(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ingest.uptime(Inputs(spark, sf_dir).responses.filter("engine_time > 0")).select("scan", "addr", "days", "hours", "uptime_days")
 
