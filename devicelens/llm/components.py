@@ -11,9 +11,9 @@ from .common import cut
 def components(edges: DataFrame) -> DataFrame:
     """node and root (the smallest node reachable) of every node of the edges (a, b).
 
-    In every round each node takes the smallest node of its closed neighbourhood, and the graph is contracted to those; a
-    node that keeps any neighbour vanishes into it or takes one up, so rounds grow with the logarithm of the longest path. Rounds
-    write to the shared folder; a star, which is what most callers send, needs one.
+    In every round each node takes the smallest node of its closed neighbourhood, and the graph is contracted to those. Rounds write to
+    the shared folder. A star, which is what most callers send, needs one round; a path of ascending nodes shrinks by one node a
+    round, so long chains are slow, though right.
     """
     edges = edges.select("a", "b").filter("a <> b")
     both = edges.union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct()
