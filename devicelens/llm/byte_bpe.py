@@ -22,7 +22,7 @@ from pyspark import SparkFiles
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
-from .common import text_or_empty
+from .common import portions, text_or_empty
 from .lexicon import Lexicon, compile_lexicon
 from .token_counts import pieces
 
@@ -166,7 +166,7 @@ def encode_ids_of(docs: DataFrame, tokenizer_path: str, keep: list[str]) -> Data
 
     def encoded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = BpeCodec.of(tokenizer_path, SparkFiles.get(name))
-        for batch in batches:
+        for batch in portions(batches, len(keep)):
             ids = [codec.encode(t.as_py()) for t in batch.column(len(keep))]
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(ids, pa.list_(pa.int32())), pa.array(map(len, ids), pa.int64())], [*keep, "ids", "n_tokens"])
 
@@ -197,7 +197,7 @@ def round_trip(docs: DataFrame, tokenizer_path: str) -> DataFrame:
 
     def digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = BpeCodec.of(tokenizer_path, SparkFiles.get(name))
-        for batch in batches:
+        for batch in portions(batches, 1):
             n, ids, text = zip(*(codec.digest(t.as_py()) for t in batch.column(1))) if batch.num_rows else ((), (), ())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(ids, pa.string()), pa.array(text, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 

@@ -5,11 +5,15 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
+from collections.abc import Iterator
 
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 WORD = r"[^\x20\x09-\x0D]+"  # a word: a run of bytes that are no ASCII white space
+PORTION_BYTES, PORTION_ROWS = 2 << 20, 2_048
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -47,6 +51,19 @@ def spread(df: DataFrame, per_task: int = 1) -> int:
     return max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")) * per_task)
 
 
+def portions(batches: Iterator[pa.RecordBatch], text: int, at_most: int = PORTION_BYTES, rows: int = PORTION_ROWS) -> Iterator[pa.RecordBatch]:
+    """All rows, in order, in smaller batches: the texts of column ``text`` have at_most bytes together (a longer one stands alone), so
+    what Python makes of a batch doesn't grow with the batch that Spark sends."""
+    for batch in batches:
+        first, size = 0, 0
+        for i, n in enumerate(pc.fill_null(pc.binary_length(batch.column(text)), 0).to_pylist()):
+            if i > first and (size + n > at_most or i - first == rows):
+                yield batch.slice(first, i - first)
+                first, size = i, 0
+            size += n
+        yield batch.slice(first)
+
+
 def quiet_tokenizers() -> None:
     """One thread a task: the cores are Spark's to share out."""
     os.environ["TOKENIZERS_PARALLELISM"] = "false"

@@ -28,10 +28,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .blobs import merge, pack, pack_sorted, slices, unpack, unpack_sorted
-from .common import cut, text_or_empty
+from .common import cut, portions, text_or_empty
 from .components import components
 from .prefix_tree import PERCENT, linked
-from .vectors_of_text import mixed, words_by_text
+from .vectors_of_text import batches_of, mixed, words_by_text
 
 WIDTH, BUCKET = 4, 4_000
 BLOCK_BYTES, RANGE_BYTES = 12 << 20, 16 << 20
@@ -41,19 +41,20 @@ _FACTORS = np.random.default_rng(8).integers(1, 1 << 63, 64, dtype=np.uint64) *
 
 def ngram_sets(texts: list[bytes], width: int = WIDTH) -> list[np.ndarray]:
     """The ascending hashes of each text's n-grams."""
-    words, first = words_by_text(texts)
-    grams = np.zeros(len(words), np.uint64)
-    for k in range(width):
-        grams[: len(words) - k] += words[k:] * _FACTORS[k]
-    grams = mixed(grams)
-    sets = []
-    for a, b in zip(first[:-1].tolist(), first[1:].tolist()):
-        if b - a >= width:
-            sets.append(np.unique(grams[a : b - width + 1]))
-        elif b > a:  # a set of its own kind: no longer text has this n-gram
-            sets.append(mixed(np.sum(words[a:b] * _FACTORS[8 : 8 + b - a], dtype=np.uint64, keepdims=True) + np.uint64(b - a)))
-        else:
-            sets.append(grams[:0])
+    sets: list[np.ndarray] = []
+    for low, high in batches_of(texts):  # besides the sets, no array grows with the number of texts
+        words, first = words_by_text(texts[low:high])
+        grams = np.zeros(len(words), np.uint64)
+        for k in range(width):
+            grams[: max(0, len(words) - k)] += words[k:] * _FACTORS[k]
+        grams = mixed(grams)
+        for a, b in zip(first[:-1].tolist(), first[1:].tolist()):
+            if b - a >= width:
+                sets.append(np.unique(grams[a : b - width + 1]))
+            elif b > a:  # a set of its own kind: no longer text has this n-gram
+                sets.append(mixed(np.sum(words[a:b] * _FACTORS[8 : 8 + b - a], dtype=np.uint64, keepdims=True) + np.uint64(b - a)))
+            else:
+                sets.append(np.empty(0, np.uint64))
     return sets
 
 
@@ -65,7 +66,7 @@ def sets_of(docs: DataFrame, width: int = WIDTH) -> DataFrame:
     """doc_id, n_shingles and class of every row."""
 
     def classes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in portions(batches, 1):
             sets = ngram_sets([t.encode() for t in batch.column(1).to_pylist()], width)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(map(len, sets), pa.int64()), pa.array(map(set_id, sets), pa.binary())], ["doc_id", "n_shingles", "class"])
 
@@ -77,7 +78,7 @@ def dealt_texts(docs: DataFrame, blocks: int, width: int = WIDTH) -> DataFrame:
 
     def sent(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[bytes] = set()
-        for batch in batches:
+        for batch in portions(batches, 0):
             texts = batch.column(0).to_pylist()
             ids = [set_id(s) for s in ngram_sets([t.encode() for t in texts], width)]
             keep = [i for i, x in enumerate(ids) if x and not (x in seen or seen.add(x))]

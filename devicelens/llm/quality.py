@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import remainder
+from .common import portions, remainder
 
 SAMPLE_ROWS, BINS, LATENT, NEIGHBOURS, POWER, PRIOR = 3_000, 4_096, 64, 15, 6, 0.3
 SEED, THRESHOLD, BLOCK_ROWS = "quality-1", 0.7, 256
@@ -95,7 +95,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> V
     """A model from a bounded sample; only its bins' counts come to the driver."""
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in portions(batches, 0):
             counts = [np.minimum(trigram_counts((t or "").encode()), 65_535).astype(np.uint16).tobytes() for t in batch.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array(counts, pa.binary()), batch.column(1)], ["counts", "label"])
 
@@ -112,7 +112,7 @@ def quality_scores(docs: DataFrame, model: VotingModel, threshold: float = THRES
     place = names.index("text") if "text" in names else len(names)
 
     def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in portions(batches, place):
             texts = batch.column(place)
             found = [
                 shared.value.scores(np.array([trigram_counts((t or "").encode()) for t in texts[a : a + BLOCK_ROWS].to_pylist()]).reshape(-1, BINS))

@@ -289,3 +289,26 @@ def test_components_of_a_path(spark):
 
     edges = spark.createDataFrame([(i, i + 1) for i in range(4)] + [(100, 101)], "a long, b long")
     assert {(r.node, r.root) for r in components(edges).collect()} == {(i, 0) for i in range(5)} | {(100, 100), (101, 100)}
+
+
+@pytest.mark.parametrize("n", range(1, 6))
+def test_ngram_sets_of_few_words(n):
+    from devicelens.llm.jaccard import ngram_sets
+
+    text = " ".join("abcdefgh"[:n]).encode()
+    alone, = ngram_sets([text])
+    assert len(alone) == max(1, n - 3)
+    among = ngram_sets([b"p q r s t " * 300_000, text, b"", text])  # the first fills a part of its own
+    assert np.array_equal(among[1], alone) and np.array_equal(among[3], alone) and len(among[2]) == 0
+
+
+def test_portions_keep_every_row():
+    import pyarrow as pa
+
+    from devicelens.llm.common import portions
+
+    texts = ["a", None, "b" * 50, "", "c" * 5, "d" * 5, None]
+    batches = [pa.RecordBatch.from_arrays([pa.array(range(len(texts))), pa.array(texts, pa.string())], ["i", "text"]), pa.RecordBatch.from_arrays([pa.array([], pa.int64()), pa.array([], pa.string())], ["i", "text"])]
+    parts = list(portions(iter(batches), 1, at_most=10, rows=3))
+    assert [x for p in parts for x in p.column(1).to_pylist()] == texts
+    assert all(p.num_rows <= 3 and (p.num_rows == 1 or sum(len(t or "") for t in p.column(1).to_pylist()) <= 10) for p in parts)
