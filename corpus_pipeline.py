@@ -1,7 +1,9 @@
 """The corpus pipeline: documents pass STAGES in turn, each written as Parquet and read again before the next.
 
 quality   documents that the quality classifier rejects go (score below its threshold)
-dedup     of each group of near-duplicates (4-word Jaccard joins at 85 %) the document with the smallest doc_id stays
+dedup     of each group of near-duplicates (4-word Jaccard joins at 85 %) one row stays: that with the smallest doc_id, null ids last;
+          of rows with one id that with the smallest digest over all columns; of rows equal in all columns one. Rows without words
+          are linked with nothing, so all of them stay
 repeats   byte strings of 200 bytes that occur again anywhere in the corpus are cut out; a character of which bytes went goes whole;
           documents of which no word is left go, and n_chars follows the text
 mix       sources come to their target weights: documents are left out, or repeated up to 3 times
@@ -14,8 +16,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from devicelens.llm.byte_bpe import encode_ids_of
-from devicelens.llm.common import WORD, scratch
-from devicelens.llm.jaccard import near_duplicates
+from devicelens.llm.common import WORD, cut, scratch
+from devicelens.llm.jaccard import grouped_rows
 from devicelens.llm.mixing import mix
 from devicelens.llm.quality import fit, quality_scores
 from devicelens.llm.queries import tokenizer
@@ -30,8 +32,15 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    kept = near_duplicates(docs.select("doc_id", "text")).filter("doc_id = component_id").select("doc_id").distinct()
-    return docs.select(*COLUMNS).join(kept, "doc_id", "left_semi")
+    digest = F.sha2(F.to_json(F.struct("doc_id", "lang", "source", "n_chars", F.sha2("text", 256).alias("text"))), 256)  # to_json leaves nulls out
+    rows = docs.select(*COLUMNS, F.unhex(digest).alias("row_key"))
+    grouped = grouped_rows(rows.select("doc_id", "text", "row_key"), carry=["row_key"]).groupBy("root", "row_key").agg(F.min("doc_id").alias("doc_id"), F.count("*").alias("copies"))
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "row_key", "copies")).alias("first")
+    linked = grouped.filter("root IS NOT NULL").groupBy("root").agg(first).select("first.row_key", "first.copies")
+    kept = cut(linked.union(grouped.filter("root IS NULL").select("row_key", F.lit(1).cast("long"))))  # one row a key
+    left = rows.join(kept, "row_key")
+    once, again = left.filter("copies = 1"), left.filter("copies > 1").dropDuplicates(["row_key"])
+    return once.union(again).select(*COLUMNS)
 
 
 def repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -26,6 +26,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .blobs import merge, pack, pack_sorted, slices, unpack, unpack_sorted
 from .common import cut, portions, text_or_empty
@@ -62,15 +63,18 @@ def set_id(elements: np.ndarray) -> bytes | None:
     return xxhash.xxh3_128_digest(elements.tobytes()) if len(elements) else None
 
 
-def sets_of(docs: DataFrame, width: int = WIDTH) -> DataFrame:
-    """doc_id, n_shingles and class of every row."""
+def sets_of(docs: DataFrame, width: int = WIDTH, carry: list[str] | None = None) -> DataFrame:
+    """doc_id, the columns to carry, n_shingles and class of every row."""
+    kept = docs.select(F.col("doc_id").cast("long"), *(carry or []))
+    names, place = kept.columns, len(kept.columns)
 
     def classes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in portions(batches, 1):
-            sets = ngram_sets([t.encode() for t in batch.column(1).to_pylist()], width)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(map(len, sets), pa.int64()), pa.array(map(set_id, sets), pa.binary())], ["doc_id", "n_shingles", "class"])
+        for batch in portions(batches, place):
+            sets = ngram_sets([t.encode() for t in batch.column(place).to_pylist()], width)
+            yield pa.RecordBatch.from_arrays([*batch.columns[:place], pa.array(map(len, sets), pa.int64()), pa.array(map(set_id, sets), pa.binary())], [*names, "n_shingles", "class"])
 
-    return docs.select("doc_id", text_or_empty().alias("text")).mapInArrow(classes, "doc_id long, n_shingles long, class binary")
+    schema = T.StructType([*kept.schema.fields, *T.StructType.fromDDL("n_shingles long, class binary").fields])
+    return docs.select(F.col("doc_id").cast("long"), *(carry or []), text_or_empty().alias("text")).mapInArrow(classes, schema)
 
 
 def dealt_texts(docs: DataFrame, blocks: int, width: int = WIDTH) -> DataFrame:
@@ -173,10 +177,15 @@ def similar_classes(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT,
     return tasks.groupBy("cluster", "i", "j").applyInArrow(lambda m: join_bucket(m, percent), "a binary, b binary")
 
 
+def grouped_rows(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, bucket: int = BUCKET, carry: list[str] | None = None) -> DataFrame:
+    """doc_id, the columns to carry, n_shingles and root (one value a component, null for rows without words) of every row."""
+    classes = cut(sets_of(docs, width, carry))
+    roots = components(similar_classes(docs, width, percent, bucket)).withColumnRenamed("node", "class")
+    return classes.join(roots, "class", "left").withColumn("root", F.coalesce("root", "class")).drop("class")
+
+
 def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, bucket: int = BUCKET) -> DataFrame:
     """doc_id, n_shingles and component_id (the smallest doc_id reachable by links) of every row."""
-    classes = cut(sets_of(docs, width))
-    roots = components(similar_classes(docs, width, percent, bucket)).withColumnRenamed("node", "class")
-    grouped = classes.join(roots, "class", "left").withColumn("root", F.coalesce("root", "class"))
+    grouped = grouped_rows(docs, width, percent, bucket)
     least = grouped.filter("root IS NOT NULL").groupBy("root").agg(F.min("doc_id").alias("least"))
     return grouped.join(least, "root", "left").select("doc_id", "n_shingles", F.coalesce("least", "doc_id").alias("component_id"))
