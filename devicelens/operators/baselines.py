@@ -34,12 +34,24 @@ def velocities(samples: DataFrame, modulus: int, min_samples: int) -> DataFrame:
     return moved.withColumn("rising", F.col("largest") < modulus // 2).withColumn("velocity", F.expr("moved div greatest(t1 - t0, 1)"))
 
 
-def counter_pairs(samples: DataFrame, modulus: int = 65536, max_velocity: int = 60, min_samples: int = 3) -> DataFrame:
+def similar_velocity(able: DataFrame, width: int) -> DataFrame:
+    """a < b of one network whose velocities differ by at most ``width``: each address meets its own and the neighbouring buckets of that width."""
+    side = lambda key: able.select("asn", F.col("addr_key").alias(key), F.expr(f"velocity div {width}").alias("bucket"), F.col("moved").alias(f"{key}_moved"), F.greatest(F.expr("t1 - t0"), F.lit(1)).alias(f"{key}_span"))
+    around = side("b").withColumn("bucket", F.explode(F.sequence(F.col("bucket") - 1, F.col("bucket") + 1)))
+    apart = F.abs(F.col("a_moved") * F.col("b_span") - F.col("b_moved") * F.col("a_span"))
+    return side("a").join(around, ["asn", "bucket"]).filter("a < b").filter(apart <= F.lit(width) * F.col("a_span") * F.col("b_span")).select("a", "b")
+
+
+def counter_pairs(samples: DataFrame, modulus: int = 65536, max_velocity: int = 60, min_samples: int = 3, width: int | None = None) -> DataFrame:
     """Pairs of addresses of one network whose merged samples form one counter: in order of time every step goes forward by less than half
-    the modulus, and the whole movement fits the elapsed time. Candidates share network and velocity (a narrow bucket)."""
-    able = velocities(samples, modulus, min_samples).filter("rising").select("asn", "addr_key", "velocity")
-    a, b = able.select("asn", "velocity", F.col("addr_key").alias("a")), able.select("asn", "velocity", F.col("addr_key").alias("b"))
-    pairs = a.join(b, ["asn", "velocity"]).filter("a < b").select("a", "b")
+    the modulus, and the whole movement fits the elapsed time. Candidates share network and similar velocity, at most ``width`` apart;
+    without a width the whole part of their velocities is equal. All pairs are made, so a network of one velocity costs their square."""
+    able = velocities(samples, modulus, min_samples).filter("rising")
+    if width:
+        pairs = similar_velocity(able, width)
+    else:
+        a, b = able.select("asn", "velocity", F.col("addr_key").alias("a")), able.select("asn", "velocity", F.col("addr_key").alias("b"))
+        pairs = a.join(b, ["asn", "velocity"]).filter("a < b").select("a", "b")
     long = pairs.withColumn("addr_key", F.explode(F.array("a", "b"))).join(samples.select("addr_key", "t", "ipid"), "addr_key")
     order = W.partitionBy("a", "b").orderBy("t", "ipid", "addr_key")
     step = F.pmod(F.col("ipid") - F.lag("ipid").over(order), F.lit(modulus))
