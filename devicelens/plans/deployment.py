@@ -287,6 +287,12 @@ def ipid_pairs_v4(spark: SparkSession, sf_dir: str) -> DataFrame:
     return baselines.counter_pairs(x.ipid_samples.join(four, "addr_key", "left_semi"), width=1)
 
 
+@query("fragid_pairs_v6", _near_counter_sql("fragid_samples", 1 << 32, 1_000_000, 1_000))
+def fragid_pairs_v6(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The shared-counter test of IPv6 addresses over 32-bit fragment identifiers, velocities at most 1,000 a unit of time apart."""
+    return baselines.counter_pairs(Inputs(spark, sf_dir).fragid_samples, 1 << 32, 1_000_000, width=1_000)
+
+
 @query("reference_sets", "SELECT 'v4' AS kind, ref_set_id, count(*) AS n FROM counter_sets_v4 GROUP BY ALL UNION ALL SELECT 'v6', ref_set_id, count(*) FROM fragid_sets_v6 GROUP BY ALL")
 def reference_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
     x = Inputs(spark, sf_dir)

@@ -159,6 +159,12 @@ def _definitions(q: Dialect) -> dict[str, tuple[tuple[str, ...], str]]:
             ELSE {u("concat(addr_key, '|', line, '|', part)", 'noise', 65536)} END AS ipid, asn
         FROM (SELECT l.l_orderkey AS addr_key, l.l_linenumber AS line, l.l_partkey AS part, {q.days('l.l_shipdate')} AS t, p.d AS d, p.asn AS asn FROM {{lineitem}} l JOIN {{address}} p ON p.a = l.l_orderkey) x""",
     )
+    made["fragid_samples"] = (
+        ("lineitem", "address"),
+        f"""SELECT addr_key, t, CASE WHEN {u('d', 'fctr', 100)} < 70 THEN ({u('d', 'foff', 1 << 32)} + t * (1 + {u('d', 'fvel', 1000000)})) % {1 << 32}
+            ELSE {u("concat(addr_key, '|', line, '|', part)", 'fnoise', 1 << 32)} END AS ipid, asn
+        FROM (SELECT l.l_orderkey AS addr_key, l.l_linenumber AS line, l.l_partkey AS part, {q.days('l.l_shipdate')} AS t, p.d AS d, p.asn AS asn FROM {{lineitem}} l JOIN {{address}} p ON p.a = l.l_orderkey WHERE p.family = 6) x""",
+    )
     made["active_outcome"] = (
         ("device",),
         f"""SELECT device, CASE WHEN act < 841 THEN 'none' WHEN act < 890 THEN 'guess' ELSE 'exact' END AS outcome,

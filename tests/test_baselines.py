@@ -37,3 +37,22 @@ def test_ipid_pairs_equal_oracle(spark, duck):  # noqa: F811
 
     four = {r.a for r in Inputs(spark, SF).address.filter("family = 4").select("a").collect()}
     assert set(got.a) | set(got.b) <= four
+
+
+def test_32_bit_counter_wraps(spark):
+    one = lambda t: ((1 << 32) - 40_000_000 + 500_000 * t) % (1 << 32)
+    rows = {1: [(t, one(t)) for t in (0, 50, 120)], 2: [(t, one(t)) for t in (30, 90, 140)]}
+    assert pairs(baselines.counter_pairs(counters(spark, rows), 1 << 32, 1_000_000, width=1_000)) == {(1, 2)}
+
+
+def test_fragid_pairs_equal_oracle(spark, duck):  # noqa: F811
+    from devicelens.plans.inputs import Inputs
+
+    x = Inputs(spark, SF)
+    six = {r.a for r in x.address.filter("family = 6").select("a").collect()}
+    assert {r.addr_key for r in x.fragid_samples.select("addr_key").distinct().collect()} <= six
+    assert x.fragid_samples.agg({"ipid": "max"}).first()[0] > 1 << 31
+    got = against_oracle(spark, duck, "fragid_pairs_v6")
+    assert set(got.a) | set(got.b) <= six
+    same = {r.addr_key: r.device for r in x.truth.select("addr_key", "device").collect()}
+    assert any(same[r.a] == same[r.b] for r in got.itertuples())
