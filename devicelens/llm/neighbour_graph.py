@@ -180,13 +180,13 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1)
 
 
-def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def deal(batches: Iterator[pa.RecordBatch], threshold: float = THRESHOLD) -> Iterator[pa.RecordBatch]:
     """Rows (class, label, rows, vector, classes of the label) once for each table, with the codes of all tables."""
     for batch in batches:
         counts = batch.column(4).to_numpy()
         for n in np.unique(counts).tolist():
             some = batch.filter(pa.array(counts == n))
-            bits, tables = dealing(n)
+            bits, tables = dealing(n, threshold)
             x = _matrix(some.column(3))
             codes = np.zeros((len(x), tables), np.int64)
             if bits:
@@ -228,10 +228,10 @@ def near_duplicate_vectors(vectors: DataFrame, threshold: float = THRESHOLD, id_
     classes = cut(classes.withColumn("label", F.concat_ws("/", F.col("label").cast("string"), F.col("dims").cast("string"))).drop("dims"))
     sizes = classes.groupBy("label").agg(F.count("*").alias("classes"))
     dealt = classes.join(sizes, "label").select("class", "label", "rows", "vector", "classes").mapInArrow(
-        deal, "class binary, label string, rows long, vector array<float>, cell_table int, code long, codes array<long>"
+        lambda b: deal(b, threshold), "class binary, label string, rows long, vector array<float>, cell_table int, code long, codes array<long>"
     )
     full = classes.join(sizes, "label").select("class", "label", F.lit(None).cast("long").alias("rows"), "vector", "classes")
-    counts = full.mapInArrow(deal, "class binary, label string, rows long, vector array<float>, cell_table int, code long, codes array<long>").groupBy("label", "cell_table", "code").agg(F.count("*").alias("n"))
+    counts = full.mapInArrow(lambda b: deal(b, threshold), "class binary, label string, rows long, vector array<float>, cell_table int, code long, codes array<long>").groupBy("label", "cell_table", "code").agg(F.count("*").alias("n"))
     parts = counts.withColumn("parts", F.when(F.col("n") <= 2 * PART_ROWS, F.lit(1).cast("long")).otherwise(F.ceil(F.col("n") * 2 / PART_ROWS))).drop("n")
     placed = dealt.join(parts, ["label", "cell_table", "code"]).withColumn("part", F.pmod(F.xxhash64("class"), "parts"))
     tasks = placed.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1))).withColumn("i", F.least("part", "other")).withColumn("j", F.greatest("part", "other")).drop("other", "parts")
