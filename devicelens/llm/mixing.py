@@ -1,9 +1,11 @@
 """Mixing sources to target weights by subset sums over document lengths.
 
 Of every source the mix wants a number of words, the target. Whole repeats of a source go first; for what then remains of its
-target, documents are counted by exact length, a like share of every length is taken, and a bounded-knapsack dynamic program over
-the lengths still at hand fills the remaining budget exactly, or as nearly below it as any choice of documents can. How many
-documents of a length go is thus decided on counts alone; which of them, by a seeded order.
+target, documents are counted by exact length and a like share of every length is taken. What a length's share lacks to a whole
+document is carried to the next greater length, so neighbouring lengths share their documents out between them, and in the end less
+than one document of the greatest length is left to fill. A bounded-knapsack dynamic program over the documents still at hand fills
+that exactly, or as nearly below it as a choice among them can; another choice of shares might come nearer. How many documents of a
+length go is thus decided on counts alone, whatever the seed; which of them, by a seeded order.
 
 Rows: a null text has size 0 and is never taken; a null source is a source of its own, the last; rows that are repeated count
 each; equal rows are equal to the order too, so reruns agree. An empty table gives no rows. Other columns don't matter.
@@ -54,15 +56,21 @@ def targets(totals: DataFrame, weights: Iterable[int] = WEIGHTS, share: float =
 
 
 def fill(budget: int, lengths: dict[int, int]) -> dict[int, int]:
-    """How many documents of each length go, so that their words come as near below the budget as a choice of documents can."""
+    """How many documents of each length go: a like share of every length, then what fills the budget best from below."""
     if budget <= 0 or not lengths:
         return {}
     total = sum(n * c for n, c in lengths.items())
     if total <= budget:
         return dict(lengths)
-    taken = {n: c * budget // total for n, c in lengths.items()}
+    taken, owed = {}, 0  # owed: words times total, always less than a document of the length at hand
+    for n in sorted(lengths):
+        taken[n], part = divmod(lengths[n] * budget, total)
+        owed += n * part
+        if part and owed >= n * total:
+            taken[n] += 1
+            owed -= n * total
     left = budget - sum(n * c for n, c in taken.items())
-    for n in sorted(lengths, reverse=True):  # what the rounding left is large where there are many lengths
+    for n in sorted(lengths, reverse=True):  # more than this is left only where single documents are longer
         if left > EXACT_WORDS:
             more = min(lengths[n] - taken[n], (left - EXACT_WORDS // 2) // n)
             if more > 0:
