@@ -69,7 +69,13 @@ def incremental_alias(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("n_scan_consistency", """SELECT family, addr FROM responses WHERE engine_id <> '' AND boots > 0 AND engine_time > 0 GROUP BY family, addr
     HAVING count(DISTINCT scan) = 2 AND count(DISTINCT engine_id) = 1 AND count(DISTINCT boots) = 1 AND max(recv_s - engine_time) - min(recv_s - engine_time) <= 10""")
 def n_scan_consistency(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Any number of scans: the same id and boots in all of them, last reboots within 10 s; one shuffle."""
-    rows = Inputs(spark, sf_dir).responses.filter("engine_id <> '' AND boots > 0 AND engine_time > 0").withColumn("r", F.col("recv_s") - F.col("engine_time"))
-    per = rows.groupBy("family", "addr").agg(F.count("*").alias("scans"), F.min("engine_id").alias("a"), F.max("engine_id").alias("b"), F.min("boots").alias("c"), F.max("boots").alias("d"), (F.max("r") - F.min("r")).alias("gap"))
-    return per.filter("scans = 2 AND a = b AND c = d AND gap <= 10").select("family", "addr")
+    """Any number of scans: the same id and boots in all of them, last reboots within 10 s."""
+    return consistent(Inputs(spark, sf_dir).responses)
+
+
+def consistent(responses: DataFrame) -> DataFrame:
+    """family and addr of those that gave valid replies in every scan of the table, all alike; replies of one scan may repeat."""
+    rows = responses.filter("engine_id <> '' AND boots > 0 AND engine_time > 0").withColumn("r", F.col("recv_s") - F.col("engine_time"))
+    per = rows.groupBy("family", "addr").agg(F.countDistinct("scan").alias("scans"), F.min("engine_id").alias("a"), F.max("engine_id").alias("b"), F.min("boots").alias("c"), F.max("boots").alias("d"), (F.max("r") - F.min("r")).alias("gap"))
+    every = responses.agg(F.countDistinct("scan")).scalar()
+    return per.filter((F.col("scans") == every) & F.expr("a = b AND c = d AND gap <= 10")).select("family", "addr")
