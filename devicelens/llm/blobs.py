@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 import zstandard
 
-_LEVEL = 1
+_SQUEEZE, _UNSQUEEZE = zstandard.ZstdCompressor(level=1), zstandard.ZstdDecompressor()
 
 
 def pack(values: np.ndarray) -> bytes:
@@ -13,21 +13,21 @@ def pack(values: np.ndarray) -> bytes:
     if values.dtype.kind == "u" and len(values):
         top = int(values.max())
         values = values.astype(np.uint8 if top < 1 << 8 else np.uint16 if top < 1 << 16 else np.uint32 if top < 1 << 32 else np.uint64)
-    return values.dtype.char.encode() + zstandard.ZstdCompressor(level=_LEVEL).compress(values.tobytes())
+    return values.dtype.char.encode() + _SQUEEZE.compress(values.tobytes())
 
 
 def unpack(blob: bytes) -> np.ndarray:
-    return np.frombuffer(zstandard.ZstdDecompressor().decompress(blob[1:]), np.dtype(blob[:1].decode()))
+    return np.frombuffer(_UNSQUEEZE.decompress(blob[1:]), np.dtype(blob[:1].decode()))
 
 
 def pack_sorted(keys: np.ndarray) -> bytes:
     """Ascending unsigned keys, by their differences; those are split into bytes of equal weight, which compress better."""
     steps = np.diff(keys, prepend=keys[:1] * 0).astype("<u8")
-    return zstandard.ZstdCompressor(level=_LEVEL).compress(steps.view(np.uint8).reshape(-1, 8).T.tobytes())
+    return _SQUEEZE.compress(steps.view(np.uint8).reshape(-1, 8).T.tobytes())
 
 
 def unpack_sorted(blob: bytes) -> np.ndarray:
-    raw = np.frombuffer(zstandard.ZstdDecompressor().decompress(blob), np.uint8)
+    raw = np.frombuffer(_UNSQUEEZE.decompress(blob), np.uint8)
     return np.cumsum(np.ascontiguousarray(raw.reshape(8, -1).T).view("<u8").ravel(), dtype=np.uint64)
 
 

@@ -13,7 +13,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 WORD = r"[^\x20\x09-\x0D]+"  # a word: a run of bytes that are no ASCII white space
-PORTION_BYTES, PORTION_ROWS = 2 << 20, 2_048
+PORTION_BYTES, PORTION_ROWS = 1 << 20, 2_048
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -27,6 +27,8 @@ def shared_dir(spark: SparkSession) -> str:
         return own
     sc = spark.sparkContext
     if not sc._jsc.sc().getCheckpointDir().isDefined():
+        if not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="devicelens-checkpoint-"))
     return sc._jsc.sc().getCheckpointDir().get()
 
@@ -42,6 +44,11 @@ def scratch(spark: SparkSession, what: str) -> str:
     return os.path.join(shared_dir(spark), f"{what}-{uuid.uuid4().hex}")
 
 
+def dealt(size: int, block_bytes: int, task_bytes: int) -> tuple[int, int]:
+    """Blocks and shuffle partitions for so many bytes. Several small blocks go to a task, one after another: memory follows a block, and tasks are alike."""
+    return max(1, -(-size // block_bytes)), max(1, -(-size // task_bytes))
+
+
 def text_or_empty(column: str = "text") -> Column:
     return F.coalesce(F.col(column), F.lit(""))
 

@@ -27,7 +27,7 @@ def op1_collision_counting(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op2_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .repeats import remove_repeats
 
-    return remove_repeats(table(spark, sf_dir, "documents"), texts=False).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+    return remove_repeats(table(spark, sf_dir, "documents"), wanted=["n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
 
 def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:

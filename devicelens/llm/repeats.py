@@ -3,42 +3,44 @@
 Every window of ``least`` bytes that lies in one document has an anchor value, the least hash among its ``GRAM``-byte grams: equal windows
 have equal anchors. Consecutive windows with one anchor value form a run, some 80 windows; so runs stand for all windows.
 
-1. Blocks of documents ask key ranges about their runs, by (anchor, digest of the run's bytes). Runs that occur twice are repeated as they
-   stand. Anchors with several distinct runs need a closer look; one block, the owner, sends each such run's bytes.
+1. Blocks of documents ask key ranges about their runs, by (anchor, 128-bit digest of the run's bytes). Copies of a run are one run that is
+   repeated as it stands. Anchors with several distinct runs need a closer look; one block, the owner, sends each such run's bytes.
 2. Per range of anchors an enhanced suffix array is built over these bytes, and a stack scan of its common-prefix intervals, testing whether the
    bytes on the left differ, gives the maximal repeats with all occurrences; those of at least ``least`` bytes are spans to remove.
-3. Anchors with more than ``hot`` distinct runs could fill a task. For these every window's hash is counted over ranges of hashes
-   instead, which spreads a group of any size.
+3. An anchor with more than ``hot`` distinct runs (a passage that ends in a different context in each of very many documents) is split, as one
+   task couldn't hold it: its windows are dealt by their own digests, so that equal windows meet, whatever the size of the group. This
+   changes where windows are compared, never what is found.
 4. Each block unites the spans of its documents.
 
 Rows: a null text is empty. Documents shorter than ``least`` lose nothing. Rows that repeat are documents of their own, so equal texts of
 ``least`` bytes or more go as a whole, each of them. A null doc_id is kept as it is. Empty tables give no rows. Other columns don't matter.
-Windows are told apart by 64-bit hashes in steps 1 and 3, and by their bytes in step 2.
+Equality is that of 128-bit digests in steps 1 and 3, and of bytes in step 2.
 """
 
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Iterable
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-import zstandard
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .blobs import pack, pack_sorted, slices, unpack, unpack_sorted
-from .common import cut, text_or_empty
+from .common import cut, dealt, text_or_empty
 from .suffixes import EnhancedSuffixArray
 from .vectors_of_text import _RANDOM, batches_of, mixed, powers
 
 LEAST, GRAM, HOT = 200, 32, 2_000
-BLOCK_BYTES, RANGE_BYTES, SEGMENT = 12 << 20, 16 << 20, 1 << 19
-FINER = 8  # ranges of suffix arrays for each range of questions: an array takes some 60 bytes for each of its own
+BLOCK_BYTES, TASK_BYTES, RANGE_BYTES, SEGMENT = 4 << 20, 12 << 20, 16 << 20, 1 << 17
+FINER = 12  # ranges of suffix arrays for each range of questions: an array takes some 60 bytes for each of its own
 REPEATED, SENT, BUSY = 1, 2, 4  # what an answer says of a run
-_ROW = "kind string, part int, block int, a binary, b binary, c binary, d binary, e binary"
-_ROW_TYPES = pa.schema([("kind", pa.string()), ("part", pa.int32()), ("block", pa.int32()), *((c, pa.binary()) for c in "abcde")])
+_ROW = "kind string, part int, block int, a binary, b binary, c binary, d binary"
+_ROW_TYPES = pa.schema([("kind", pa.string()), ("part", pa.int32()), ("block", pa.int32()), *((c, pa.binary()) for c in "abcd")])
 
 
 RESULT = "n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary, kept_text string, span_begins array<long>, span_ends array<long>"
@@ -46,7 +48,7 @@ RESULT = "n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept b
 
 @dataclass
 class Runs:
-    """Runs of windows: anchor, digest, document, first window, number of windows, and whether it may repeat in itself."""
+    """Runs of windows: anchor, digest (two halves), document, first window, number of windows, and whether it can't repeat in itself."""
 
     anchor: np.ndarray
     digest: np.ndarray
@@ -72,8 +74,9 @@ def _segments(texts: list[bytes], least: int) -> list[tuple[int, int, bytes]]:
     return [(i, at, t[at : at + SEGMENT + least - 1]) for i, t in enumerate(texts) for at in range(0, max(1, len(t) - least + 1), SEGMENT) if len(t) >= least]
 
 
-def _hash_of(sums: np.ndarray, begin: np.ndarray, length) -> np.ndarray:
-    return mixed((sums[begin + length] - sums[begin]) * powers()[1][begin] + np.asarray(length).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+def digests(strings: Iterable[bytes]) -> np.ndarray:
+    """128-bit digests, as two columns."""
+    return np.frombuffer(b"".join(map(xxhash.xxh3_128_digest, strings)), np.uint64).reshape(-1, 2)
 
 
 def runs_of(texts: list[bytes], least: int = LEAST) -> Runs:
@@ -81,9 +84,10 @@ def runs_of(texts: list[bytes], least: int = LEAST) -> Runs:
     found: list[tuple] = []
     segments = _segments(texts, least)
     width = least - GRAM + 1
-    for a, b in batches_of([s[2] for s in segments], (1 << 20) - 4096):
+    for a, b in batches_of([s[2] for s in segments], SEGMENT):
         part = segments[a:b]
-        data = np.frombuffer(b"".join(s[2] for s in part), np.uint8)
+        raw = b"".join(s[2] for s in part)
+        data = np.frombuffer(raw, np.uint8)
         edges = np.cumsum([0, *(len(s[2]) for s in part)])
         sums = np.zeros(len(data) + 1, np.uint64)
         np.cumsum(_RANDOM[data] * powers()[0][: len(data)], out=sums[1:])
@@ -109,24 +113,25 @@ def runs_of(texts: list[bytes], least: int = LEAST) -> Runs:
         docs, offsets = np.array([s[0] for s in part]), np.array([s[1] for s in part])
         seg = segment[begin]
         # least hashes crowd at the low end; mixed once more they spread over the key ranges
-        found.append((mixed(anchor[begin]), _hash_of(sums, begin, windows + least - 1), docs[seg], offsets[seg] + begin - edges[:-1][seg], windows, alone))
+        digest = digests(raw[i:j] for i, j in zip(begin.tolist(), (begin + windows + least - 1).tolist()))
+        found.append((mixed(anchor[begin]), digest, docs[seg], offsets[seg] + begin - edges[:-1][seg], windows, alone))
     if not found:
         empty = np.zeros(0, np.int64)
-        return Runs(empty.astype(np.uint64), empty.astype(np.uint64), empty, empty, empty, empty.astype(bool))
+        return Runs(empty.astype(np.uint64), np.zeros((0, 2), np.uint64), empty, empty, empty, empty.astype(bool))
     return Runs(*(np.concatenate(x) for x in zip(*found)))
 
 
 def _ordered(block: pa.Table) -> tuple[pa.Table, list[bytes]]:
     """The block's rows in an order that doesn't depend on how they came."""
     block = block.sort_by([(c, "ascending") for c in ("doc_id", "text", *(c for c in block.column_names if c not in ("doc_id", "text", "block")))])
-    return block, [t.encode() for t in block.column("text").to_pylist()]
+    return block, block.column("text").cast(pa.binary()).to_pylist()
 
 
 def _distinct(runs: Runs) -> tuple[np.ndarray, np.ndarray]:
     """Order by (anchor, digest), and where each distinct pair begins in it."""
-    order = np.lexsort((runs.digest, runs.anchor))
+    order = np.lexsort((runs.digest[:, 1], runs.digest[:, 0], runs.anchor))
     a, d = runs.anchor[order], runs.digest[order]
-    return order, np.flatnonzero(np.concatenate([[True], (a[1:] != a[:-1]) | (d[1:] != d[:-1])])) if len(order) else order
+    return order, np.flatnonzero(np.concatenate([[True], (a[1:] != a[:-1]) | (d[1:] != d[:-1]).any(axis=1)])) if len(order) else order
 
 
 def _table(rows: list[tuple]) -> pa.Table:
@@ -143,7 +148,7 @@ def ask(block: pa.Table, ranges: int, least: int) -> pa.Table:
     alone = np.logical_and.reduceat(runs.alone[order], first) if len(first) else runs.alone
     at = slices(anchor, ranges)
     return _table([
-        ("ask", i, number, pack_sorted(anchor[a:b]), digest[a:b].tobytes(), pack(np.minimum(counts[a:b], 2).astype(np.uint64)), pack(alone[a:b].astype(np.uint64)), None)
+        ("ask", i, number, pack_sorted(anchor[a:b]), digest[a:b].tobytes(), pack(np.minimum(counts[a:b], 2).astype(np.uint64)), pack(alone[a:b].astype(np.uint64)))
         for i, (a, b) in enumerate(zip(at[:-1], at[1:])) if a < b
     ])
 
@@ -154,24 +159,24 @@ def answer(asked: pa.Table, hot: int) -> pa.Table:
     parts = [unpack_sorted(x.as_py()) for x in asked.column("a")]
     sizes = [len(p) for p in parts]
     anchor = np.concatenate(parts)
-    digest = np.concatenate([np.frombuffer(x.as_py(), np.uint64) for x in asked.column("b")])
+    digest = np.concatenate([np.frombuffer(x.as_py(), np.uint64).reshape(-1, 2) for x in asked.column("b")])
     counts = np.concatenate([unpack(x.as_py()) for x in asked.column("c")]).astype(np.int64)
     alone = np.concatenate([unpack(x.as_py()) for x in asked.column("d")]).astype(bool)
-    order = np.lexsort((digest, anchor))  # equal runs stay in the order of blocks: the first owns them
+    order = np.lexsort((digest[:, 1], digest[:, 0], anchor))  # equal runs stay in the order of blocks: the first owns them
     a, d = anchor[order], digest[order]
     new_anchor = np.concatenate([[True], a[1:] != a[:-1]])
-    new_run = new_anchor | np.concatenate([[True], d[1:] != d[:-1]])
+    new_run = new_anchor | np.concatenate([[True], (d[1:] != d[:-1]).any(axis=1)])
     run, group = np.cumsum(new_run) - 1, np.cumsum(new_anchor) - 1
     total = np.bincount(run, weights=counts[order])
     distinct = np.bincount(group, weights=new_run)
     closer = (distinct > 1) | (np.bincount(group, weights=~alone[order]) > 0)
     flags = np.zeros(len(a), np.uint8)
     flags[order] = REPEATED * (total[run] > 1) + SENT * (new_run & closer[group]) + BUSY * (distinct[group] > hot)
-    return _table([("answer", asked.column("part")[i].as_py(), asked.column("block")[i].as_py(), pack(f.astype(np.uint64)), None, None, None, None) for i, f in enumerate(np.split(flags, np.cumsum(sizes)[:-1]))])
+    return _table([("answer", asked.column("part")[i].as_py(), asked.column("block")[i].as_py(), pack(f.astype(np.uint64)), None, None, None) for i, f in enumerate(np.split(flags, np.cumsum(sizes)[:-1]))])
 
 
 def _spans(block: int, doc: np.ndarray, begin: np.ndarray, end: np.ndarray) -> tuple:
-    return ("spans", 0, block, pack(doc.astype(np.uint64)), pack(begin.astype(np.uint64)), pack((end - begin).astype(np.uint64)), None, None)
+    return ("spans", 0, block, pack(doc.astype(np.uint64)), pack(begin.astype(np.uint64)), pack((end - begin).astype(np.uint64)), None)
 
 
 def sort_out(block: pa.Table, answers: pa.Table, ranges: int, least: int) -> pa.Table:
@@ -192,26 +197,24 @@ def sort_out(block: pa.Table, answers: pa.Table, ranges: int, least: int) -> pa.
     settled = (of_run[sent] & REPEATED) > 0
     doc, begin, size = runs.doc[sent], runs.begin[sent], runs.windows[sent] + least - 1
     at = slices(runs.anchor[sent], ranges * FINER)
-    squeeze = zstandard.ZstdCompressor(level=1)
     for i, (low, high) in enumerate(zip(at[:-1], at[1:])):
         chosen = np.arange(low, high)[~busy[low:high]]
         if len(chosen):
             raw = b"".join(texts[d][b : b + n] for d, b, n in zip(doc[chosen].tolist(), begin[chosen].tolist(), size[chosen].tolist()))
-            rows.append(("bytes", i, number, squeeze.compress(raw), *(pack(x[chosen].astype(np.uint64)) for x in (size, doc, begin, settled))))
+            rows.append(("bytes", i, number, pack(np.frombuffer(raw, np.uint8)), pack(np.concatenate([x[chosen].astype(np.uint64) for x in (size, doc, begin, settled)])), None, None))
     if busy.any():
-        hashes, docs, begins = [], [], []
+        found, docs, begins = [], [], []
         for k in np.flatnonzero(busy).tolist():
-            raw = np.frombuffer(texts[doc[k]][begin[k] : begin[k] + size[k]], np.uint8)
-            sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(_RANDOM[raw] * powers()[0][: len(raw)], dtype=np.uint64)])
+            raw = texts[doc[k]][begin[k] : begin[k] + size[k]]
             start = np.arange(len(raw) - least + 1)
-            hashes.append(_hash_of(sums, start, np.full(len(start), least)))
+            found.append(digests(raw[i : i + least] for i in range(len(start))))
             docs.append(np.full(len(start), 0 if settled[k] else doc[k] + 1))  # 0: needs no answer
             begins.append(start + begin[k])
-        every, docs, begins = (np.concatenate(x) for x in (hashes, docs, begins))
-        by_hash = np.argsort(every, kind="stable")
-        every, docs, begins = every[by_hash], docs[by_hash], begins[by_hash]
-        at = slices(every, ranges)
-        rows += [("windows", i, number, pack_sorted(every[a:b]), pack(docs[a:b].astype(np.uint64)), pack(begins[a:b].astype(np.uint64)), None, None) for i, (a, b) in enumerate(zip(at[:-1], at[1:])) if a < b]
+        every, docs, begins = (np.concatenate(x) for x in (found, docs, begins))
+        by_digest = np.argsort(every[:, 0], kind="stable")
+        every, docs, begins = every[by_digest], docs[by_digest], begins[by_digest]
+        at = slices(every[:, 0], ranges)
+        rows += [("windows", i, number, pack_sorted(every[a:b, 0]), pack(docs[a:b].astype(np.uint64)), pack(begins[a:b].astype(np.uint64)), every[a:b, 1].tobytes()) for i, (a, b) in enumerate(zip(at[:-1], at[1:])) if a < b]
     return _table(rows)
 
 
@@ -223,9 +226,9 @@ def look_closer(sent: pa.Table, least: int) -> pa.Table:
 def _by_suffixes(sent: pa.Table, least: int) -> pa.Table:
     strings: list[bytes] = []
     blocks, docs, begins, settled = [], [], [], []
-    for block, raw, *packed in zip(*(sent.column(c).to_pylist() for c in ("block", "a", "b", "c", "d", "e"))):
-        size, doc, begin, known = (unpack(x).astype(np.int64) for x in packed)
-        raw = zstandard.ZstdDecompressor().decompress(raw)
+    for block, raw, packed in zip(*(sent.column(c).to_pylist() for c in ("block", "a", "b"))):
+        size, doc, begin, known = unpack(packed).astype(np.int64).reshape(4, -1)
+        raw = unpack(raw).tobytes()
         edges = np.cumsum([0, *size])
         strings += [raw[a:b] for a, b in zip(edges[:-1], edges[1:])]
         blocks.append(np.full(len(size), block)), docs.append(doc), begins.append(begin), settled.append(known)
@@ -249,14 +252,19 @@ def _by_suffixes(sent: pa.Table, least: int) -> pa.Table:
 
 
 def _by_windows(sent: pa.Table, least: int) -> pa.Table:
-    hashes = [unpack_sorted(x.as_py()) for x in sent.column("a")]
-    values, counts = np.unique(np.concatenate(hashes), return_counts=True)
-    rows = []
-    for block, mine, doc, begin in zip(sent.column("block").to_pylist(), hashes, sent.column("b").to_pylist(), sent.column("c").to_pylist()):
+    found = [np.column_stack([unpack_sorted(x), np.frombuffer(y, np.uint64)]) for x, y in zip(sent.column("a").to_pylist(), sent.column("d").to_pylist())]
+    every = np.concatenate(found)
+    order = np.lexsort((every[:, 1], every[:, 0]))
+    same = (every[order[1:]] == every[order[:-1]]).all(axis=1)
+    again = np.zeros(len(every), bool)
+    again[order[1:]] = same
+    again[order[:-1]] |= same
+    rows, edges = [], np.cumsum([0, *map(len, found)])
+    for block, doc, begin, a, b in zip(sent.column("block").to_pylist(), sent.column("b").to_pylist(), sent.column("c").to_pylist(), edges[:-1], edges[1:]):
         doc, begin = unpack(doc).astype(np.int64), unpack(begin).astype(np.int64)
-        again = (counts[np.searchsorted(values, mine)] > 1) & (doc > 0)
-        if again.any():
-            rows.append(_spans(block, doc[again] - 1, begin[again], begin[again] + least))
+        mine = again[a:b] & (doc > 0)
+        if mine.any():
+            rows.append(_spans(block, doc[mine] - 1, begin[mine], begin[mine] + least))
     return _table(rows)
 
 
@@ -273,42 +281,41 @@ def united(doc: np.ndarray, begin: np.ndarray, end: np.ndarray) -> tuple[np.ndar
     return doc[first], begin[first], reach[np.append(first[1:], len(doc)) - 1] - doc[first] * base
 
 
-def remove(block: pa.Table, spans: pa.Table, carry: list[str]) -> pa.Table:
+def remove(block: pa.Table, spans: pa.Table, carry: list[str], wanted: list[str]) -> pa.Table:
     """The block's documents with what is left of them; ``kept_text`` leaves out characters of which bytes went."""
     block, texts = _ordered(block)
     got = [[unpack(x.as_py()).astype(np.int64) for x in spans.column(c)] for c in ("a", "b", "c")] if spans.num_rows else [[], [], []]
     doc, begin, length = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in got)
     doc, begin, end = united(doc, begin, begin + length)
     edges = np.searchsorted(doc, np.arange(len(texts) + 1))
-    rows: list[tuple] = []
+    columns: dict[str, list] = {name: [] for name in wanted}
     for i, text in enumerate(texts):
-        mine = list(zip(begin[edges[i] : edges[i + 1]].tolist(), end[edges[i] : edges[i + 1]].tolist()))
-        kept, at = [], 0
-        for b, e in mine:
-            kept.append(text[at:b])
-            at = e
-        left = b"".join([*kept, text[at:]])
-        rows.append((len(text), len(text) - len(left), len(mine), hashlib.sha256(left).hexdigest(), left, left.decode("utf-8", "ignore"), [b for b, _ in mine], [e for _, e in mine]))
-    types = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.int64())]
-    names = ["n_bytes", "n_removed", "n_spans", "kept_sha256", "kept", "kept_text", "span_begins", "span_ends"]
-    return pa.table([*(block.column(c) for c in ("doc_id", *carry)), *(pa.array([r[i] for r in rows], t) for i, t in enumerate(types))], names=["doc_id", *carry, *names])
-
-
-def remove_repeats(docs: DataFrame, least: int = LEAST, hot: int = HOT, block_bytes: int = BLOCK_BYTES, carry: list[str] | None = None, texts: bool = True) -> DataFrame:
-    """doc_id, the columns to carry, n_bytes, n_removed, n_spans, kept_sha256, kept (the remaining bytes), kept_text, span_begins and
-    span_ends of every row; without kept and kept_text unless ``texts``."""
+        starts, stops = begin[edges[i] : edges[i + 1]].tolist(), end[edges[i] : edges[i + 1]].tolist()
+        left = b"".join(text[a:b] for a, b in zip([0, *stops], [*starts, len(text)])) if starts else text
+        values = {
+            "n_bytes": len(text), "n_removed": len(text) - len(left), "n_spans": len(starts), "kept": left, "span_begins": starts, "span_ends": stops,
+            "kept_sha256": hashlib.sha256(left).hexdigest() if "kept_sha256" in columns else None, "kept_text": left.decode("utf-8", "ignore") if "kept_text" in columns else None,
+        }
+        for name, column in columns.items():
+            column.append(values[name])
+    types = {"kept_sha256": pa.string(), "kept": pa.binary(), "kept_text": pa.string(), "span_begins": pa.list_(pa.int64()), "span_ends": pa.list_(pa.int64())}
+    return pa.table([*(block.column(c) for c in ("doc_id", *carry)), *(pa.array(v, types.get(n, pa.int64())) for n, v in columns.items())], names=["doc_id", *carry, *wanted])
+
+
+def remove_repeats(docs: DataFrame, least: int = LEAST, hot: int = HOT, block_bytes: int = BLOCK_BYTES, carry: list[str] | None = None, wanted: list[str] | None = None) -> DataFrame:
+    """doc_id, the columns to carry, and the ``wanted`` ones (all, if not said) of n_bytes, n_removed, n_spans, kept_sha256, kept (the
+    remaining bytes), kept_text, span_begins and span_ends of every row."""
     carry = carry or []
     rows = docs.select("doc_id", *carry, text_or_empty().alias("text"))
     size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0  # how much there is decides only how it is dealt
-    blocks, ranges = int(max(1, -(-size // block_bytes))), int(max(1, -(-size // RANGE_BYTES)))
-    dealt = rows.withColumn("block", F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(blocks)).cast("int")).repartition(blocks, "block")
-    asked = dealt.groupBy("block").applyInArrow(lambda b: ask(b, ranges, least), _ROW)
+    blocks, tasks = dealt(size, block_bytes, TASK_BYTES)
+    ranges = dealt(size, RANGE_BYTES, RANGE_BYTES)[0]
+    parted = rows.withColumn("block", F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(blocks)).cast("int")).repartition(tasks, "block")
+    asked = parted.groupBy("block").applyInArrow(lambda b: ask(b, ranges, least), _ROW)
     answers = asked.groupBy("part").applyInArrow(lambda a: answer(a, hot), _ROW)
-    sorted_out = cut(dealt.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(lambda b, a: sort_out(b, a, ranges, least), _ROW))
+    sorted_out = cut(parted.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(lambda b, a: sort_out(b, a, ranges, least), _ROW))
     found = sorted_out.filter("kind <> 'spans'").groupBy("kind", "part").applyInArrow(lambda s: look_closer(s, least), _ROW)
     spans = sorted_out.filter("kind = 'spans'").union(found)
-    schema = docs.select(F.col("doc_id").cast("long"), *carry).schema
-    result = T.StructType(schema.fields + T.StructType.fromDDL(RESULT).fields)
-    names = [f.name for f in result if texts or not f.name.startswith("kept_text") and f.name != "kept"]
-    result = T.StructType([f for f in result if f.name in names])
-    return dealt.groupBy("block").cogroup(spans.groupBy("block")).applyInArrow(lambda b, s: remove(b, s, carry).select(names), result)
+    fields = [f for f in T.StructType.fromDDL(RESULT) if wanted is None or f.name in wanted]
+    result = T.StructType([*docs.select(F.col("doc_id").cast("long"), *carry).schema.fields, *fields])
+    return parted.groupBy("block").cogroup(spans.groupBy("block")).applyInArrow(lambda b, s: remove(b, s, carry, [f.name for f in fields]), result)

@@ -12,7 +12,7 @@ import numpy as np
 
 _P = np.uint64(0x9E3779B97F4A7C15 | 1)
 _P_INVERSE = np.uint64(pow(int(_P), -1, 1 << 64))
-_LONGEST = 1 << 21  # bytes for which powers are kept; longer texts are hashed in pieces
+_LONGEST = 1 << 18  # bytes for which powers are kept; longer texts are hashed in pieces
 _RANDOM = np.random.default_rng(20240607).integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
@@ -82,7 +82,7 @@ def joined(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer(b"\n".join([*texts, b""]), np.uint8), starts
 
 
-def batches_of(texts: list[bytes], at_most: int = 1 << 20) -> Iterator[tuple[int, int]]:
+def batches_of(texts: list[bytes], at_most: int = 1 << 19) -> Iterator[tuple[int, int]]:
     """Ranges of texts of about at_most bytes together."""
     first, size = 0, 0
     for i, t in enumerate(texts):
