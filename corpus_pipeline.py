@@ -44,7 +44,7 @@ def dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    left = remove_repeats(docs.select(*COLUMNS), carry=["lang", "source"]).withColumn("text", F.col("kept_text"))
+    left = remove_repeats(docs.select(*COLUMNS), carry=["lang", "source"], wanted=["kept_text"]).withColumnRenamed("kept_text", "text")
     return left.filter(F.col("text").rlike(WORD)).withColumn("n_chars", F.char_length("text").cast("long")).select(*COLUMNS)
 
 
