@@ -3,13 +3,16 @@
 A document's set holds the distinct runs of ``width`` words of its whole text (with fewer words, all of them as one run).
 Documents with equal sets are one class; classes are joined, documents follow their class.
 
-1. Texts are dealt into blocks; what each n-gram's document frequency is, is asked of key ranges, as for the language model.
-   (frequency, hash) is the global order, rarest first.
+1. A text's n-grams are hashed twice: for its class and, one text a class and task, for its set, which is dealt into blocks as packed hashes.
+   What each n-gram's document frequency is, blocks ask of key ranges, as for the language model. (frequency, hash) is the global order,
+   rarest first.
 2. A similar pair shares one of the first |set| - ceil(0.85 |set|) + 1 elements of both. Elements that one class alone has link
    nothing, so most classes end here; the others go on with their shared elements.
-3. Classes that share such an element hang together; each such cluster is joined in one task by a prefix tree, in which subtrees share
-   the overlap of their path and are pruned by the remaining lengths. Clusters of more than ``bucket`` classes are cut
-   into parts and every pair of parts is a task of its own, so no task grows with a cluster and no pair of a cluster is a row.
+3. Sizes fall into bands as wide as similar sets may differ, so a similar pair lies in one band or two neighbouring ones. For every pair of
+   neighbouring bands, classes that share an element of step 2 hang together; each such cluster is joined in one task by a prefix tree, in
+   which subtrees share the overlap of their path and are pruned by the remaining lengths. A passage that is rare enough to count in many
+   documents thus chains those of like length only. Clusters of more than ``bucket`` classes are cut into parts and every pair of parts is a
+   task of its own, so no task grows with a cluster and no pair of a cluster is a row.
 4. Tasks send a spanning forest of the links; its components are the result.
 
 Rows: null texts and texts without words have an empty set, 0 n-grams, and are linked with nothing. A null doc_id keeps its row and names
@@ -19,6 +22,7 @@ don't matter. Hashes have 64 bits for elements and 128 for classes.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -29,13 +33,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .blobs import merge, pack, pack_sorted, slices, unpack, unpack_sorted
-from .common import cut, portions, text_or_empty
+from .common import cut, dealt, portions, text_or_empty
 from .components import components
 from .prefix_tree import PERCENT, linked
 from .vectors_of_text import batches_of, mixed, words_by_text
 
 WIDTH, BUCKET = 4, 4_000
-BLOCK_BYTES, RANGE_BYTES = 12 << 20, 16 << 20
+BLOCK_BYTES, TASK_BYTES, RANGE_BYTES = 4 << 20, 12 << 20, 16 << 20
 _SHIFT = np.uint64(16)  # frequencies are counted by the upper 48 bits
 _FACTORS = np.random.default_rng(8).integers(1, 1 << 63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
@@ -70,37 +74,38 @@ def sets_of(docs: DataFrame, width: int = WIDTH, carry: list[str] | None = None)
 
     def classes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in portions(batches, place):
-            sets = ngram_sets([t.encode() for t in batch.column(place).to_pylist()], width)
+            sets = ngram_sets(batch.column(place).cast(pa.binary()).to_pylist(), width)
             yield pa.RecordBatch.from_arrays([*batch.columns[:place], pa.array(map(len, sets), pa.int64()), pa.array(map(set_id, sets), pa.binary())], [*names, "n_shingles", "class"])
 
     schema = T.StructType([*kept.schema.fields, *T.StructType.fromDDL("n_shingles long, class binary").fields])
     return docs.select(F.col("doc_id").cast("long"), *(carry or []), text_or_empty().alias("text")).mapInArrow(classes, schema)
 
 
-def dealt_texts(docs: DataFrame, blocks: int, width: int = WIDTH) -> DataFrame:
-    """block, class and a text of it; a task sends one text of a class only, so a block gets no more copies than there are tasks."""
+def dealt_sets(docs: DataFrame, blocks: int, tasks: int, width: int = WIDTH) -> DataFrame:
+    """block, class and its packed set; a task sends a class once only, so a block gets no more copies than there are tasks."""
 
     def sent(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[bytes] = set()
         for batch in portions(batches, 0):
-            texts = batch.column(0).to_pylist()
-            ids = [set_id(s) for s in ngram_sets([t.encode() for t in texts], width)]
-            keep = [i for i, x in enumerate(ids) if x and not (x in seen or seen.add(x))]
-            number = [int.from_bytes(ids[i][:8], "big") % blocks for i in keep]
-            yield pa.RecordBatch.from_arrays([pa.array(number, pa.int32()), pa.array([ids[i] for i in keep], pa.binary()), batch.column(0).take(pa.array(keep, pa.int64()))], ["block", "class", "text"])
+            found = {}
+            for elements in ngram_sets(batch.column(0).cast(pa.binary()).to_pylist(), width):
+                key = set_id(elements)
+                if key and key not in seen:
+                    seen.add(key)
+                    found[key] = pack_sorted(elements)
+            yield pa.RecordBatch.from_arrays([pa.array([int.from_bytes(k[:8], "big") % blocks for k in found], pa.int32()), pa.array(found.keys(), pa.binary()), pa.array(found.values(), pa.binary())], ["block", "class", "elements"])
 
-    return docs.select(text_or_empty().alias("text")).mapInArrow(sent, "block int, class binary, text string").repartition(blocks, "block")
+    return docs.select(text_or_empty().alias("text")).mapInArrow(sent, "block int, class binary, elements binary").repartition(tasks, "block")
 
 
-def block_sets(block: pa.Table, width: int) -> dict[bytes, np.ndarray]:
-    texts = dict(zip(block.column("class").to_pylist(), block.column("text").to_pylist()))
-    order = sorted(texts)
-    return dict(zip(order, ngram_sets([texts[k].encode() for k in order], width)))
+def block_sets(block: pa.Table) -> dict[bytes, np.ndarray]:
+    packed = dict(zip(block.column("class").to_pylist(), block.column("elements").to_pylist()))
+    return {k: unpack_sorted(packed[k]) for k in sorted(packed)}
 
 
-def ask(block: pa.Table, ranges: int, width: int) -> pa.Table:
+def ask(block: pa.Table, ranges: int) -> pa.Table:
     """A block's elements with the number of its classes that have them."""
-    keys, counts = np.unique(np.concatenate([*block_sets(block, width).values()]) >> _SHIFT, return_counts=True)
+    keys, counts = np.unique(np.concatenate([*block_sets(block).values()]) >> _SHIFT, return_counts=True)
     at = slices(keys, ranges, 48)
     parts = [i for i in range(ranges) if at[i] < at[i + 1]]
     number = block.column("block")[0].as_py()
@@ -119,11 +124,16 @@ def answer(asked: pa.Table) -> pa.Table:
     return pa.table({"part": asked.column("part"), "block": asked.column("block"), "counts": pa.array([pack(counts[np.searchsorted(total, k)]) for k in keys], pa.binary())})
 
 
-def prefixes(block: pa.Table, answers: pa.Table, width: int, percent: int) -> pa.Table:
+def band_of(size: int, percent: int) -> int:
+    """Sets whose sizes differ as much as similar ones may lie in one band or in neighbouring ones."""
+    return int(math.log(size) / (math.log(100 / percent) * (1 + 1e-9))) if percent < 100 else size
+
+
+def prefixes(block: pa.Table, answers: pa.Table, percent: int) -> pa.Table:
     """The classes whose prefix holds shared elements: these, all their shared elements, and frequencies."""
-    sets = block_sets(block, width)
+    sets = block_sets(block)
     keys = np.unique(np.concatenate([*sets.values()]) >> _SHIFT)
-    frequency = np.concatenate([unpack(c) for _, c in sorted(zip(answers.column("part").to_pylist(), answers.column("counts").to_pylist()))]).astype(np.uint64)
+    frequency = np.concatenate([unpack(c) for _, c in sorted(zip(answers.column("part").to_pylist(), answers.column("counts").to_pylist()))]).astype(np.uint32)
     rows: list[tuple] = []
     for key, elements in sets.items():
         often = frequency[np.searchsorted(keys, elements >> _SHIFT)]
@@ -132,9 +142,9 @@ def prefixes(block: pa.Table, answers: pa.Table, width: int, percent: int) -> pa
         shared = first[often[first] > 1]
         if len(shared):
             kept = often > 1
-            rows.append((key, n, elements[shared].view(np.int64).tolist(), pack_sorted(elements[kept]), pack(often[kept])))
-    names = ["class", "size", "prefix", "elements", "frequencies"]
-    types = [pa.binary(), pa.int64(), pa.list_(pa.int64()), pa.binary(), pa.binary()]
+            rows.append((key, n, band_of(n, percent), elements[shared].view(np.int64).tolist(), pack_sorted(elements[kept]), pack(often[kept].astype(np.uint64))))
+    names = ["class", "size", "band", "prefix", "elements", "frequencies"]
+    types = [pa.binary(), pa.int64(), pa.int32(), pa.list_(pa.int64()), pa.binary(), pa.binary()]
     return pa.table([pa.array([r[i] for r in rows], t) for i, t in enumerate(types)], names=names)
 
 
@@ -158,34 +168,46 @@ def join_bucket(members: pa.Table, percent: int) -> pa.Table:
 def similar_classes(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, bucket: int = BUCKET, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """a, b: a spanning forest of the links between classes."""
     size = docs.agg(F.sum(F.octet_length(text_or_empty()))).first()[0] or 0  # how much there is decides only how it is dealt
-    blocks, ranges = int(max(1, -(-size // block_bytes))), int(max(1, -(-size // RANGE_BYTES)))
-    dealt = dealt_texts(docs, blocks, width)
-    asked = dealt.groupBy("block").applyInArrow(lambda b: ask(b, ranges, width), "part int, block int, keys binary, counts binary")
+    blocks, tasks = dealt(size, block_bytes, TASK_BYTES)
+    ranges = dealt(size, RANGE_BYTES, RANGE_BYTES)[0]
+    sets = dealt_sets(docs, blocks, tasks, width)
+    asked = sets.groupBy("block").applyInArrow(lambda b: ask(b, ranges), "part int, block int, keys binary, counts binary")
     answers = asked.groupBy("part").applyInArrow(answer, "part int, block int, counts binary")
     shared = cut(
-        dealt.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(lambda b, a: prefixes(b, a, width, percent), "class binary, size long, prefix array<long>, elements binary, frequencies binary")
+        sets.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(lambda b, a: prefixes(b, a, percent), "class binary, size long, band int, prefix array<long>, elements binary, frequencies binary")
     )
-    firsts = shared.select("class", F.explode("prefix").alias("element"))
-    lead = firsts.groupBy("element").agg(F.min("class").alias("lead"), F.max("class").alias("last")).filter("lead < last").drop("last")
-    clusters = components(firsts.join(lead, "element").select(F.col("class").alias("a"), F.col("lead").alias("b")).distinct())
-    members = shared.drop("prefix").join(clusters.select(F.col("node").alias("class"), F.col("root").alias("cluster")), "class")
-    parts = clusters.groupBy("root").agg(F.count("*").alias("members")).select(F.col("root").alias("cluster"), F.greatest(F.lit(1), F.ceil(F.col("members") * 2 / bucket)).alias("parts"))
+    # a class stands in the space of its own band and the next, and in that of the band before and its own; a node is a class in a space
+    node = lambda c, space: F.concat(c, F.unhex(F.lpad(F.hex(space), 16, "0")))
+    spaces = F.explode(F.array(F.col("band"), F.col("band") + 1)).alias("space")
+    firsts = shared.select("class", spaces, "prefix").select("class", "space", F.explode("prefix").alias("element"))
+    lead = firsts.groupBy("element", "space").agg(F.min("class").alias("lead"), F.max("class").alias("last")).filter("lead < last").drop("last")
+    stars = firsts.join(lead, ["element", "space"]).select(node(F.col("class"), F.col("space")).alias("a"), node(F.col("lead"), F.col("space")).alias("b"))
+    clusters = components(stars.distinct()).select(F.substring("node", 1, 16).alias("class"), F.col("root").alias("cluster"))
+    parts = clusters.groupBy("cluster").agg(F.count("*").alias("members")).select("cluster", F.greatest(F.lit(1), F.ceil(F.col("members") * 2 / bucket)).alias("parts"))
     parts = parts.withColumn("parts", F.when(F.col("parts") <= 2, 1).otherwise(F.col("parts")))
-    placed = members.join(parts, "cluster").withColumn("part", F.pmod(F.xxhash64("class"), "parts"))
-    tasks = placed.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)))
-    tasks = tasks.select("class", "size", "elements", "frequencies", "part", "cluster", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"))
-    return tasks.groupBy("cluster", "i", "j").applyInArrow(lambda m: join_bucket(m, percent), "a binary, b binary")
+    placed = clusters.join(parts, "cluster").withColumn("part", F.pmod(F.xxhash64("class"), "parts"))
+    dealt_out = placed.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)))
+    dealt_out = dealt_out.select("class", "part", "cluster", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"))
+    members = dealt_out.join(shared.select("class", "size", "elements", "frequencies"), "class")
+    return members.groupBy("cluster", "i", "j").applyInArrow(lambda m: join_bucket(m, percent), "a binary, b binary")
+
+
+def classes_and_roots(docs: DataFrame, width: int, percent: int, bucket: int, carry: list[str] | None = None) -> tuple[DataFrame, DataFrame]:
+    """The rows with their class, and class and root of every class that is linked."""
+    return cut(sets_of(docs, width, carry)), components(similar_classes(docs, width, percent, bucket)).withColumnRenamed("node", "class")
 
 
 def grouped_rows(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, bucket: int = BUCKET, carry: list[str] | None = None) -> DataFrame:
     """doc_id, the columns to carry, n_shingles and root (one value a component, null for rows without words) of every row."""
-    classes = cut(sets_of(docs, width, carry))
-    roots = components(similar_classes(docs, width, percent, bucket)).withColumnRenamed("node", "class")
+    classes, roots = classes_and_roots(docs, width, percent, bucket, carry)
     return classes.join(roots, "class", "left").withColumn("root", F.coalesce("root", "class")).drop("class")
 
 
 def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, bucket: int = BUCKET) -> DataFrame:
     """doc_id, n_shingles and component_id (the smallest doc_id reachable by links) of every row."""
-    grouped = grouped_rows(docs, width, percent, bucket)
-    least = grouped.filter("root IS NOT NULL").groupBy("root").agg(F.min("doc_id").alias("least"))
-    return grouped.join(least, "root", "left").select("doc_id", "n_shingles", F.coalesce("least", "doc_id").alias("component_id"))
+    classes, roots = classes_and_roots(docs, width, percent, bucket)
+    known = classes.filter("class IS NOT NULL").groupBy("class").agg(F.min("doc_id").alias("first"), F.count("*").alias("copies"))
+    known = known.join(roots, "class", "left").filter("copies > 1 OR root IS NOT NULL").withColumn("root", F.coalesce("root", "class"))
+    least = known.groupBy("root").agg(F.min("first").alias("least"))
+    named = known.join(least, "root").select("class", "least")  # classes that are linked or have copies; the others are their own
+    return classes.join(named, "class", "left").select("doc_id", "n_shingles", F.coalesce("least", "doc_id").alias("component_id"))
