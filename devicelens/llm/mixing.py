@@ -3,18 +3,23 @@
 Of every source the mix wants a number of words, the target. Whole repeats of a source go first; for what then remains of its
 target, documents are counted by exact length and a like share of every length is taken. What a length's share lacks to a whole
 document is carried to the next greater length, so neighbouring lengths share their documents out between them, and in the end less
-than one document of the greatest length is left to fill. A bounded-knapsack dynamic program over the documents still at hand fills
-that exactly, or as nearly below it as a choice among them can; another choice of shares might come nearer. How many documents of a
+than one document of the greatest length is left to fill. A bounded-knapsack dynamic program fills that with documents still at hand; where no
+choice of them fits exactly, some of the shares are taken back, more and more of them, and the program chooses among those documents as
+well. It ends with an exact fit, or with the best of all choices where the whole source fits its ``PROGRAM_WORDS``; in greater
+sources a gap could only stay if not even that many words of free choice fit. How many documents of a
 length go is thus decided on counts alone, whatever the seed; which of them, by a seeded order.
 
 Rows: a null text has size 0 and is never taken; a null source is a source of its own, the last; rows that are repeated count
-each; equal rows are equal to the order too, so reruns agree. An empty table gives no rows. Other columns don't matter.
+each; equal rows are equal to the order too, so reruns agree. An empty table gives no rows. Other columns are kept, but those named size,
+source_size, target or taken, which the result's own replace.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterable
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -24,7 +29,7 @@ from .common import WORD, text_or_empty
 
 WEIGHTS, SHARE, MAX_REPEATS, SEED = (5, 2, 1), 1.0, 3, "mix-1"
 DEALT = 256  # parts by the seeded order within one source and length, so that no single task ranks them all
-EXACT_WORDS = 200_000  # budget up to which the dynamic program runs over single words
+PROGRAM_WORDS = 1 << 21  # words the dynamic program runs over at most, but for a single longer document: 4 bytes each
 
 
 def sized(docs: DataFrame) -> DataFrame:
@@ -55,13 +60,41 @@ def targets(totals: DataFrame, weights: Iterable[int] = WEIGHTS, share: float =
     )
 
 
-def fill(budget: int, lengths: dict[int, int]) -> dict[int, int]:
+def knapsack(budget: int, at_hand: dict[int, int]) -> dict[int, int]:
+    """How many documents of each length, of those at hand, come nearest to the budget from below.
+
+    One bit a sum says what can be reached, and one number a sum by which lot it was reached first: lots of 1, 2, 4 ... documents of a
+    length stand for every number of them. Lengths come in the order given, and a sum prefers those that came first.
+    """
+    mask, reach, lots = (1 << (budget + 1)) - 1, 1, []
+    first = np.full(budget + 1, -1, np.int32)
+    for n, count in at_hand.items():
+        rest, lot = min(count, budget // n), 1
+        while rest > 0 and not reach >> budget & 1:
+            lot = min(lot, rest)
+            new = (reach << n * lot) & mask & ~reach
+            if new:
+                bits = np.unpackbits(np.frombuffer(new.to_bytes(-(-(budget + 1) // 8), "little"), np.uint8), bitorder="little")
+                first[np.flatnonzero(bits)] = len(lots)
+                lots.append((n, lot))
+                reach |= new
+            rest, lot = rest - lot, lot * 2
+    at, taken = reach.bit_length() - 1, {}
+    while at:  # a sum's first lot came after those of the sum without it
+        n, lot = lots[first[at]]
+        taken[n] = taken.get(n, 0) + lot
+        at -= n * lot
+    return taken
+
+
+def fill(budget: int, lengths: dict[int, int], program_words: int = PROGRAM_WORDS) -> dict[int, int]:
     """How many documents of each length go: a like share of every length, then what fills the budget best from below."""
     if budget <= 0 or not lengths:
         return {}
     total = sum(n * c for n, c in lengths.items())
     if total <= budget:
         return dict(lengths)
+    budget -= budget % math.gcd(*lengths)  # nothing lies between
     taken, owed = {}, 0  # owed: words times total, always less than a document of the length at hand
     for n in sorted(lengths):
         taken[n], part = divmod(lengths[n] * budget, total)
@@ -70,27 +103,24 @@ def fill(budget: int, lengths: dict[int, int]) -> dict[int, int]:
             taken[n] += 1
             owed -= n * total
     left = budget - sum(n * c for n, c in taken.items())
-    for n in sorted(lengths, reverse=True):  # more than this is left only where single documents are longer
-        if left > EXACT_WORDS:
-            more = min(lengths[n] - taken[n], (left - EXACT_WORDS // 2) // n)
-            if more > 0:
-                taken[n] += more
-                left -= more * n
-    mask, reach, steps = (1 << (left + 1)) - 1, 1, []
-    for n in sorted(lengths, reverse=True):
-        rest, lot = min(lengths[n] - taken[n], left // n), 1
-        while rest > 0:  # lots of 1, 2, 4 ... documents stand for every number up to the rest
-            lot = min(lot, rest)
-            steps.append((n, lot, reach))
-            reach = (reach | reach << n * lot) & mask
-            rest, lot = rest - lot, lot * 2
-        if reach >> left & 1:
+    longest_first, back, given, free = sorted(lengths, reverse=True), {}, 0, 0
+    while True:
+        # documents of shares that were taken back come first, so the shares change no more than they must
+        at_hand = {n: c for n, c in back.items() if c}
+        more = knapsack(left + given, at_hand | {n: lengths[n] - taken[n] + back.get(n, 0) for n in longest_first if lengths[n] > taken[n] - back.get(n, 0)})
+        gap = left + given - sum(n * c for n, c in more.items())
+        held = [n for n in sorted(lengths) if taken[n] > back.get(n, 0)]
+        free = max(2 * free, 4 * longest_first[0])
+        if not gap or not held or left + given >= max(program_words, 2 * longest_first[0]):
             break
-    at = reach.bit_length() - 1
-    for n, lot, before in reversed(steps):
-        if not before >> at & 1:
-            taken[n] += lot
-            at -= n * lot
+        while held and given < free:  # one more document of each length, the shortest first
+            for n in held:
+                if given < free:
+                    back[n] = back.get(n, 0) + 1
+                    given += n
+            held = [n for n in held if taken[n] > back.get(n, 0)]
+    for n in lengths:
+        taken[n] += more.get(n, 0) - back.get(n, 0)
     return {n: c for n, c in taken.items() if c}
 
 
@@ -114,20 +144,26 @@ def choose_counts(lengths: DataFrame, goals: DataFrame) -> DataFrame:
 
 def mix(docs: DataFrame, weights: Iterable[int] = WEIGHTS, share: float = SHARE, seed: str = SEED) -> DataFrame:
     """The rows of docs with size, source_size, target and taken (words that go, repeats counted)."""
-    rows = sized(docs)
+    kept = [c for c in docs.columns if c not in ("size", "source_size", "target", "taken")]
+    if "text" not in kept:  # sizes are known already
+        rows = docs.select(*kept, "size")
+    else:
+        rows = sized(docs.select(*kept))
     lengths = rows.groupBy("source", "size").agg(F.count("*").alias("documents"))
     goals = targets(lengths.groupBy("source").agg(F.sum(F.col("size") * F.col("documents")).alias("source_size")), weights, share)
     counts = choose_counts(lengths, goals)
     order = F.xxhash64(F.lit(seed), F.col("doc_id"))
-    rows = rows.withColumn("_order", order).withColumn("_part", F.pmod(F.shiftright("_order", 20), F.lit(DEALT)).cast("int"))
+    mine = lambda name: F.col(f"mix.{name}")  # noqa: E731  the operator's own columns are fields of one, so that none can clash
+    rows = rows.select(F.struct(*kept, "size").alias("row"), F.struct(F.col("source").alias("source"), F.col("size").alias("size"), order.alias("order"), F.pmod(F.shiftright(order, 20), F.lit(DEALT)).cast("int").alias("part"), F.col("doc_id").alias("doc_id")).alias("mix"))
     # a part's documents come after those of the parts before it
-    parts = rows.groupBy("source", "size", "_part").agg(F.count("*").alias("_n"))
-    ahead = W.partitionBy("source", "size").orderBy("_part").rowsBetween(W.unboundedPreceding, -1)
-    parts = parts.withColumn("_ahead", F.coalesce(F.sum("_n").over(ahead), F.lit(0)))
+    parts = rows.groupBy(mine("source").alias("source"), mine("size").alias("size"), mine("part").alias("part")).agg(F.count("*").alias("n"))
+    ahead = W.partitionBy("source", "size").orderBy("part").rowsBetween(W.unboundedPreceding, -1)
+    parts = parts.withColumn("ahead", F.coalesce(F.sum("n").over(ahead), F.lit(0)))
     plan = parts.join(counts, parts.source.eqNullSafe(counts.source) & (parts["size"] == counts["size"])).select(
-        parts.source.alias("_source"), parts["size"].alias("_size"), F.col("_part").alias("_p"), "repeats", (F.col("extra") - F.col("_ahead")).alias("_extra"), "source_size", "target"
+        F.struct(parts.source.alias("source"), parts["size"].alias("size"), F.col("part"), "repeats", (F.col("extra") - F.col("ahead")).alias("extra"), "source_size", "target").alias("plan")
     )
-    ranked = W.partitionBy("source", "size", "_part").orderBy("_order", "doc_id")
-    joined = rows.join(plan, rows.source.eqNullSafe(F.col("_source")) & (rows["size"] == F.col("_size")) & (rows["_part"] == F.col("_p")))
-    once_more = (F.row_number().over(ranked) <= F.col("_extra")).cast("long")
-    return joined.withColumn("taken", F.col("size") * (F.col("repeats") + once_more)).drop("_source", "_size", "_p", "_order", "_part", "_extra", "repeats")
+    joined = rows.join(plan, mine("source").eqNullSafe(F.col("plan.source")) & (mine("size") == F.col("plan.size")) & (mine("part") == F.col("plan.part")))
+    ranked = W.partitionBy(mine("source"), mine("size"), mine("part")).orderBy(mine("order"), mine("doc_id"))
+    once_more = (F.row_number().over(ranked) <= F.col("plan.extra")).cast("long")
+    taken = mine("size") * (F.col("plan.repeats") + once_more)
+    return joined.select("row", "plan", taken.alias("taken")).select(*(F.col(f"row.`{c}`").alias(c) for c in (*kept, "size")), F.col("plan.source_size").alias("source_size"), F.col("plan.target").alias("target"), "taken")

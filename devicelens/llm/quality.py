@@ -7,8 +7,9 @@ computed in blocks, and the labels of its nearest neighbours vote by similarity.
 
 The score is the weighted share of label 1 among the neighbours, shrunk to the share in all labels: 0 to 1, higher if label 1 is
 likelier. Null and empty texts have no features and get that share. Labels that are null or whose document is unknown teach
-nothing; of several labels of one document the least counts. With no labels at all every score is 0.5. Rows that repeat are
-scored each. Only texts are inputs of a score.
+nothing; of several labels of one document the least counts, and of several texts under one id the first in order of bytes teaches.
+With no labels at all every score is 0.5. Of equally near neighbours those go first whose place among the labelled rows, in the order of label and
+features, is smaller. Rows that repeat are scored each. Only texts are inputs of a score.
 """
 
 from __future__ import annotations
@@ -54,6 +55,16 @@ def leading_axes(rows: np.ndarray, n: int, rounds: int = 6) -> np.ndarray:
     return np.ascontiguousarray((axes @ turn.T)[:, :n], np.float32)
 
 
+def nearest_columns(cosine: np.ndarray, k: int) -> np.ndarray:
+    """The k greatest columns of each row, of equal ones the first, in no order."""
+    least = -np.partition(-cosine, k - 1, axis=1)[:, k - 1 : k]
+    chosen = cosine > least
+    ties = cosine == least
+    room = k - chosen.sum(axis=1, keepdims=True)
+    chosen |= ties & (np.cumsum(ties, axis=1) <= room)
+    return np.nonzero(chosen)[1].reshape(len(cosine), k)
+
+
 class VotingModel:
     """The latent space and the labelled vectors in it."""
 
@@ -78,17 +89,17 @@ class VotingModel:
             return np.full(len(counts), self.share)
         cosine = self.placed(counts) @ self.vectors.T
         k = min(neighbours, cosine.shape[1])
-        near = np.argpartition(-cosine, k - 1, axis=1)[:, :k]
+        near = nearest_columns(cosine, k)
         weight = np.maximum(np.take_along_axis(cosine, near, axis=1).astype(np.float64), 0) ** POWER
         score = (np.sum(weight * self.labels[near], axis=1) + PRIOR * self.share) / (weight.sum(axis=1) + PRIOR)
         return np.where(counts.sum(axis=1) > 0, score, self.share)
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> DataFrame:
-    """text and label of at most sample_rows labelled documents that may teach: crc32 of the id modulo 4 isn't 2."""
+    """text and label of at most sample_rows labelled documents that may teach: crc32 of the id modulo 4 isn't 2; a row an id."""
     known = labels.filter(F.col("quality").isNotNull() & (remainder("doc_id", 4) != 2)).groupBy("doc_id").agg(F.min("quality").alias("label"))
     ids = known.orderBy(F.xxhash64(F.lit(SEED), F.col("doc_id")), "doc_id").limit(sample_rows)
-    return docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").select("text", "label").limit(2 * sample_rows)
+    return docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.min("label").alias("label")).select("text", "label")
 
 
 def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> VotingModel:

@@ -75,9 +75,11 @@ def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from .mixing import mix
+    from .common import cut
+    from .mixing import mix, sized
 
-    return mix(table(spark, sf_dir, "documents").select("doc_id", "text", "source")).select("doc_id", "size", "source_size", "target", "taken")
+    sizes = cut(sized(table(spark, sf_dir, "documents").select("doc_id", "source", "text")).drop("text"))  # words are counted once
+    return mix(sizes).select("doc_id", "size", "source_size", "target", "taken")
 
 
 QUERIES: dict[str, Query] = {q.__name__: q for q in (op1_collision_counting, op2_suffix_array, op3_token_counts, op4_nn_descent, op5_warc, op6_language_model, op7_quality, op8_ngram_jaccard, op9_byte_bpe, op10_mixing)}
