@@ -1,37 +1,45 @@
-"""Byte-level BPE encoding and decoding with a minimal acyclic automaton as the lexicon.
+"""Byte-level BPE encoding and decoding with a minimal acyclic transducer of frequent words as the lexicon.
 
-The lexicon holds the vocabulary's entries that stand for whole words, each with its id as output: bounded by the vocabulary,
-compiled once on the driver, handed to executors as a file and memory-mapped there. A word that the automaton doesn't know is
-merged exactly, by rank. Texts are cut where the pattern must begin a new word (a blank before a visible character), so that the ids
-of a piece depend on nothing else, and a worker remembers a bounded number of pieces.
+The corpus's most frequent words, up to a bound (``LEXICON_WORDS``), are counted over all texts and encoded once on the driver. An automaton that
+shares suffixes holds them with their id sequences as outputs; executors get it as a file and memory-map it. A word that it doesn't
+know is merged exactly, by rank. Words are what lies between places where the pattern must begin a new one (a blank before a visible
+character), so that the ids of a word depend on nothing else. A worker remembers words up to a bound in bytes.
 
-Null texts count as empty; the empty text has no ids, and decodes to itself; repeated rows are encoded each; other columns don't matter.
+Null texts count as empty; the empty text has no ids, and decodes to itself; repeated rows are encoded each; other columns don't matter. A
+long text is worked on in stretches; a word of any length is merged in n log n steps.
 """
 
 from __future__ import annotations
 
+import codecs
 import hashlib
+import heapq
 import json
 import os
 import tempfile
+from array import array
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark import SparkFiles
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import portions, text_or_empty
 from .lexicon import Lexicon, compile_lexicon
 from .token_counts import pieces
 
-REMEMBERED = 150_000
+LEXICON_WORDS, LONGEST_WORD = 50_000, 64  # words of the lexicon at most, and characters of one
+_NEVER = 1 << 40
+REMEMBERED_BYTES, LONG, STRETCH = 24 << 20, 512, 1 << 20  # of a worker's memory; characters of a word that isn't remembered; characters worked on at once
 #: The pattern of words of this vocabulary's library.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 _CODECS: dict[tuple[str, str], BpeCodec] = {}
-_SHIPPED: dict[tuple[str, str], str] = {}
+_SHIPPED: set[tuple[str, str]] = set()
 
 
 def byte_letters() -> dict[str, int]:
@@ -42,15 +50,98 @@ def byte_letters() -> dict[str, int]:
 
 
 class Vocabulary:
-    """Ids of byte strings, and the special strings."""
+    """Ids of bytes, of merged pairs with their ranks, and of the special strings."""
 
     def __init__(self, path: str):
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         letters = byte_letters()
-        self.ranks = {bytes(map(letters.__getitem__, word)): i for word, i in spec["model"]["vocab"].items() if all(c in letters for c in word)}
+        vocab = spec["model"]["vocab"]
         self.special = {x["content"]: x["id"] for x in spec["added_tokens"]}
-        self.ranks = {w: i for w, i in self.ranks.items() if i not in self.special.values()}
+        self.bytes_of = {i: bytes(map(letters.__getitem__, w)) for w, i in vocab.items() if all(c in letters for c in w)} | {i: s.encode() for s, i in self.special.items()}
+        self.byte_ids = np.array([vocab[c] for c, _ in sorted(letters.items(), key=lambda x: x[1])], np.int64)
+        pairs = (m if isinstance(m, list) else m.split(" ") for m in spec["model"]["merges"])
+        self.merges = {(vocab[a], vocab[b]): (rank, vocab[a + b]) for rank, (a, b) in enumerate(pairs)}
+        keys = np.array([a << 32 | b for a, b in self.merges], np.int64)
+        order = np.argsort(keys)
+        # the last entries stand for a pair that never merges
+        self.keys, self.ranks = np.append(keys[order], np.int64(-1)), np.append(order, _NEVER)
+        self.merged = np.append(np.array([m for _, m in self.merges.values()], np.int64)[order], -1)
+
+    def _pair(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """Places of pairs among the merges."""
+        key = left << 32 | right
+        at = np.searchsorted(self.keys[:-1], key)
+        return np.where(self.keys[at] == key, at, len(self.keys) - 1)
+
+    def merge(self, words: list[bytes]) -> list[list[int]]:
+        """Ids of words of the pattern. In every round each word merges its pair of the least rank, of equal ones the leftmost, until none can;
+        the rounds are made for all words together."""
+        lengths = np.array([len(w) for w in words], np.int64)
+        found: list[list[int]] = [[]] * len(words)
+        for i in np.flatnonzero(lengths > LONGEST_WORD).tolist():
+            found[i] = self._merge_long(self.byte_ids[np.frombuffer(words[i], np.uint8)].tolist())
+        short = np.flatnonzero((lengths > 0) & (lengths <= LONGEST_WORD))
+        ids = self.byte_ids[np.frombuffer(b"".join(words[i] for i in short.tolist()), np.uint8)]
+        word = np.repeat(short, lengths[short])
+        pair = np.full(len(ids), len(self.keys) - 1)
+        inner = np.flatnonzero(word[1:] == word[:-1])
+        pair[inner] = self._pair(ids[inner], ids[inner + 1])
+        while len(ids):
+            first = np.flatnonzero(np.append(True, word[1:] != word[:-1]))
+            size = np.diff(np.append(first, len(ids)))
+            rank = self.ranks[pair]
+            least = np.repeat(np.minimum.reduceat(rank, first), size)
+            over = least == _NEVER
+            if over.any():
+                ended = np.flatnonzero(over[first])
+                flat = ids[over].tolist()
+                at = 0
+                for w, n in zip(word[first[ended]].tolist(), size[ended].tolist()):
+                    found[w] = flat[at : at + n]
+                    at += n
+                ids, word, pair, rank, least = (x[~over] for x in (ids, word, pair, rank, least))
+            here = np.flatnonzero(rank == least)
+            here = here[np.append(True, word[here[1:]] != word[here[:-1]])] if len(here) else here
+            ids[here] = self.merged[pair[here]]
+            keep = np.ones(len(ids), bool)
+            keep[here + 1] = False
+            ids, word, pair = ids[keep], word[keep], pair[keep]
+            here -= np.arange(len(here))  # one id went before each
+            for side in (here - 1, here):  # the pairs on both sides are new
+                side = side[side >= 0]
+                pair[side] = len(self.keys) - 1
+                side = side[side + 1 < len(ids)]
+                side = side[word[side] == word[side + 1]]
+                pair[side] = self._pair(ids[side], ids[side + 1])
+        return found
+
+    def _merge_long(self, ids: list[int]) -> list[int]:
+        """The same with a heap of pairs over linked places."""
+        n, get = len(ids), self.merges.get
+        at, after, before = array("i", ids), array("i", range(1, n + 1)), array("i", range(-1, n - 1))
+        heap = [found[0] * n + i for i in range(n - 1) if (found := get((ids[i], ids[i + 1])))]
+        heapq.heapify(heap)
+        while heap:
+            rank, i = divmod(heapq.heappop(heap), n)
+            j = after[i]
+            found = get((at[i], at[j])) if at[i] >= 0 and j < n else None
+            if not found or found[0] != rank:  # one of the two was merged meanwhile
+                continue
+            at[i], at[j], after[i] = found[1], -1, after[j]
+            if after[j] < n:
+                before[after[j]] = i
+                if pair := get((at[i], at[after[i]])):
+                    heapq.heappush(heap, pair[0] * n + i)
+            if before[i] >= 0 and (pair := get((at[before[i]], at[i]))):
+                heapq.heappush(heap, pair[0] * n + before[i])
+        return [i for i in at if i >= 0]
+
+    def ids(self, texts: list[str]) -> list[list[int]]:
+        """Ids of texts without special strings."""
+        words = [words_of(t) for t in texts]
+        merged = iter(self.merge([w.encode("utf-8") for ws in words for w in ws]))
+        return [next(merged) if len(ws) == 1 else [i for _ in ws for i in next(merged)] for ws in words]
 
 
 _WORDS = regex.compile(PATTERN)
@@ -60,19 +151,33 @@ def words_of(piece: str) -> list[str]:
     return [piece] if piece[1:].isalpha() and piece[0] == " " else _WORDS.findall(piece)
 
 
-class BpeCodec:
-    """Ids of texts and texts of ids."""
+def stretches(text: str, at_most: int = STRETCH) -> Iterator[str]:
+    """The text in parts of some length, each but the first beginning with a blank before a visible character."""
+    start = 0
+    while len(text) - start > at_most:
+        cut = start + at_most
+        while (cut := text.find(" ", cut)) >= 0 and (cut + 1 == len(text) or text[cut + 1].isspace()):
+            cut += 1
+        if cut < 0:
+            break
+        yield text[start:cut]
+        start = cut
+    yield text[start:]
 
-    def __init__(self, path: str, lexicon_path: str):
-        import tiktoken
 
-        vocabulary = Vocabulary(path)
-        self.lexicon = Lexicon(lexicon_path)
-        self.merger = tiktoken.Encoding("lexicon-misses", pat_str=PATTERN, mergeable_ranks=vocabulary.ranks, special_tokens={})
-        self.merge = self.merger._core_bpe.encode_single_piece
-        self.special = vocabulary.special
-        self.bytes_of = {i: w for w, i in vocabulary.ranks.items()} | {i: s.encode() for s, i in self.special.items()}
-        self.known: dict[str, tuple[int, bytes, bytes]] = {}
+class BpeCodec:
+    """Ids of texts and texts of ids. A piece's ids are kept as 32-bit numbers, as decimals, and as the bytes that they decode to."""
+
+    def __init__(self, path: str, lexicon_path: str | None = None):
+        self.vocabulary = Vocabulary(path)
+        self.lexicon = Lexicon(lexicon_path) if lexicon_path else None
+        self.special = self.vocabulary.special
+        self.marks = regex.compile("|".join(regex.escape(s) for s in sorted(self.special, key=len, reverse=True))) if self.special else None
+        self.numbers: dict[str, bytes] = {}
+        self.decimals: dict[str, bytes] = {}
+        self.decoded: dict[str, bytes] = {}
+        self.steady: set[str] = set()
+        self.held = 0
 
     @classmethod
     def of(cls, path: str, lexicon_path: str) -> BpeCodec:
@@ -80,111 +185,155 @@ class BpeCodec:
             _CODECS[path, lexicon_path] = cls(path, lexicon_path)
         return _CODECS[path, lexicon_path]
 
-    def word_ids(self, word: bytes) -> list[int]:
-        found = self.lexicon.get(word)
-        return [found] if found is not None else self.merge(word)
-
-    def piece_ids(self, piece: str) -> list[int]:
-        return [i for w in words_of(piece) for i in self.word_ids(w.encode("utf-8"))]
-
     def segments(self, text: str) -> Iterator[tuple[str, int | None]]:
         """The text between special strings, and these with their ids; the earliest goes first, of several the longest."""
-        while text:
-            at, mark = min(((text.find(s), -len(s), s) for s in self.special if s in text), default=(len(text), 0, ""))[::2]
-            if at:
-                yield text[:at], None
-            if mark:
-                yield mark, self.special[mark]
-            text = text[at + len(mark) :]
-
-    def learn(self, piece: str) -> tuple[int, bytes, bytes]:
-        ids = self.piece_ids(piece)
-        return len(ids), ",".join(map(str, ids)).encode(), b"".join(map(self.bytes_of.__getitem__, ids))
-
-    def parts(self, text: str) -> list[tuple[int, bytes, bytes]]:
-        """For each piece of the text: how many ids, these joined by commas, and the bytes they decode to."""
-        found = []
-        for segment, special in self.segments(text):
-            if special is not None:
-                found.append((1, str(special).encode(), self.bytes_of[special]))
-                continue
-            first, *rest = pieces(segment)
-            if first:
-                found.append(self.learn(first))
-            known = self.known  # by piece, without the blank before it
-            if len(known) > REMEMBERED:
-                known.clear()
-            for piece in {*rest}.difference(known):
-                known[piece] = self.learn(" " + piece)
-            found += map(known.__getitem__, rest)
-        return found
-
-    def encode(self, text: str) -> list[int]:
-        return [int(i) for _, ids, _ in self.parts(text) for i in ids.split(b",")]
+        at = 0
+        for found in self.marks.finditer(text) if self.marks else ():
+            if found.start() > at:
+                yield text[at : found.start()], None
+            yield found.group(), self.special[found.group()]
+            at = found.end()
+        if at < len(text):
+            yield text[at:], None
+
+    def ids_of(self, unseen: list[str]) -> list[tuple[list[int], bool]]:
+        """Ids of pieces, and whether they are the lexicon's: those by one walk of its automaton for all, the others by merges."""
+        places = self.lexicon.find([p.encode("utf-8") for p in unseen]) if self.lexicon else [-1] * len(unseen)
+        merged = iter(self.vocabulary.ids([p for p, place in zip(unseen, places) if place < 0]))
+        return [(self.lexicon.output(place), True) if place >= 0 else (next(merged), False) for place in places]
+
+    def learn(self, cut: set[str], digests: bool) -> None:
+        """Remembers the pieces that aren't yet; they come without the blank before them."""
+        known = self.decimals if digests else self.numbers
+        if self.held > REMEMBERED_BYTES:
+            for memory in (self.numbers, self.decimals, self.decoded):  # the lexicon's words stay: they are frequent, and bounded
+                stay = {p: memory[p] for p in self.steady if p in memory}
+                memory.clear()
+                memory.update(stay)
+            self.held = 0
+        unseen = [*cut.difference(known)]
+        for piece, (ids, frequent) in zip(unseen, self.ids_of([" " + p for p in unseen])):
+            if digests:
+                self.decimals[piece] = ",".join(map(str, ids)).encode()
+                self.decoded[piece] = b"".join(map(self.vocabulary.bytes_of.__getitem__, ids))
+            else:
+                self.numbers[piece] = array("i", ids).tobytes()
+            if frequent:
+                self.steady.add(piece)
+            else:
+                self.held += 300 + 4 * len(piece) + 8 * len(ids)
+
+    def parts(self, texts: list[str], digests: bool) -> Iterator[tuple[int, list[int], list[str]]]:
+        """The texts in order as (number of the text, ids, remembered pieces after them), some of these for each; learns as much text at once as is
+        worked on at once."""
+        group: list[tuple[int, list[int] | str, list[str]]] = []
+        size = 0
+
+        def flushed() -> Iterator[tuple[int, list[int], list[str]]]:
+            self.learn({p for _, _, rest in group for p in rest}, digests)
+            firsts = iter(self.vocabulary.ids([f for _, f, _ in group if isinstance(f, str)]))
+            for number, first, rest in group:
+                yield number, next(firsts) if isinstance(first, str) else first, rest
+            group.clear()
+
+        for number, text in enumerate(texts):
+            for segment, special in self.segments(text):
+                if special is not None:
+                    group.append((number, [special], []))
+                    continue
+                for stretch in stretches(segment):
+                    first, *rest = pieces(stretch)
+                    at = 0
+                    if max(map(len, rest), default=0) > LONG:  # long pieces aren't remembered
+                        for i, piece in enumerate(rest):
+                            if len(piece) > LONG:
+                                group.append((number, first, rest[at:i]))
+                                first, at = " " + piece, i + 1
+                    group.append((number, first, rest[at:]))
+                    size += len(stretch)
+                    if size >= STRETCH:
+                        yield from flushed()
+                        size = 0
+        yield from flushed()
+
+    def encode(self, texts: list[str]) -> list[np.ndarray]:
+        joined: list[list[bytes]] = [[] for _ in texts]
+        for number, ids, known in self.parts(texts, False):
+            joined[number].append(array("i", ids).tobytes())
+            joined[number] += map(self.numbers.__getitem__, known)
+        return [np.frombuffer(b"".join(x), np.int32) for x in joined]
 
     def decode(self, ids: list[int]) -> str:
-        return b"".join(map(self.bytes_of.__getitem__, ids)).decode("utf-8", "replace")
-
-    def digest(self, text: str) -> tuple[int, str, str]:
-        """Number of ids, SHA-256 of the ids joined by commas, and SHA-256 of the decoded text."""
-        counts, ids, decoded = zip(*self.parts(text)) if text else ((), (), ())
-        text = b"".join(decoded).decode("utf-8", "replace").encode("utf-8")
-        return sum(counts), hashlib.sha256(b",".join(ids)).hexdigest(), hashlib.sha256(text).hexdigest()
-
-
-def lexicon_entries(vocabulary: Vocabulary) -> dict[bytes, int]:
-    """Entries that the pattern takes as one word; an entry's bytes merge to its own id, as ranks are in the order of merges."""
-    found = {}
-    for word, i in vocabulary.ranks.items():
-        try:
-            text = word.decode("utf-8")
-        except UnicodeDecodeError:
-            continue
-        if words_of(text) == [text]:
-            found[word] = i
-    return found
-
-
-def ship_lexicon(spark: SparkSession, path: str) -> str:
-    """Compiles the vocabulary's lexicon and hands it to all executors, once a session; gives the name to look it up by."""
-    key = (spark.sparkContext.applicationId, path)
-    if key not in _SHIPPED:
-        compiled = compile_lexicon(lexicon_entries(Vocabulary(path)))
-        name = f"lexicon-{hashlib.sha256(compiled).hexdigest()[:16]}.bin"
+        return b"".join(map(self.vocabulary.bytes_of.__getitem__, ids)).decode("utf-8", "replace")
+
+    def digests(self, texts: list[str]) -> list[tuple[int, str, str]]:
+        """Number of ids, SHA-256 of the ids joined by commas, and SHA-256 of the decoded text, of each text."""
+        counts, ids_sha, text_sha = [0] * len(texts), [hashlib.sha256() for _ in texts], [hashlib.sha256() for _ in texts]
+        readers = [codecs.getincrementaldecoder("utf-8")("replace") for _ in texts]
+        for number, ids, known in self.parts(texts, True):
+            decimals = [",".join(map(str, ids)).encode()] if ids else []
+            decimals += map(self.decimals.__getitem__, known)
+            if decimals:
+                joined = b",".join(decimals)
+                ids_sha[number].update(b"," + joined if counts[number] else joined)
+                counts[number] += joined.count(b",") + 1
+                raw = [self.vocabulary.bytes_of[i] for i in ids]
+                raw += map(self.decoded.__getitem__, known)
+                text_sha[number].update(readers[number].decode(b"".join(raw)).encode("utf-8"))
+        for reader, sha in zip(readers, text_sha):
+            sha.update(reader.decode(b"", True).encode("utf-8"))
+        return [(n, a.hexdigest(), b.hexdigest()) for n, a, b in zip(counts, ids_sha, text_sha)]
+
+
+def frequent_words(docs: DataFrame, most: int = LEXICON_WORDS) -> list[str]:
+    """The most frequent words between blanks, counted over all texts; of equally frequent ones those first in order of bytes."""
+    words = docs.select(F.explode(F.split(text_or_empty(), " ")).alias("word")).filter(F.length("word").between(1, LONGEST_WORD))
+    return [r.word for r in words.groupBy("word").count().orderBy(F.desc("count"), "word").limit(most).collect()]
+
+
+def ship_lexicon(docs: DataFrame, path: str, most: int = LEXICON_WORDS) -> str:
+    """Compiles the lexicon of these texts and hands it to all executors; gives the name to look it up by."""
+    codec, context = BpeCodec(path), docs.sparkSession.sparkContext
+    plain = [" " + w for w in frequent_words(docs, most) if not (codec.marks and codec.marks.search(w))]
+    plain = [w for w in plain if len(pieces(w)) == 2]
+    compiled = compile_lexicon(dict(zip((w.encode("utf-8") for w in plain), codec.vocabulary.ids(plain))))
+    name = f"lexicon-{hashlib.sha256(compiled).hexdigest()[:16]}.bin"
+    if (context.applicationId, name) not in _SHIPPED:
         at = os.path.join(tempfile.mkdtemp(prefix="devicelens-lexicon-"), name)
         with open(at, "wb") as f:
             f.write(compiled)
-        spark.sparkContext.addFile(at)
-        _SHIPPED[key] = name
-    return _SHIPPED[key]
+        context.addFile(at)  # Spark hands the driver's file out to all executors
+        _SHIPPED.add((context.applicationId, name))
+    return name
 
 
 def encode_ids_of(docs: DataFrame, tokenizer_path: str, keep: list[str]) -> DataFrame:
-    """The named columns, ids and n_tokens of every row; map-only."""
-    name = ship_lexicon(docs.sparkSession, tokenizer_path)
+    """The named columns, ids and n_tokens of every row; map-only, after the count of words."""
+    name = ship_lexicon(docs, tokenizer_path)
     kept = docs.select(*keep)
 
     def encoded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = BpeCodec.of(tokenizer_path, SparkFiles.get(name))
         for batch in portions(batches, len(keep)):
-            ids = [codec.encode(t.as_py()) for t in batch.column(len(keep))]
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(ids, pa.list_(pa.int32())), pa.array(map(len, ids), pa.int64())], [*keep, "ids", "n_tokens"])
+            ids = codec.encode(batch.column(len(keep)).to_pylist())
+            counts = np.array([len(x) for x in ids], np.int64)
+            lists = pa.ListArray.from_arrays(pa.array(np.cumsum([0, *counts]), pa.int32()), pa.array(np.concatenate([np.empty(0, np.int32), *ids])))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], lists, pa.array(counts)], [*keep, "ids", "n_tokens"])
 
     schema = T.StructType(kept.schema.fields + T.StructType.fromDDL("ids array<int>, n_tokens long").fields)
     return docs.select(*keep, text_or_empty().alias("_text")).mapInArrow(encoded, schema)
 
 
 def encode_ids(docs: DataFrame, tokenizer_path: str) -> DataFrame:
-    """doc_id and the ids of every row; map-only."""
+    """doc_id and the ids of every row."""
     return encode_ids_of(docs, tokenizer_path, ["doc_id"]).drop("n_tokens")
 
 
 def decode_ids(encoded: DataFrame, tokenizer_path: str) -> DataFrame:
     """doc_id and the text of every row of ids; null ids decode to the empty text."""
-    name = ship_lexicon(encoded.sparkSession, tokenizer_path)
 
     def decoded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = BpeCodec.of(tokenizer_path, SparkFiles.get(name))
+        codec = BpeCodec.of(tokenizer_path, "")
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([codec.decode(x.as_py() or []) for x in batch.column(1)], pa.string())], ["doc_id", "text"])
 
@@ -192,13 +341,13 @@ def decode_ids(encoded: DataFrame, tokenizer_path: str) -> DataFrame:
 
 
 def round_trip(docs: DataFrame, tokenizer_path: str) -> DataFrame:
-    """doc_id, n_tokens, ids_sha256 and decoded_sha256 of every row; map-only, without ids crossing to Spark."""
-    name = ship_lexicon(docs.sparkSession, tokenizer_path)
+    """doc_id, n_tokens, ids_sha256 and decoded_sha256 of every row, without ids crossing to Spark."""
+    name = ship_lexicon(docs, tokenizer_path)
 
     def digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = BpeCodec.of(tokenizer_path, SparkFiles.get(name))
         for batch in portions(batches, 1):
-            n, ids, text = zip(*(codec.digest(t.as_py()) for t in batch.column(1))) if batch.num_rows else ((), (), ())
+            n, ids, text = zip(*codec.digests(batch.column(1).to_pylist())) if batch.num_rows else ((), (), ())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(ids, pa.string()), pa.array(text, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
     return docs.select("doc_id", text_or_empty().alias("text")).mapInArrow(digests, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")

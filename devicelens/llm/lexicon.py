@@ -1,8 +1,8 @@
-"""A minimal acyclic automaton of words with id outputs, laid out as flat arrays that can be memory-mapped.
+"""A minimal acyclic automaton of words with id sequences as outputs, laid out as flat arrays that can be memory-mapped.
 
 Words come in sorted order; states with equal right languages are shared as the automaton grows, so common suffixes are stored once.
 An arc carries how many words come before those behind it; their sum along a path is the word's place in the sorted list,
-and that is the index of its id: outputs survive the sharing of suffixes.
+and that is the index of its output: outputs survive the sharing of suffixes.
 """
 
 from __future__ import annotations
@@ -11,7 +11,9 @@ import mmap
 import struct
 from collections.abc import Iterable
 
-_HEAD = struct.Struct("<4sIII")  # mark, slots, words, first state
+import numpy as np
+
+_HEAD = struct.Struct("<4sIIIII")  # mark, slots, words, states, ids, length of the longest word
 _MARK = b"MADL"
 
 
@@ -59,8 +61,9 @@ def minimal_automaton(words: Iterable[bytes]) -> _State:
     return root
 
 
-def compile_lexicon(entries: dict[bytes, int]) -> bytes:
-    """The flat form: a double array of arcs (base, owner, target, words skipped), a bit for final states, and the ids in word order."""
+def compile_lexicon(entries: dict[bytes, list[int]]) -> bytes:
+    """The flat form: a double array of arcs (base, owner, target, words skipped), which states are final, and the ids in word order with where
+    each word's begin."""
     words = sorted(w for w in entries if w)
     root = minimal_automaton(words)
     states: dict[int, int] = {}
@@ -100,9 +103,10 @@ def compile_lexicon(entries: dict[bytes, int]) -> bytes:
             at = base[i] + b
             owner[at], target[at], skipped[at] = i, states[id(state.arcs[b])], before
             before += state.arcs[b].count()
-    n = len(order)
-    pack = lambda xs: struct.pack(f"<{len(xs)}i", *xs)
-    return _HEAD.pack(_MARK, slots, len(words), n) + pack(owner) + pack(target) + pack(skipped) + pack(base) + pack([int(s.final) for s in order]) + pack([entries[w] for w in words])
+    ids = np.array([i for w in words for i in entries[w]], np.int32)
+    begins = np.cumsum([0, *(len(entries[w]) for w in words)])
+    arrays = (owner, target, skipped, base, [int(s.final) for s in order], begins, ids)
+    return _HEAD.pack(_MARK, slots, len(words), len(order), len(ids), max(map(len, words), default=0)) + b"".join(np.asarray(x, np.int32).tobytes() for x in arrays)
 
 
 class Lexicon:
@@ -111,23 +115,38 @@ class Lexicon:
     def __init__(self, path: str):
         with open(path, "rb") as f:
             self._map = mmap.mmap(f.fileno(), 0, access=mmap.ACCESS_READ)
-        mark, slots, words, states = _HEAD.unpack_from(self._map)
+        mark, slots, words, states, ids, self.longest = _HEAD.unpack_from(self._map)
         if mark != _MARK:
             raise ValueError(f"{path} holds no lexicon")
-        ints = memoryview(self._map)[_HEAD.size :].cast("i")
-        parts, at = [], 0
-        for n in (slots, slots, slots, states, states, words):
-            parts.append(ints[at : at + n])
-            at += n
-        self.owner, self.target, self.skipped, self.base, self.final, self.ids = parts
-
-    def get(self, word: bytes) -> int | None:
-        state, index = 0, 0
-        base, owner, target, skipped = self.base, self.owner, self.target, self.skipped
-        for b in word:
-            at = base[state] + b
-            if owner[at] != state:
-                return None
-            index += skipped[at]
-            state = target[at]
-        return self.ids[index] if self.final[state] else None
+        parts, at = [], _HEAD.size
+        for n in (slots, slots, slots, states, states, words + 1, ids):
+            parts.append(np.frombuffer(self._map, np.int32, n, at))
+            at += 4 * n
+        self.owner, self.target, self.skipped, self.base, self.final, self.begins, self.ids = parts
+
+    def find(self, words: list[bytes]) -> list[int]:
+        """The place of each word, -1 for one that isn't there; all words walk the automaton together, a byte a step."""
+        lengths = np.array([len(w) for w in words], np.int64)
+        data, starts = np.frombuffer(b"".join(words), np.uint8), np.cumsum(lengths) - lengths
+        places = np.full(len(words), -1, np.int64)
+        going = np.flatnonzero((lengths > 0) & (lengths <= self.longest))
+        state, place = np.zeros(len(going), np.int64), np.zeros(len(going), np.int64)
+        step = 0
+        while len(going):
+            at = self.base[state] + data[starts[going] + step]
+            fits = self.owner[at] == state
+            going, at = going[fits], at[fits]
+            state, place = self.target[at], place[fits] + self.skipped[at]
+            step += 1
+            ends = lengths[going] == step
+            full = ends & (self.final[state] > 0)
+            places[going[full]] = place[full]
+            going, state, place = going[~ends], state[~ends], place[~ends]
+        return places.tolist()
+
+    def output(self, place: int) -> list[int]:
+        return self.ids[self.begins[place] : self.begins[place + 1]].tolist()
+
+    def get(self, word: bytes) -> list[int] | None:
+        place = self.find([word])[0]
+        return self.output(place) if place >= 0 else None

@@ -73,15 +73,16 @@ def test_byte_bpe_round_trip(docs):
     assert sorted(tuple(r) for r in back.collect()) == sorted((i, t or "") for i, t in TEXTS)
 
 
-def test_lexicon_is_minimal_and_exact():
+def test_lexicon_is_minimal_and_exact(tmp_path):
     from devicelens.llm.lexicon import Lexicon, compile_lexicon, minimal_automaton
 
-    entries = {w.encode(): i * 7 for i, w in enumerate("a ab abs tabs taps tops stop stops".split())}
-    path = "/tmp/test-lexicon.bin"
-    open(path, "wb").write(compile_lexicon(entries))
-    lexicon = Lexicon(path)
+    entries = {w.encode(): [i * 7] * (i % 3 + 1) for i, w in enumerate("a ab abs tabs taps tops stop stops".split())}
+    path = tmp_path / "lexicon.bin"
+    path.write_bytes(compile_lexicon(entries))
+    lexicon = Lexicon(str(path))
     assert {w: lexicon.get(w) for w in entries} == entries
-    assert lexicon.get(b"tab") is None and lexicon.get(b"") is None and lexicon.get(b"zzz") is None
+    words = [b"tab", b"", b"zzz", b"stops", b"stopss", b"\xff"]
+    assert [p >= 0 for p in lexicon.find(words)] == [False, False, False, True, False, False] and lexicon.find([]) == []
     states, todo = set(), [minimal_automaton(sorted(entries))]
     while todo:
         s = todo.pop()
@@ -89,6 +90,32 @@ def test_lexicon_is_minimal_and_exact():
             states.add(id(s))
             todo += s.arcs.values()
     assert len(states) < sum(map(len, entries)) // 2
+    path.write_bytes(compile_lexicon({}))
+    assert Lexicon(str(path)).find([b"a"]) == [-1]
+
+
+@pytest.mark.parametrize("memory", [24 << 20, 0])
+def test_byte_bpe_of_odd_texts(memory, tmp_path, monkeypatch):
+    from tokenizers import Tokenizer
+
+    from devicelens.llm import byte_bpe
+    from devicelens.llm.lexicon import compile_lexicon
+
+    monkeypatch.setattr(byte_bpe, "REMEMBERED_BYTES", memory)
+    monkeypatch.setattr(byte_bpe, "STRETCH", 50)
+    path = P.path("byte_bpe_50k.json")
+    library, codec = Tokenizer.from_file(path), byte_bpe.BpeCodec(path)
+    file = tmp_path / "lexicon.bin"
+    file.write_bytes(compile_lexicon({(" " + w).encode(): codec.vocabulary.ids([" " + w])[0] for w in ("the", "ka,", "Sé")}))
+    codec = byte_bpe.BpeCodec(path, str(file))
+    rng = random.Random(5)
+    atoms = [" ", "  ", "\n", "\t ", "\u00a0", "\u3000", "the", "ka,", "Sé", "漢字", "12", "'ll", "<|endoftext|>", "e\u0301", "\x00", "🙂", "...", "abcdefgh" * 9, "zq" * 700, "Ω"]
+    texts = ["".join(rng.choice(atoms) for _ in range(rng.randint(0, 40))) for _ in range(400)] + ["<|endoftext|> x" * 3_000, "漢字かな" * 20_000, " " * 5_000, "x" * 30_000]
+    for t, encoded, (n, ids_sha, text_sha) in zip(texts, codec.encode(texts), codec.digests(texts)):
+        ids = library.encode(t, add_special_tokens=False).ids
+        assert encoded.tolist() == ids
+        assert (n, ids_sha) == (len(ids), hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest())
+        assert text_sha == hashlib.sha256(library.decode(ids, skip_special_tokens=False).encode()).hexdigest()
 
 
 def test_language_model(docs):
