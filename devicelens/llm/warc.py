@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from .common import scratch
 from .store import opened, removed, written
 
-LEAST_REVISIT, LEVEL, READ_BYTES = 100, 6, 1 << 20
+LEAST_REVISIT, LEVEL, READ_BYTES, SALTS = 100, 6, 1 << 20, 16
 DATE = "2024-01-01T00:00:00Z"  # the tables hold no time of capture
 ARCHIVE = pa.schema([("archive", pa.string()), ("index", pa.string()), ("records", pa.int64())])
 RECORD = "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long"
@@ -77,23 +77,27 @@ def parsed(raw: bytes) -> tuple[dict[str, str], bytes]:
 
 def records_of(stream: BinaryIO) -> Iterator[bytes]:
     """The records of a stream of plain WARC, whatever the pieces it comes in."""
-    held = b""
+    held, at = b"", 0  # what lies before ``at`` was given already; it goes when more is read
     while True:
-        while (end := held.find(b"\r\n\r\n")) >= 0:
-            length = next(int(x.split(b":", 1)[1]) for x in held[:end].split(b"\r\n") if x.lower().startswith(b"content-length:"))
+        while (end := held.find(b"\r\n\r\n", at)) >= 0:
+            length = next(int(x.split(b":", 1)[1]) for x in held[at:end].split(b"\r\n") if x.lower().startswith(b"content-length:"))
             whole = end + 4 + length + 4
-            while len(held) < whole and (more := stream.read(max(READ_BYTES, whole - len(held)))):
-                held += more
             if len(held) < whole:
-                raise ValueError("the last record is cut short")
-            yield held[:whole]
-            held = held[whole:]
+                parts, missing = [held[at:]], whole - len(held)
+                while missing > 0 and (more := stream.read(max(READ_BYTES, missing))):
+                    parts.append(more)
+                    missing -= len(more)
+                if missing > 0:
+                    raise ValueError("the last record is cut short")
+                held, whole, at = b"".join(parts), whole - at, 0
+            yield held[at:whole]
+            at = whole
         more = stream.read(READ_BYTES)
         if not more:
-            if held.strip():
+            if held[at:].strip():
                 raise ValueError("the last record is cut short")
             return
-        held += more
+        held, at = held[at:] + more, 0
 
 
 def normalise(monolithic: str, archive: str, index: str, level: int = LEVEL) -> int:
@@ -122,7 +126,9 @@ def typed(pages: DataFrame, least_revisit: int = LEAST_REVISIT) -> DataFrame:
     rows = pages.select("page_id", "url", F.encode(F.coalesce("html", F.lit("")), "utf-8").alias("payload")).withColumn("digest", F.sha2("payload", 256))
     long = rows.filter(F.octet_length("payload") >= least_revisit).select("page_id", "digest")
     shared = long.groupBy("digest").agg(F.min("page_id").alias("refers_to"), F.max("page_id").alias("last")).filter("refers_to < last").drop("last")
-    revisits = long.join(shared, "digest").filter("page_id > refers_to").distinct()
+    salt = F.pmod(F.xxhash64("page_id"), F.lit(SALTS))  # a payload that very many pages have is joined in so many tasks
+    salted = shared.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    revisits = long.withColumn("salt", salt).join(salted, ["digest", "salt"]).filter("page_id > refers_to").select("page_id", "digest", "refers_to").distinct()
     return rows.join(revisits, ["page_id", "digest"], "left")
 
 
@@ -130,7 +136,8 @@ def write_archives(pages: DataFrame, folder: str, level: int = LEVEL, least_revi
     """Writes the pages' records; gives archive, index and number of records of every file. Lazy: each task writes its own files."""
 
     def wrote(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        name = f"{folder}/pages-{TaskContext.get().partitionId():06d}"
+        task = TaskContext.get()
+        name = f"{folder}/pages-{task.partitionId():06d}-{task.taskAttemptId()}"  # attempts of a task don't touch each other's files
         monolithic, n = f"{name}.whole.gz", 0
         with written(monolithic) as f, gzip.GzipFile(fileobj=f, mode="wb", compresslevel=1, mtime=0) as stream:
             for batch in batches:
