@@ -1,11 +1,14 @@
 """Language-model scores from a weighted backoff automaton.
 
-The model: smoothed bigrams. A state is the last token read; an arc reads a token that was seen behind it and weighs count /
-(visits + S), S being the strength of the prior; the state's failure arc weighs S / (visits + S) and leads to the state without
-history, whose arcs are the smoothed unigrams. A seen arc adds its share of the failure path, so that all weights of a state sum to 1. A text is traversed once from left to right, its state carried, log-probabilities added up.
-
-How it is spread: documents are dealt into blocks of bounded size. A block sends the distinct keys (64-bit hashes of tokens and of pairs)
-that it needs with its own training counts, packed by key range; each range of keys is merged once, which both makes the counts and
+The model: smoothed trigrams. A state is a history that occurs in training: the last two tokens, the last one, or none. An arc reads a token that
+was seen behind the history and leads to the longest history that its end is; it weighs (count + S * weight of the token one state
+down) / (visits + S), S being the strength of that state's prior. The failure arc, taken only where no arc reads the token, weighs S / (visits + S)
+and leads one state down, to the state without the oldest token; the state without history has an arc for every token,
+weighing its smoothed share. So all that leaves a state sums to 1. A text is traversed once from left to right; its state is
+carried along, and log-weights of arcs and failure arcs are added up. All texts of a block step together.
+
+How it is spread: documents are dealt into blocks of bounded size. A block sends the distinct keys (64-bit hashes of tokens, pairs and
+triples) that it needs with its own training counts, packed by key range; each range of keys is merged once, which both makes the counts and
 answers every block; a block then holds the part of the automaton that its own documents can reach, and scores them. Nothing is
 broadcast but two totals, and nothing is pruned or sampled: the model is that of all training documents.
 
@@ -21,13 +24,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .blobs import merge, pack, pack_sorted, slices, unpack, unpack_sorted
-from .common import remainder, text_or_empty
+from .common import cut, remainder, text_or_empty
 from .vectors_of_text import mixed, words_by_text
 
-ADDED, STRENGTH = 0.1, 100.0
+ADDED, STRENGTHS = 0.1, (100.0, 20.0)  # of the prior of states of one token and of two
 BLOCK_BYTES, RANGE_BYTES = 12 << 20, 16 << 20  # text of a block, text whose keys one range holds
 END, START = np.uint64(0x5EED0E4D), np.uint64(0x5EED57A7)  # keys of the end token and of the state that a text begins in
 REQUEST = "kind string, part int, block int, keys binary, counts binary"
+KINDS = ("token", "pair", "triple")
 
 
 def tokens_of(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -37,37 +41,49 @@ def tokens_of(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return tokens, first + np.arange(len(first))
 
 
-def pairs_of(tokens: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The state before each token, and the key of the pair."""
+def histories_of(tokens: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Keys of each token behind the one before it (or the start), and behind the two before it. A text's first token has one history only, so the
+    second key repeats the first."""
     before = np.empty_like(tokens)
     before[1:] = tokens[:-1]
     before[first[:-1]] = START
     with np.errstate(over="ignore"):
-        return before, mixed(before * np.uint64(0x9FB21C651E98DF25) + tokens)
+        pairs = mixed(before * np.uint64(0x9FB21C651E98DF25) + tokens)
+        before[1:] = pairs[:-1]
+        triples = mixed(before * np.uint64(0xC2B2AE3D27D4EB4F) + tokens)
+    triples[first[:-1]] = pairs[first[:-1]]
+    return pairs, triples
 
 
-def counted(keys: np.ndarray, training: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct keys, ascending, with how often each occurs in training."""
-    distinct, inverse = np.unique(keys, return_inverse=True)
-    return distinct, np.bincount(inverse, weights=training, minlength=len(distinct)).astype(np.uint64)
+def ranked(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct keys, ascending, where one of each stands, and each key's place among them."""
+    order = np.argsort(keys)
+    ascending = keys[order]
+    new = np.append(True, ascending[1:] != ascending[:-1]) if len(keys) else np.empty(0, bool)
+    place = np.empty(len(keys), np.int32)
+    place[order] = np.cumsum(new, dtype=np.int32) - 1
+    return ascending[new], order[new], place
 
 
 def texts_of(block: pa.Table) -> list[bytes]:
-    return [t.encode() for t in block.column("text").to_pylist()]
+    return block.column("text").cast(pa.binary()).to_pylist()
+
+
+_REQUEST = pa.schema([("kind", pa.string()), ("part", pa.int32()), ("block", pa.int32()), ("keys", pa.binary()), ("counts", pa.binary())])
 
 
 def ask(block: pa.Table, ranges: int) -> pa.Table:
-    """What one block needs and what it adds: its distinct tokens and pairs with their training counts."""
+    """What one block needs and what it adds: its distinct tokens, pairs and triples with their training counts."""
     tokens, first = tokens_of(texts_of(block))
-    training = np.repeat(~np.array(block.column("held_out").to_pylist(), bool), np.diff(first)).astype(float)
-    _, pairs = pairs_of(tokens, first)
+    training = np.repeat(~np.array(block.column("held_out").to_pylist(), bool), np.diff(first))
     rows: list[tuple] = []
     number = block.column("block")[0].as_py()
-    for kind, keys in (("token", tokens), ("pair", pairs)):
-        distinct, counts = counted(keys, training)
+    for kind, keys in zip(KINDS, (tokens, *histories_of(tokens, first))):
+        distinct, _, place = ranked(keys)
+        counts = np.bincount(place[training], minlength=len(distinct)).astype(np.uint64)
         at = slices(distinct, ranges)
         rows += [(kind, i, number, pack_sorted(distinct[a:b]), pack(counts[a:b])) for i, (a, b) in enumerate(zip(at[:-1], at[1:])) if a < b]
-    return pa.table(dict(zip(("kind", "part", "block", "keys", "counts"), (list(x) for x in zip(*rows)))), schema=pa.schema([("kind", pa.string()), ("part", pa.int32()), ("block", pa.int32()), ("keys", pa.binary()), ("counts", pa.binary())]))
+    return pa.table([pa.array([r[i] for r in rows], t) for i, t in enumerate(_REQUEST.types)], schema=_REQUEST)
 
 
 def answer(asked: pa.Table) -> pa.Table:
@@ -84,44 +100,90 @@ def answer(asked: pa.Table) -> pa.Table:
 
 
 class Automaton:
-    """The states and arcs that a block's documents can reach, as arrays by token and by pair."""
-
-    def __init__(self, token_counts: np.ndarray, pair_counts: np.ndarray, n: int, v: int):
-        self.known = token_counts > 0
-        self.plain = (token_counts + ADDED) / (n + ADDED * (v + 1))  # arcs of the state without history
-        self.failing = STRENGTH / (token_counts + STRENGTH)  # weight of a state's failure arc
-        self.arcs = pair_counts
-        self.visits = token_counts
-
-    def steps(self, state: np.ndarray, pair: np.ndarray, token: np.ndarray) -> np.ndarray:
-        """Weight of the step from each state by each token: the arc's own share, and what goes through the failure arc."""
-        return self.arcs[pair] / (self.visits[state] + STRENGTH) + self.failing[state] * self.plain[token]
-
-
-def score_block(block: pa.Table, answers: pa.Table) -> pa.Table:
-    """Traverses the documents of one block."""
-    tokens, first = tokens_of(texts_of(block))
-    before, pairs = pairs_of(tokens, first)
-    before[first[:-1]] = END  # as many texts begin as end
-    token_keys, token = np.unique(tokens, return_inverse=True)
-    pair = np.unique(pairs, return_inverse=True)[1]
+    """States and arcs that a block's documents can reach, numbered as its tokens, pairs and triples are.
+
+    A token is also the state of one token, and a pair the state of two. An arc is there if its count isn't 0. ``below`` and ``state`` give the
+    pair that a triple ends with and the state it leaves; ``last`` and ``token`` the same for a pair.
+    """
+
+    ROOT = 0
+
+    def __init__(self, counts: dict[str, np.ndarray], visits: np.ndarray, n: int, v: int, last: np.ndarray, token: np.ndarray, state: np.ndarray, below: np.ndarray, strengths: tuple[float, float] = STRENGTHS):
+        one, two = strengths
+        self.known, self.pairs, self.triples = (counts[k] > 0 for k in KINDS)
+        plain = (counts["token"] + ADDED) / (n + ADDED * (v + 1))
+        pair = (counts["pair"] + one * plain[token]) / (visits[last] + one)
+        triple = (counts["triple"] + two * pair[below]) / (counts["pair"][state] + two)
+        self.arcs = tuple(np.log10(x) for x in (plain, pair, triple))
+        self.failing = (np.log10(one / (visits + one)), np.log10(two / (counts["pair"] + two)))
+
+    def step(self, order: np.ndarray, one: np.ndarray, two: np.ndarray, token: np.ndarray, pair: np.ndarray, triple: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """From states of so many tokens (numbers ``one`` and ``two``) by a token each: log-weights of what is passed, and how many tokens the states
+        have that are reached."""
+        weight = np.zeros(len(order))
+        at, fits = order == 2, self.triples[triple]
+        read = at & fits
+        weight[read] = self.arcs[2][triple[read]]
+        fail = at & ~fits
+        weight[fail] = self.failing[1][two[fail]]
+        at, fits = fail | (order == 1), self.pairs[pair]
+        read = at & fits
+        weight[read] += self.arcs[1][pair[read]]
+        fail = at & ~fits
+        weight[fail] += self.failing[0][one[fail]]
+        read = fail | (order == self.ROOT)
+        weight[read] += self.arcs[0][token[read]]
+        return weight, np.where(fits, 2, self.known[token])
+
+
+def traverse(automaton: Automaton, token: np.ndarray, pair: np.ndarray, triple: np.ndarray, first: np.ndarray, start: int) -> np.ndarray:
+    """Log10 probability of each text: all texts read a token at a time, from left to right, each carrying its state."""
+    lengths = np.diff(first)
+    longest = np.argsort(-lengths, kind="stable")
+    total = np.zeros(len(lengths))
+    begin, still = first[:-1][longest], np.searchsorted(-lengths[longest], -np.arange(1, lengths.max(initial=0) + 1), "right")
+    order = np.ones(len(lengths), np.int64)  # the state that a text begins in is one of one token
+    one, two = np.full(len(lengths), start), np.zeros(len(lengths), np.int64)
+    for t, n in enumerate(still.tolist()):
+        at = begin[:n] + t
+        read, passed = token[at], pair[at]
+        weight, order = automaton.step(order[:n], one[:n], two[:n], read, passed, triple[at])
+        total[:n] += weight
+        one, two = read, passed
+    scores = np.empty(len(lengths))
+    scores[longest] = total
+    return scores
+
+
+def score_block(block: pa.Table, answers: pa.Table, strengths: tuple[float, float] = STRENGTHS) -> pa.Table:
+    """Builds the block's part of the automaton and traverses its documents."""
     parts = sorted(zip(answers.column("kind").to_pylist(), answers.column("part").to_pylist(), answers.column("counts").to_pylist()))
-    counts = {kind: np.concatenate([unpack(c) for k, _, c in parts if k == kind]).astype(float) for kind in ("token", "pair")}
+    counts = {kind: np.concatenate([unpack(c) for k, _, c in parts if k == kind]).astype(float) for kind in KINDS}
     totals = answers.column("totals")[0].as_py()
-    automaton = Automaton(counts["token"], counts["pair"], totals["n"], totals["v"])
-    state = np.searchsorted(token_keys, before)
+    tokens, first = tokens_of(texts_of(block))
+    pairs, triples = histories_of(tokens, first)
+    keys, _, token = ranked(tokens)
+    _, at_pair, pair = ranked(pairs)
+    _, at_triple, triple = ranked(triples)
+    del tokens, pairs, triples
+    start = len(keys)  # the state that texts begin in: visited as often as texts end
+    visits = np.append(counts["token"], counts["token"][np.searchsorted(keys, END)])
+    before = np.empty_like(token)
+    before[1:] = token[:-1]
+    before[first[:-1]] = start
+    automaton = Automaton(counts, visits, totals["n"], totals["v"], before[at_pair], token[at_pair], pair[np.maximum(at_triple - 1, 0)], pair[at_triple], strengths)
     by_text = lambda x: np.add.reduceat(x, first[:-1])  # noqa: E731  every text has a token, its end
     rows = block.num_rows
     return pa.table(
         {
             "doc_id": block.column("doc_id"), "held_out": block.column("held_out"), "n_tokens": np.diff(first), "n_known": by_text(automaton.known[token].astype(np.int64)), "train_tokens": np.full(rows, totals["n"], np.int64),
-            "base_score": by_text(np.log10(automaton.plain)[token]), "score": by_text(np.log10(automaton.steps(state, pair, token))),
+            "base_score": by_text(automaton.arcs[0][token]), "score": traverse(automaton, token, pair, triple, first, start),
         },
         schema=pa.schema([("doc_id", block.schema.field("doc_id").type), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("train_tokens", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())]),
     )
 
 
-def language_model_scores(docs: DataFrame, folds: int = 10, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+def language_model_scores(docs: DataFrame, folds: int = 10, block_bytes: int = BLOCK_BYTES, strengths: tuple[float, float] = STRENGTHS) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of every row; rows of remainder 0 are held out."""
     rows = docs.select("doc_id", text_or_empty().alias("text"), F.coalesce(remainder("doc_id", folds) == 0, F.lit(False)).alias("held_out"))
     size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0  # how much there is decides only how it is dealt
@@ -129,10 +191,10 @@ def language_model_scores(docs: DataFrame, folds: int = 10, block_bytes: int = B
     dealt = rows.withColumn("block", F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(blocks)).cast("int")).repartition(int(blocks), "block")
 
     requests = dealt.groupBy("block").applyInArrow(lambda block: ask(block, int(ranges)), REQUEST)
-    answers = requests.groupBy("kind", "part").applyInArrow(answer, "kind string, part int, block int, counts binary, seen long, distinct long")
+    answers = cut(requests.groupBy("kind", "part").applyInArrow(answer, "kind string, part int, block int, counts binary, seen long, distinct long"))
     seen = answers.filter("kind = 'token'").groupBy("part").agg(F.max("seen").alias("seen"), F.max("distinct").alias("distinct"))
     totals = seen.agg(F.struct(F.sum("seen").alias("n"), F.sum("distinct").alias("v")).alias("totals"))
     given = answers.select("kind", "part", "block", "counts").withColumn("totals", totals.scalar())
     return dealt.groupBy("block").cogroup(given.groupBy("block")).applyInArrow(
-        score_block, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
+        lambda block, answered: score_block(block, answered, strengths), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
     )

@@ -118,31 +118,65 @@ def test_byte_bpe_of_odd_texts(memory, tmp_path, monkeypatch):
         assert text_sha == hashlib.sha256(library.decode(ids, skip_special_tokens=False).encode()).hexdigest()
 
 
+def backoff(counts, visits, plain, strengths):
+    """The model's recursion, word for word: an arc where there is one, else the failure arc and the state below."""
+
+    def weight(history, w):
+        if not history:
+            return plain(w)
+        s, below = strengths[len(history) - 1], history[1:]
+        if counts[(*history, w)]:
+            return (counts[(*history, w)] + s * weight(below, w)) / (visits[history] + s)
+        return s / (visits[history] + s) * weight(below, w)
+
+    return weight
+
+
+def lm_counts(texts):
+    """Counts of runs of one to three tokens (a text begins with "^", which isn't counted itself) and visits of histories."""
+    counts, visits = collections.Counter(), collections.Counter()
+    for t in texts:
+        run = ["^", *t]
+        for i in range(1, len(run)):
+            for n in range(0, min(i, 2) + 1):
+                counts[tuple(run[i - n : i + 1])] += 1
+                visits[tuple(run[i - n : i])] += 1
+    return counts, visits
+
+
 def test_language_model(docs):
-    from devicelens.llm.lm import STRENGTH, language_model_scores
+    from devicelens.llm.lm import STRENGTHS, language_model_scores
 
     tokens = [(i, words(t) + [None]) for i, t in TEXTS]
-    train = [t for i, t in tokens if zlib.crc32(str(i).encode()) % 10]
-    c = collections.Counter(w for t in train for w in t)
-    pairs = collections.Counter(p for t in train for p in zip([None, *t[:-1]], t))
-    n, v = sum(c.values()), len(c)
-    plain = lambda w: (c[w] + 0.1) / (n + 0.1 * (v + 1))
-    want = sorted(
-        (i, zlib.crc32(str(i).encode()) % 10 == 0, len(t), sum(c[w] > 0 for w in t), n, round(sum(math.log10(plain(w)) for w in t), 6), round(sum(math.log10((pairs[p] + STRENGTH * plain(p[1])) / (c[p[0]] + STRENGTH)) for p in zip([None, *t[:-1]], t)), 6))
-        for i, t in tokens
-    )
+    counts, visits = lm_counts([t for i, t in tokens if zlib.crc32(str(i).encode()) % 10])
+    n, v = visits[()], sum(len(k) == 1 for k in counts)
+    plain = lambda w: (counts[(w,)] + 0.1) / (n + 0.1 * (v + 1))
+    weight = backoff(counts, visits, plain, STRENGTHS)
+    score = lambda t: sum(math.log10(weight(tuple(["^", *t][max(0, i - 1) : i + 1]), w)) for i, w in enumerate(t))
+    want = sorted((i, zlib.crc32(str(i).encode()) % 10 == 0, len(t), sum(counts[(w,)] > 0 for w in t), n, round(sum(math.log10(plain(w)) for w in t), 6), round(score(t), 6)) for i, t in tokens)
     got = sorted((*r[:5], round(r.base_score, 6), round(r.score, 6)) for r in language_model_scores(docs, block_bytes=9_000).collect())
     assert got == want
     assert language_model_scores(empty(docs)).count() == 0
-
-
-def test_weights_of_a_state_sum_to_one():
-    from devicelens.llm.lm import Automaton
-
-    counts = np.array([5.0, 3.0, 2.0, 0.0])  # the last stands for all unseen tokens
-    model = Automaton(counts, np.array([4.0, 1.0, 0.0, 0.0]), 10, 3)
-    state, token = np.zeros(4, int), np.arange(4)
-    assert model.steps(state, np.arange(4), token).sum() == pytest.approx(1.0)
+    # all that leaves a state sums to 1: tokens of training, and one class of all others
+    for history in [(), ("^",), *[h for h in visits if len(h) == 2][:20]]:
+        assert sum(weight(history, k[0]) for k in [*(k for k in counts if len(k) == 1), ("unseen",)]) == pytest.approx(1.0)
+
+
+def test_language_model_of_held_out_texts_beats_lower_orders(spark):
+    from devicelens.llm.lm import language_model_scores
+
+    rng = random.Random(8)
+    follow = {a: [rng.choice("abcdefghij") for _ in range(3)] for a in (x + y for x in "abcdefghij" for y in "abcdefghij")}
+    texts = []
+    for i in range(300):
+        t = [rng.choice("abcdefghij"), rng.choice("abcdefghij")]
+        while len(t) < 60:
+            t.append(rng.choice(follow[t[-2] + t[-1]]))
+        texts.append((i, " ".join(t)))
+    docs = spark.createDataFrame(texts, "doc_id long, text string")
+    total = lambda **kw: sum(r.score for r in language_model_scores(docs, **kw).filter("held_out").collect())
+    base = sum(r.base_score for r in language_model_scores(docs).filter("held_out").collect())
+    assert total() > 0.75 * total(strengths=(100.0, 1e12)) > base
 
 
 def brute_components(sets, percent=85):
