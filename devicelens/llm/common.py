@@ -49,6 +49,31 @@ def dealt(size: int, block_bytes: int, task_bytes: int) -> tuple[int, int]:
     return max(1, -(-size // block_bytes)), max(1, -(-size // task_bytes))
 
 
+def _hashed(k: int) -> int:
+    """Spark's hash of an int column."""
+    m = 0xFFFFFFFF
+    turned = lambda x, r: (x << r | x >> (32 - r)) & m
+    h = (turned(42 ^ turned(k * 0xCC9E2D51 & m, 15) * 0x1B873593 & m, 13) * 5 + 0xE6546B64) & m
+    h ^= 4
+    h = (h ^ h >> 16) * 0x85EBCA6B & m
+    h = (h ^ h >> 13) * 0xC2B2AE35 & m
+    h ^= h >> 16
+    return h - (1 << 32) if h >> 31 else h
+
+
+def labelled(block: Column, n: int) -> Column:
+    """The numbers 0 to n - 1 by labels that a shuffle into n partitions deals out one to each; numbers of very many blocks stay as they are, as
+    chance is even then."""
+    if n > 2_048:
+        return block
+    labels: dict[int, int] = {}
+    k = 0
+    while len(labels) < n:
+        labels.setdefault(_hashed(k) % n, k)
+        k += 1
+    return F.element_at(F.array(*(F.lit(x) for x in dict(sorted(labels.items())).values())), block + 1)
+
+
 def text_or_empty(column: str = "text") -> Column:
     return F.coalesce(F.col(column), F.lit(""))
 

@@ -27,7 +27,7 @@ from .blobs import merge, pack, pack_sorted, slices, unpack, unpack_sorted
 from .common import cut, remainder, text_or_empty
 from .vectors_of_text import mixed, words_by_text
 
-ADDED, STRENGTHS = 0.1, (100.0, 20.0)  # of the prior of states of one token and of two
+ADDED, STRENGTHS = 0.1, (300.0, 5.0)  # of the prior of states of one token and of two
 BLOCK_BYTES, RANGE_BYTES = 12 << 20, 16 << 20  # text of a block, text whose keys one range holds
 END, START = np.uint64(0x5EED0E4D), np.uint64(0x5EED57A7)  # keys of the end token and of the state that a text begins in
 REQUEST = "kind string, part int, block int, keys binary, counts binary"

@@ -293,6 +293,43 @@ def test_nearest(spark):
         hit += len({i for _, i in want} & {i for _, i, _ in found})
         total += len({i for _, i in want})
     assert hit >= 0.9 * total
+    # several blocks, a group of few rows, another order of rows, and columns whose names the operator uses: the same
+    again = nearest(df.orderBy("label").withColumn("id", F.lit(1)).withColumn("block", F.lit(2)).withColumn("rank", F.lit(3)), F.col("id") % 20 == 0, k=10, block_bytes=4 * 16 * 60, group_rows=16)
+    few = collections.defaultdict(set)
+    for r in again.collect():
+        few[r.query_id].add(r.vec_id)
+    assert sum(len(few[q] & {i for _, i, _ in found}) for q, found in got.items()) >= 0.85 * total
+    assert nearest(df.filter("false"), F.col("id") % 20 == 0).count() == 0
+
+
+@pytest.mark.parametrize("dims", [64, 384])
+@pytest.mark.parametrize("sigma", [0.0, 0.5, 1.0])
+def test_recall_by_collisions(dims, sigma):
+    """Vectors without any structure, of like and of very unlike norms: recall, and how few are verified."""
+    from devicelens.llm.ann import Block
+
+    rng = np.random.default_rng(4)
+    x = (rng.standard_normal((4_096, dims)) * np.exp(sigma * rng.standard_normal((4_096, 1)))).astype(np.float32)
+    ids, chosen = np.arange(len(x)), np.arange(0, 4_096, 100)
+    block = Block(x, ids, 1_024)
+    hit = 0
+    for q, (found, scores) in zip(chosen, block.search(x[chosen], ids[chosen], 20)):
+        exact = x.astype(np.float64) @ x[q].astype(np.float64)
+        assert np.array_equal(scores, np.sort(scores)[::-1]) and np.allclose(scores, exact[found], rtol=1e-12)
+        exact[q] = -np.inf
+        hit += len({*found.tolist()} & {*np.argsort(-exact)[:20].tolist()})
+    assert hit >= 0.9 * 20 * len(chosen)
+    assert sum(g.verified for g in block.groups) <= 0.3 * len(chosen) * len(x)
+    backward = Block(x[::-1], ids[::-1], 1_024).search(x[chosen[::-1]], ids[chosen[::-1]], 20)[::-1]
+    assert all(np.array_equal(a, b) for (a, _), (b, _) in zip(backward, block.search(x[chosen], ids[chosen], 20)))
+
+
+def test_nearest_ties_and_repeated_queries(spark):
+    from devicelens.llm.ann import nearest
+
+    rows = [(i, [1.0, float(i % 2)]) for i in range(60)] + [(20, [1.0, 0.0]), (7, [1.0, 1.0])]
+    got = sorted(tuple(r) for r in nearest(spark.createDataFrame(rows, "vec_id long, embedding array<double>").repartition(3), F.col("id") % 20 == 0, k=5, block_bytes=8 * 60).collect())
+    assert got == sorted((q, r, i, 1.0) for q in (0, 20, 40) for r, i in enumerate([x for x in range(6) if x != q][:5], 1))
 
 
 def test_near_duplicate_vectors(spark):
