@@ -332,24 +332,55 @@ def test_nearest_ties_and_repeated_queries(spark):
     assert got == sorted((q, r, i, 1.0) for q in (0, 20, 40) for r, i in enumerate([x for x in range(6) if x != q][:5], 1))
 
 
-def test_near_duplicate_vectors(spark):
-    from devicelens.llm.neighbour_graph import near_duplicate_vectors
-
-    df, rows = vectors(spark)
+def linked_by_brute_force(rows):
+    """vec_id, links and component of (vec_id, vector, label) rows, all compared."""
     unit = [None if v is None or None in v or not np.isfinite(v).all() or not np.any(v) or l is None else np.array(v) / np.linalg.norm(v) for _, v, l in rows]
     n = len(rows)
-    link = [[i != j and unit[i] is not None and unit[j] is not None and rows[i][2] == rows[j][2] and float(unit[i] @ unit[j]) >= 0.98 for j in range(n)] for i in range(n)]
+    link = [[j for j in range(n) if i != j and unit[i] is not None and unit[j] is not None and rows[i][2] == rows[j][2] and float(unit[i] @ unit[j]) >= 0.98] for i in range(n)]
     root = list(range(n))
-    for _ in range(n):
-        new = [min([root[i], *(root[j] for j in range(n) if link[i][j])]) for i in range(n)]
-        if new == root:
-            break
+    while (new := [min([root[i], *(root[j] for j in link[i])]) for i in range(n)]) != root:
         root = new
     least = {r: min(rows[i][0] for i in range(n) if root[i] == r) for r in set(root)}
-    want = sorted((rows[i][0], sum(link[i]), least[root[i]]) for i in range(n))
+    return sorted((rows[i][0], len(link[i]), least[root[i]]) for i in range(n))
+
+
+def test_near_duplicate_vectors(spark):
+    from devicelens.llm.neighbour_graph import near_duplicate_vectors
+
+    df, rows = vectors(spark)
     got = near_duplicate_vectors(df).collect()
-    assert sorted((r.vec_id, r.n_links, r.component_id) for r in got) == want
+    assert sorted((r.vec_id, r.n_links, r.component_id) for r in got) == linked_by_brute_force(rows)
     assert all(r.kept == (r.vec_id == r.component_id) for r in got)
+    clashing = df.withColumn("class", F.lit("x")).withColumn("rows", F.lit(1)).withColumn("code", F.lit(2))
+    assert sorted(map(tuple, near_duplicate_vectors(clashing).collect())) == sorted(map(tuple, got))
+    assert near_duplicate_vectors(df.filter("false")).count() == 0
+
+
+@pytest.mark.parametrize("cell_rows, part_rows", [(40, 6_000), (6_000, 50), (60, 30)])
+def test_near_duplicate_vectors_in_cells_and_parts(spark, cell_rows, part_rows):
+    from devicelens.llm.neighbour_graph import near_duplicate_vectors
+
+    rng = np.random.default_rng(3)
+    base = rng.standard_normal((40, 8))
+    x = base[rng.integers(0, 40, 260)] + 0.07 * rng.standard_normal((260, 8))
+    x[200:] = x[0] + 0.02 * rng.standard_normal((60, 8))  # one group fills cells of its own
+    rows = [(i, [float(np.float32(v)) for v in y], 1) for i, y in enumerate(x)]
+    got = near_duplicate_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int"), cell_rows=cell_rows, part_rows=part_rows)
+    assert sorted((r.vec_id, r.n_links, r.component_id) for r in got.collect()) == linked_by_brute_force(rows)
+
+
+def test_a_cell_of_near_copies_keeps_no_pairs():
+    import tracemalloc
+
+    from devicelens.llm.neighbour_graph import find_links
+
+    rng = np.random.default_rng(3)
+    x = (rng.standard_normal(64) + 0.05 * rng.standard_normal((12_000, 64))).astype(np.float32)
+    tracemalloc.start()
+    links = find_links(x, np.ones(len(x), np.int64), lambda a, b: np.ones(np.broadcast_shapes(a.shape, b.shape), bool))
+    assert tracemalloc.get_traced_memory()[1] < 300e6
+    tracemalloc.stop()
+    assert (links.total == len(x) - 1).all() and not links.root.any()
 
 
 def test_warc(spark, tmp_path):
