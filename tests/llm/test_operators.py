@@ -413,11 +413,15 @@ def test_quality_on_held_out_rows(spark):
     assert all(0 <= r.score <= 1 for r in scores.values()) and scores[500].score == scores[501].score
 
 
-def test_components_of_a_path(spark):
+@pytest.mark.parametrize("at_once", [200_000, 3])
+def test_components(spark, at_once):
     from devicelens.llm.components import components
 
-    edges = spark.createDataFrame([(i, i + 1) for i in range(4)] + [(100, 101)], "a long, b long")
-    assert {(r.node, r.root) for r in components(edges).collect()} == {(i, 0) for i in range(5)} | {(100, 100), (101, 100)}
+    path = [(i, i + 1) for i in range(12)]
+    star, odd = [(50, 50 + i) for i in range(1, 9)] + [(50, 51), (51, 50)], [(100, 101), (7, 7)]
+    found = {(r.node, r.root) for r in components(spark.createDataFrame(path + star + odd, "a long, b long"), at_once).collect()}
+    assert found == {(i, 0) for i in range(13)} | {(i, 50) for i in range(50, 59)} | {(100, 100), (101, 100)}
+    assert components(spark.createDataFrame([], "a long, b long"), at_once).count() == 0
 
 
 @pytest.mark.parametrize("n", range(1, 6))
