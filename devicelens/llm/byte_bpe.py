@@ -27,8 +27,9 @@ from pyspark import SparkFiles
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.window import Window as W
 
-from .common import portions, text_or_empty
+from .common import cut, portions, text_or_empty
 from .lexicon import Lexicon, compile_lexicon
 from .token_counts import pieces
 
@@ -286,9 +287,13 @@ class BpeCodec:
 
 
 def frequent_words(docs: DataFrame, most: int = LEXICON_WORDS) -> list[str]:
-    """The most frequent words between blanks, counted over all texts; of equally frequent ones those first in order of bytes."""
+    """The words between blanks that occur most often, at least twice, counted over all texts: those of the least count with which no more than
+    ``most`` occur as often, so that only these come to the driver."""
     words = docs.select(F.explode(F.split(text_or_empty(), " ")).alias("word")).filter(F.length("word").between(1, LONGEST_WORD))
-    return [r.word for r in words.groupBy("word").count().orderBy(F.desc("count"), "word").limit(most).collect()]
+    counts = cut(words.groupBy("word").agg(F.count("*").alias("n")).filter("n > 1"))
+    often = counts.groupBy("n").agg(F.count("*").alias("words")).withColumn("above", F.sum("words").over(W.orderBy(F.desc("n"))))
+    least = often.filter(F.col("above") <= most).agg(F.min("n")).first()[0]
+    return sorted(r.word for r in counts.filter(F.col("n") >= least).select("word").collect()) if least else []
 
 
 def ship_lexicon(docs: DataFrame, path: str, most: int = LEXICON_WORDS) -> str:
