@@ -37,7 +37,7 @@ from .common import labelled, spread
 
 K, DIRECTIONS, HALF_WIDTH, SLACK = 20, 64, 2.0, 0.8  # directions at least; window of a distance, in standard deviations of its projections
 FIRST, GROWTH, SEEDS = 0.5, 1.6, 4  # first radius as a share of M; growth of windows; vectors verified for a first k-th score, in k
-BLOCK_BYTES, LEAST_ROWS, GROUP_ROWS, SEED = 16 << 20, 4_096, 4_096, 11
+BLOCK_BYTES, LEAST_ROWS, GROUP_ROWS, SEED = 16 << 20, 16_384, 4_096, 11
 
 
 def usable(vector: Column) -> Column:
@@ -174,7 +174,7 @@ class Block:
         norms = np.sqrt(np.einsum("ij,ij->i", vectors, vectors, dtype=np.float64))
         order = np.lexsort((ids, -norms))
         self.axes = directions(vectors.shape[1] + 1, least_directions)
-        self.groups = [CollisionIndex(vectors[order[a : a + group_rows]], ids[order[a : a + group_rows]], self.axes, slack) for a in range(0, len(ids), group_rows)]
+        self.groups = [CollisionIndex(vectors[some], ids[some], self.axes, slack) for some in np.array_split(order, -(-len(ids) // group_rows))]
 
     def search(self, queries: np.ndarray, own: np.ndarray, k: int) -> list[tuple[np.ndarray, np.ndarray]]:
         """For every query the ids and scores of the k best vectors found."""

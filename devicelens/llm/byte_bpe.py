@@ -75,32 +75,27 @@ class Vocabulary:
         at = np.searchsorted(self.keys[:-1], key)
         return np.where(self.keys[at] == key, at, len(self.keys) - 1)
 
-    def merge(self, words: list[bytes]) -> list[list[int]]:
-        """Ids of words of the pattern. In every round each word merges its pair of the least rank, of equal ones the leftmost, until none can;
-        the rounds are made for all words together."""
+    def merge(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of words of the pattern, one after another, and how many each has. In every round each word merges its pair of the least rank, of
+        equal ones the leftmost, until none can; the rounds are made for all words together."""
         lengths = np.array([len(w) for w in words], np.int64)
-        found: list[list[int]] = [[]] * len(words)
+        ended: list[tuple[np.ndarray, np.ndarray]] = []  # (word, its ids)
         for i in np.flatnonzero(lengths > LONGEST_WORD).tolist():
-            found[i] = self._merge_long(self.byte_ids[np.frombuffer(words[i], np.uint8)].tolist())
+            found = np.array(self._merge_long(self.byte_ids[np.frombuffer(words[i], np.uint8)].tolist()))
+            ended.append((np.full(len(found), i), found))
         short = np.flatnonzero((lengths > 0) & (lengths <= LONGEST_WORD))
-        ids = self.byte_ids[np.frombuffer(b"".join(words[i] for i in short.tolist()), np.uint8)]
-        word = np.repeat(short, lengths[short])
-        pair = np.full(len(ids), len(self.keys) - 1)
+        ids = self.byte_ids[np.frombuffer(b"".join([words[i] for i in short.tolist()]), np.uint8)]
+        word, none = np.repeat(short, lengths[short]), len(self.keys) - 1
+        pair = np.full(len(ids), none)
         inner = np.flatnonzero(word[1:] == word[:-1])
         pair[inner] = self._pair(ids[inner], ids[inner + 1])
         while len(ids):
             first = np.flatnonzero(np.append(True, word[1:] != word[:-1]))
-            size = np.diff(np.append(first, len(ids)))
             rank = self.ranks[pair]
-            least = np.repeat(np.minimum.reduceat(rank, first), size)
+            least = np.repeat(np.minimum.reduceat(rank, first), np.diff(np.append(first, len(ids))))
             over = least == _NEVER
             if over.any():
-                ended = np.flatnonzero(over[first])
-                flat = ids[over].tolist()
-                at = 0
-                for w, n in zip(word[first[ended]].tolist(), size[ended].tolist()):
-                    found[w] = flat[at : at + n]
-                    at += n
+                ended.append((word[over], ids[over]))
                 ids, word, pair, rank, least = (x[~over] for x in (ids, word, pair, rank, least))
             here = np.flatnonzero(rank == least)
             here = here[np.append(True, word[here[1:]] != word[here[:-1]])] if len(here) else here
@@ -111,11 +106,13 @@ class Vocabulary:
             here -= np.arange(len(here))  # one id went before each
             for side in (here - 1, here):  # the pairs on both sides are new
                 side = side[side >= 0]
-                pair[side] = len(self.keys) - 1
+                pair[side] = none
                 side = side[side + 1 < len(ids)]
                 side = side[word[side] == word[side + 1]]
                 pair[side] = self._pair(ids[side], ids[side + 1])
-        return found
+        word, ids = (np.concatenate([np.empty(0, np.int64), *(x[k] for x in ended)]) for k in (0, 1))
+        order = np.argsort(word, kind="stable")
+        return ids[order].astype(np.int32), np.bincount(word, minlength=len(words))
 
     def _merge_long(self, ids: list[int]) -> list[int]:
         """The same with a heap of pairs over linked places."""
@@ -138,11 +135,22 @@ class Vocabulary:
                 heapq.heappush(heap, pair[0] * n + before[i])
         return [i for i in at if i >= 0]
 
-    def ids(self, texts: list[str]) -> list[list[int]]:
-        """Ids of texts without special strings."""
-        words = [words_of(t) for t in texts]
-        merged = iter(self.merge([w.encode("utf-8") for ws in words for w in ws]))
-        return [next(merged) if len(ws) == 1 else [i for _ in ws for i in next(merged)] for ws in words]
+    def ids(self, texts: list[str], pieces: bool = True) -> list[bytes]:
+        """Ids of texts without special strings, as 32-bit numbers. If they are pieces, words end where they do, so that they can stand together."""
+        words = _WORDS.findall("".join(texts)) if pieces else [w for t in texts for w in words_of(t)]
+        distinct = {w: i for i, w in enumerate(dict.fromkeys(words))}
+        flat, counts = self.merge([w.encode("utf-8") for w in distinct])
+        which = np.fromiter(map(distinct.__getitem__, words), np.int64, len(words))
+        # the ids of every word in the order of words
+        begins = np.cumsum(counts) - counts
+        sizes = counts[which]
+        at = np.repeat(begins[which] - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())
+        raw = flat[at].tobytes()
+        # the ids of every text
+        word_ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)))
+        text_ends = np.cumsum(np.fromiter(map(len, texts), np.int64, len(texts)))
+        ends = 4 * np.append(0, np.append(0, np.cumsum(sizes))[np.searchsorted(word_ends, text_ends, "right")])
+        return [raw[a:b] for a, b in zip(ends[:-1].tolist(), ends[1:].tolist())]
 
 
 _WORDS = regex.compile(PATTERN)
@@ -167,22 +175,25 @@ def stretches(text: str, at_most: int = STRETCH) -> Iterator[str]:
 
 
 class BpeCodec:
-    """Ids of texts and texts of ids. A piece's ids are kept as 32-bit numbers, as decimals, and as the bytes that they decode to."""
+    """Ids of texts and texts of ids. A worker remembers the ids of pieces, as 32-bit numbers: those of the lexicon, which are bounded, and others up
+    to a bound in bytes."""
 
     def __init__(self, path: str, lexicon_path: str | None = None):
         self.vocabulary = Vocabulary(path)
         self.lexicon = Lexicon(lexicon_path) if lexicon_path else None
         self.special = self.vocabulary.special
         self.marks = regex.compile("|".join(regex.escape(s) for s in sorted(self.special, key=len, reverse=True))) if self.special else None
-        self.numbers: dict[str, bytes] = {}
-        self.decimals: dict[str, bytes] = {}
-        self.decoded: dict[str, bytes] = {}
-        self.steady: set[str] = set()
+        size = max(self.vocabulary.bytes_of, default=-1) + 1
+        self.bytes_of = [self.vocabulary.bytes_of.get(i, b"") for i in range(size)]
+        self.decimal_of = [b"%d," % i for i in range(size)]
+        self.known: dict[str, bytes] = {}
+        self.steady: dict[str, bytes] = {}
         self.held = 0
 
     @classmethod
     def of(cls, path: str, lexicon_path: str) -> BpeCodec:
         if (path, lexicon_path) not in _CODECS:
+            _CODECS.clear()  # a worker keeps one
             _CODECS[path, lexicon_path] = cls(path, lexicon_path)
         return _CODECS[path, lexicon_path]
 
@@ -197,42 +208,31 @@ class BpeCodec:
         if at < len(text):
             yield text[at:], None
 
-    def ids_of(self, unseen: list[str]) -> list[tuple[list[int], bool]]:
-        """Ids of pieces, and whether they are the lexicon's: those by one walk of its automaton for all, the others by merges."""
-        places = self.lexicon.find([p.encode("utf-8") for p in unseen]) if self.lexicon else [-1] * len(unseen)
-        merged = iter(self.vocabulary.ids([p for p, place in zip(unseen, places) if place < 0]))
-        return [(self.lexicon.output(place), True) if place >= 0 else (next(merged), False) for place in places]
-
-    def learn(self, cut: set[str], digests: bool) -> None:
-        """Remembers the pieces that aren't yet; they come without the blank before them."""
-        known = self.decimals if digests else self.numbers
+    def learn(self, cut: set[str]) -> None:
+        """Remembers the pieces that aren't yet, those of the lexicon by one walk of its automaton for all, the others by merges; they come without
+        the blank before them."""
         if self.held > REMEMBERED_BYTES:
-            for memory in (self.numbers, self.decimals, self.decoded):  # the lexicon's words stay: they are frequent, and bounded
-                stay = {p: memory[p] for p in self.steady if p in memory}
-                memory.clear()
-                memory.update(stay)
-            self.held = 0
-        unseen = [*cut.difference(known)]
-        for piece, (ids, frequent) in zip(unseen, self.ids_of([" " + p for p in unseen])):
-            if digests:
-                self.decimals[piece] = ",".join(map(str, ids)).encode()
-                self.decoded[piece] = b"".join(map(self.vocabulary.bytes_of.__getitem__, ids))
-            else:
-                self.numbers[piece] = array("i", ids).tobytes()
-            if frequent:
-                self.steady.add(piece)
-            else:
-                self.held += 300 + 4 * len(piece) + 8 * len(ids)
-
-    def parts(self, texts: list[str], digests: bool) -> Iterator[tuple[int, list[int], list[str]]]:
+            self.known, self.held = dict(self.steady), 0
+        unseen = [" " + p for p in cut.difference(self.known)]
+        if self.lexicon:
+            places = self.lexicon.find([p.encode("utf-8") for p in unseen])
+            found = {p[1:]: self.lexicon.output(place) for p, place in zip(unseen, places) if place >= 0}
+            self.steady |= found
+            self.known |= found
+            unseen = [p for p, place in zip(unseen, places) if place < 0]
+        raw = self.vocabulary.ids(unseen)
+        self.known.update(zip((p[1:] for p in unseen), raw))
+        self.held += sum(map(len, unseen)) + sum(map(len, raw)) + 200 * len(raw)
+
+    def parts(self, texts: list[str]) -> Iterator[tuple[int, bytes, list[str]]]:
         """The texts in order as (number of the text, ids, remembered pieces after them), some of these for each; learns as much text at once as is
         worked on at once."""
-        group: list[tuple[int, list[int] | str, list[str]]] = []
+        group: list[tuple[int, bytes | str, list[str]]] = []
         size = 0
 
-        def flushed() -> Iterator[tuple[int, list[int], list[str]]]:
-            self.learn({p for _, _, rest in group for p in rest}, digests)
-            firsts = iter(self.vocabulary.ids([f for _, f, _ in group if isinstance(f, str)]))
+        def flushed() -> Iterator[tuple[int, bytes, list[str]]]:
+            self.learn({p for _, _, rest in group for p in rest})
+            firsts = iter(self.vocabulary.ids([first for _, first, _ in group if isinstance(first, str)], False))
             for number, first, rest in group:
                 yield number, next(firsts) if isinstance(first, str) else first, rest
             group.clear()
@@ -240,7 +240,7 @@ class BpeCodec:
         for number, text in enumerate(texts):
             for segment, special in self.segments(text):
                 if special is not None:
-                    group.append((number, [special], []))
+                    group.append((number, array("i", [special]).tobytes(), []))
                     continue
                 for stretch in stretches(segment):
                     first, *rest = pieces(stretch)
@@ -259,28 +259,25 @@ class BpeCodec:
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
         joined: list[list[bytes]] = [[] for _ in texts]
-        for number, ids, known in self.parts(texts, False):
-            joined[number].append(array("i", ids).tobytes())
-            joined[number] += map(self.numbers.__getitem__, known)
+        for number, ids, known in self.parts(texts):
+            joined[number].append(ids)
+            joined[number] += map(self.known.__getitem__, known)
         return [np.frombuffer(b"".join(x), np.int32) for x in joined]
 
     def decode(self, ids: list[int]) -> str:
-        return b"".join(map(self.vocabulary.bytes_of.__getitem__, ids)).decode("utf-8", "replace")
+        return b"".join(map(self.bytes_of.__getitem__, ids)).decode("utf-8", "replace")
 
     def digests(self, texts: list[str]) -> list[tuple[int, str, str]]:
         """Number of ids, SHA-256 of the ids joined by commas, and SHA-256 of the decoded text, of each text."""
         counts, ids_sha, text_sha = [0] * len(texts), [hashlib.sha256() for _ in texts], [hashlib.sha256() for _ in texts]
         readers = [codecs.getincrementaldecoder("utf-8")("replace") for _ in texts]
-        for number, ids, known in self.parts(texts, True):
-            decimals = [",".join(map(str, ids)).encode()] if ids else []
-            decimals += map(self.decimals.__getitem__, known)
-            if decimals:
-                joined = b",".join(decimals)
-                ids_sha[number].update(b"," + joined if counts[number] else joined)
-                counts[number] += joined.count(b",") + 1
-                raw = [self.vocabulary.bytes_of[i] for i in ids]
-                raw += map(self.decoded.__getitem__, known)
-                text_sha[number].update(readers[number].decode(b"".join(raw)).encode("utf-8"))
+        for number, first, known in self.parts(texts):
+            ids = np.frombuffer(first + b"".join(map(self.known.__getitem__, known)), np.int32).tolist()
+            if ids:
+                decimals = b"".join(map(self.decimal_of.__getitem__, ids))
+                ids_sha[number].update(b"," + decimals[:-1] if counts[number] else decimals[:-1])
+                counts[number] += len(ids)
+                text_sha[number].update(readers[number].decode(b"".join(map(self.bytes_of.__getitem__, ids))).encode("utf-8"))
         for reader, sha in zip(readers, text_sha):
             sha.update(reader.decode(b"", True).encode("utf-8"))
         return [(n, a.hexdigest(), b.hexdigest()) for n, a, b in zip(counts, ids_sha, text_sha)]
@@ -301,7 +298,7 @@ def ship_lexicon(docs: DataFrame, path: str, most: int = LEXICON_WORDS) -> str:
     codec, context = BpeCodec(path), docs.sparkSession.sparkContext
     plain = [" " + w for w in frequent_words(docs, most) if not (codec.marks and codec.marks.search(w))]
     plain = [w for w in plain if len(pieces(w)) == 2]
-    compiled = compile_lexicon(dict(zip((w.encode("utf-8") for w in plain), codec.vocabulary.ids(plain))))
+    compiled = compile_lexicon({w.encode("utf-8"): np.frombuffer(raw, np.int32).tolist() for w, raw in zip(plain, codec.vocabulary.ids(plain))})
     name = f"lexicon-{hashlib.sha256(compiled).hexdigest()[:16]}.bin"
     if (context.applicationId, name) not in _SHIPPED:
         at = os.path.join(tempfile.mkdtemp(prefix="devicelens-lexicon-"), name)

@@ -9,7 +9,7 @@ from __future__ import annotations
 
 import mmap
 import struct
-from collections.abc import Iterable
+from collections.abc import Iterable, Sequence
 
 import numpy as np
 
@@ -61,7 +61,7 @@ def minimal_automaton(words: Iterable[bytes]) -> _State:
     return root
 
 
-def compile_lexicon(entries: dict[bytes, list[int]]) -> bytes:
+def compile_lexicon(entries: dict[bytes, Sequence[int]]) -> bytes:
     """The flat form: a double array of arcs (base, owner, target, words skipped), which states are final, and the ids in word order with where
     each word's begin."""
     words = sorted(w for w in entries if w)
@@ -144,9 +144,10 @@ class Lexicon:
             going, state, place = going[~ends], state[~ends], place[~ends]
         return places.tolist()
 
-    def output(self, place: int) -> list[int]:
-        return self.ids[self.begins[place] : self.begins[place + 1]].tolist()
+    def output(self, place: int) -> bytes:
+        """The ids of a word, as 32-bit numbers."""
+        return self.ids[self.begins[place] : self.begins[place + 1]].tobytes()
 
     def get(self, word: bytes) -> list[int] | None:
         place = self.find([word])[0]
-        return self.output(place) if place >= 0 else None
+        return np.frombuffer(self.output(place), np.int32).tolist() if place >= 0 else None

@@ -18,17 +18,19 @@ training (its remainder is null, thus held_out false). Empty tables give no rows
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .blobs import merge, pack, pack_sorted, slices, unpack, unpack_sorted
-from .common import cut, remainder, text_or_empty
+from .common import dealt, labelled, portions, remainder, text_or_empty
 from .vectors_of_text import mixed, words_by_text
 
 ADDED, STRENGTHS = 0.1, (300.0, 5.0)  # of the prior of states of one token and of two
-BLOCK_BYTES, RANGE_BYTES = 12 << 20, 16 << 20  # text of a block, text whose keys one range holds
+BLOCK_BYTES, RANGE_BYTES, PACK_BYTES = 12 << 20, 16 << 20, 8 << 20  # text of a block, text whose keys one range holds, text packed at once
 END, START = np.uint64(0x5EED0E4D), np.uint64(0x5EED57A7)  # keys of the end token and of the state that a text begins in
 REQUEST = "kind string, part int, block int, keys binary, counts binary"
 KINDS = ("token", "pair", "triple")
@@ -65,8 +67,30 @@ def ranked(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return ascending[new], order[new], place
 
 
-def texts_of(block: pa.Table) -> list[bytes]:
-    return block.column("text").cast(pa.binary()).to_pylist()
+def packed(batches: Iterator[pa.RecordBatch], blocks: int) -> Iterator[pa.RecordBatch]:
+    """Documents as one compressed row for each block that a portion of them goes to: less to shuffle, and to hold, than a row a document."""
+    for batch in portions(batches, 1, PACK_BYTES, 1 << 20):
+        number = batch.column(3).to_numpy()
+        order = np.argsort(number, kind="stable")
+        ends = np.searchsorted(number[order], np.arange(blocks + 1)) if blocks <= len(number) else np.append(np.flatnonzero(np.diff(number[order], prepend=-1)), len(number))
+        rows = []
+        for a, b in zip(ends[:-1].tolist(), ends[1:].tolist()):
+            if a < b:
+                sink = pa.BufferOutputStream()
+                with pa.ipc.new_stream(sink, batch.schema) as stream:
+                    stream.write_batch(batch.take(pa.array(order[a:b])))
+                rows.append((int(number[order[a]]), pack(np.frombuffer(sink.getvalue(), np.uint8))))
+        yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary())], ["block", "documents"])
+
+
+def documents_of(block: pa.Table) -> pa.Table:
+    """A block's documents, in an order that doesn't depend on how they came."""
+    found = pa.concat_tables(pa.ipc.open_stream(unpack(x.as_py()).tobytes()).read_all() for x in block.column("documents"))
+    return found.sort_by([("doc_id", "ascending"), ("text", "ascending")])
+
+
+def texts_of(documents: pa.Table) -> list[bytes]:
+    return documents.column("text").cast(pa.binary()).to_pylist()
 
 
 _REQUEST = pa.schema([("kind", pa.string()), ("part", pa.int32()), ("block", pa.int32()), ("keys", pa.binary()), ("counts", pa.binary())])
@@ -74,8 +98,9 @@ _REQUEST = pa.schema([("kind", pa.string()), ("part", pa.int32()), ("block", pa.
 
 def ask(block: pa.Table, ranges: int) -> pa.Table:
     """What one block needs and what it adds: its distinct tokens, pairs and triples with their training counts."""
-    tokens, first = tokens_of(texts_of(block))
-    training = np.repeat(~np.array(block.column("held_out").to_pylist(), bool), np.diff(first))
+    documents = documents_of(block)
+    tokens, first = tokens_of(texts_of(documents))
+    training = np.repeat(~np.array(documents.column("held_out").to_pylist(), bool), np.diff(first))
     rows: list[tuple] = []
     number = block.column("block")[0].as_py()
     for kind, keys in zip(KINDS, (tokens, *histories_of(tokens, first))):
@@ -87,16 +112,19 @@ def ask(block: pa.Table, ranges: int) -> pa.Table:
 
 
 def answer(asked: pa.Table) -> pa.Table:
-    """One range of keys: what all blocks have counted, given back to each in the order it asked; a row of totals besides."""
+    """One range of keys: what all blocks have counted, given back to each in the order it asked."""
     keys = [unpack_sorted(x.as_py()) for x in asked.column("keys")]
     total, counts = merge(keys, [unpack(x.as_py()) for x in asked.column("counts")])
-    blobs = [pack(counts[np.searchsorted(total, k)]) for k in keys]
-    kind, part = asked.column("kind")[0].as_py(), asked.column("part")[0].as_py()
-    seen, distinct = int(counts.sum()), int(np.count_nonzero(counts))
-    return pa.table(
-        {"kind": [kind] * len(keys), "part": [part] * len(keys), "block": asked.column("block"), "counts": blobs, "seen": [seen] * len(keys), "distinct": [distinct] * len(keys)},
-        schema=pa.schema([("kind", pa.string()), ("part", pa.int32()), ("block", pa.int32()), ("counts", pa.binary()), ("seen", pa.int64()), ("distinct", pa.int64())]),
-    )
+    return asked.select(["kind", "part", "block"]).append_column("counts", pa.array([pack(counts[np.searchsorted(total, k)]) for k in keys], pa.binary()))
+
+
+def tokens_counted(asked: pa.Table) -> pa.Table:
+    """One range of keys: how many tokens there are in training, and how many distinct ones."""
+    seen = distinct = 0
+    if asked.column("kind")[0].as_py() == "token":
+        _, counts = merge([unpack_sorted(x.as_py()) for x in asked.column("keys")], [unpack(x.as_py()) for x in asked.column("counts")])
+        seen, distinct = int(counts.sum()), int(np.count_nonzero(counts))
+    return pa.table({"seen": [seen], "distinct": [distinct]}, schema=pa.schema([("seen", pa.int64()), ("distinct", pa.int64())]))
 
 
 class Automaton:
@@ -160,7 +188,8 @@ def score_block(block: pa.Table, answers: pa.Table, strengths: tuple[float, floa
     parts = sorted(zip(answers.column("kind").to_pylist(), answers.column("part").to_pylist(), answers.column("counts").to_pylist()))
     counts = {kind: np.concatenate([unpack(c) for k, _, c in parts if k == kind]).astype(float) for kind in KINDS}
     totals = answers.column("totals")[0].as_py()
-    tokens, first = tokens_of(texts_of(block))
+    documents = documents_of(block)
+    tokens, first = tokens_of(texts_of(documents))
     pairs, triples = histories_of(tokens, first)
     keys, _, token = ranked(tokens)
     _, at_pair, pair = ranked(pairs)
@@ -173,28 +202,27 @@ def score_block(block: pa.Table, answers: pa.Table, strengths: tuple[float, floa
     before[first[:-1]] = start
     automaton = Automaton(counts, visits, totals["n"], totals["v"], before[at_pair], token[at_pair], pair[np.maximum(at_triple - 1, 0)], pair[at_triple], strengths)
     by_text = lambda x: np.add.reduceat(x, first[:-1])  # noqa: E731  every text has a token, its end
-    rows = block.num_rows
+    rows = documents.num_rows
     return pa.table(
         {
-            "doc_id": block.column("doc_id"), "held_out": block.column("held_out"), "n_tokens": np.diff(first), "n_known": by_text(automaton.known[token].astype(np.int64)), "train_tokens": np.full(rows, totals["n"], np.int64),
+            "doc_id": documents.column("doc_id"), "held_out": documents.column("held_out"), "n_tokens": np.diff(first), "n_known": by_text(automaton.known[token].astype(np.int64)), "train_tokens": np.full(rows, totals["n"], np.int64),
             "base_score": by_text(automaton.arcs[0][token]), "score": traverse(automaton, token, pair, triple, first, start),
         },
-        schema=pa.schema([("doc_id", block.schema.field("doc_id").type), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("train_tokens", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())]),
+        schema=pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("train_tokens", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())]),
     )
 
 
 def language_model_scores(docs: DataFrame, folds: int = 10, block_bytes: int = BLOCK_BYTES, strengths: tuple[float, float] = STRENGTHS) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of every row; rows of remainder 0 are held out."""
-    rows = docs.select("doc_id", text_or_empty().alias("text"), F.coalesce(remainder("doc_id", folds) == 0, F.lit(False)).alias("held_out"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"), F.coalesce(remainder("doc_id", folds) == 0, F.lit(False)).alias("held_out"))
     size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0  # how much there is decides only how it is dealt
-    blocks, ranges = max(1, -(-size // block_bytes)), max(1, -(-size // RANGE_BYTES))
-    dealt = rows.withColumn("block", F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(blocks)).cast("int")).repartition(int(blocks), "block")
-
-    requests = dealt.groupBy("block").applyInArrow(lambda block: ask(block, int(ranges)), REQUEST)
-    answers = cut(requests.groupBy("kind", "part").applyInArrow(answer, "kind string, part int, block int, counts binary, seen long, distinct long"))
-    seen = answers.filter("kind = 'token'").groupBy("part").agg(F.max("seen").alias("seen"), F.max("distinct").alias("distinct"))
-    totals = seen.agg(F.struct(F.sum("seen").alias("n"), F.sum("distinct").alias("v")).alias("totals"))
-    given = answers.select("kind", "part", "block", "counts").withColumn("totals", totals.scalar())
-    return dealt.groupBy("block").cogroup(given.groupBy("block")).applyInArrow(
+    blocks, ranges = dealt(size, block_bytes, RANGE_BYTES)
+    numbered = rows.withColumn("block", F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(blocks)).cast("int"))
+    texts = numbered.mapInArrow(lambda b: packed(b, blocks), "block int, documents binary").withColumn("block", labelled(F.col("block"), blocks)).repartition(blocks, "block")
+
+    requests = texts.groupBy("block").applyInArrow(lambda block: ask(block, ranges), REQUEST)
+    answers = requests.groupBy("kind", "part").applyInArrow(answer, "kind string, part int, block int, counts binary")
+    totals = requests.groupBy("kind", "part").applyInArrow(tokens_counted, "seen long, distinct long").agg(F.struct(F.sum("seen").alias("n"), F.sum("distinct").alias("v")).alias("totals"))
+    return texts.groupBy("block").cogroup(answers.withColumn("totals", totals.scalar()).groupBy("block")).applyInArrow(
         lambda block, answered: score_block(block, answered, strengths), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
     )
