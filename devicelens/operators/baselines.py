@@ -9,8 +9,10 @@ from pyspark.sql.window import Window as W
 
 def names(ptr: DataFrame, rules: DataFrame, min_ppv: float = 0.8) -> DataFrame:
     """Sets by router name: the rule of a name's suffix extracts its router part; equal parts are one router. (addr, family, set_id)"""
-    rows = ptr.withColumn("suffix", F.regexp_extract("name", r"(as[0-9]+[.]example[.]net)$", 1))
-    matched = rows.join(F.broadcast(rules.filter(F.col("ppv") >= min_ppv)), "suffix").withColumn("part", F.expr("regexp_extract(name, regex, 1)"))
+    labels = F.split("name", "[.]")  # a name meets the rules by each of its own suffixes, so an equi join does
+    ends = F.transform(F.sequence(F.lit(2), F.size(labels)), lambda k: F.array_join(F.slice(labels, k, F.size(labels)), "."))
+    rows = ptr.filter(F.size(labels) > 1).withColumn("suffix", F.explode(ends))
+    matched = rows.join(rules.filter(F.col("ppv") >= min_ppv), "suffix").withColumn("part", F.expr("regexp_extract(name, regex, 1)"))
     return matched.filter("part <> ''").select("addr", "family", F.concat_ws("/", "suffix", "part").alias("set_id"))
 
 

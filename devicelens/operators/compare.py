@@ -4,14 +4,16 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window as W
 
 
 def contingency(p: DataFrame, q: DataFrame) -> DataFrame:
-    """(a, b, n_shared, n_a, n_b) of two partitions given as (set_id, addr)."""
+    """(a, b, n_shared, n_a, n_b) of two partitions given as (set_id, addr). One pass over the addresses of both: those are co-grouped by a
+    full join, and the sizes of sets are windows over the counted cells, which a set's cells share a task in."""
     left, right = p.select(F.col("set_id").alias("a"), "addr"), q.select(F.col("set_id").alias("b"), "addr")
-    shared = left.join(right, "addr").groupBy("a", "b").agg(F.count("*").alias("n_shared"))
-    size = lambda x, k: x.groupBy(k).agg(F.count("*").alias(f"n_{k}"))
-    return shared.join(size(left, "a"), "a").join(size(right, "b"), "b")
+    cells = left.join(right, "addr", "full").groupBy("a", "b").agg(F.count("*").alias("n_shared"))
+    sized = cells.withColumn("n_a", F.sum("n_shared").over(W.partitionBy("a"))).withColumn("n_b", F.sum("n_shared").over(W.partitionBy("b")))
+    return sized.filter("a IS NOT NULL AND b IS NOT NULL")
 
 
 def exact(table: DataFrame) -> DataFrame:
@@ -40,12 +42,11 @@ def summary(partitions: dict[str, DataFrame]) -> DataFrame:
 def pairwise(p: DataFrame, truth: DataFrame) -> DataFrame:
     """Pair precision, recall, F1 and Rand index over the addresses both have."""
     both = p.select("addr", F.col("set_id").alias("a")).join(truth.select("addr", F.col("set_id").alias("b")), "addr")
-    pairs = lambda c: F.coalesce(F.sum((F.col(c) * (F.col(c) - 1) / 2).cast("bigint")), F.lit(0).cast("bigint"))
+    # cells, sets and devices in one pass: counts of cells are summed by either side
     cells = both.groupBy("a", "b").agg(F.count("*").alias("n"))
-    tp = cells.agg(pairs("n").alias("tp"), F.sum("n").alias("total"))
-    ours = cells.groupBy("a").agg(F.sum("n").alias("n")).agg(pairs("n").alias("predicted"))
-    true = cells.groupBy("b").agg(F.sum("n").alias("n")).agg(pairs("n").alias("actual"))
-    one = tp.withColumn("predicted", ours.scalar()).withColumn("actual", true.scalar())
+    sums = cells.groupingSets([("a", "b"), ("a",), ("b",)], "a", "b").agg(F.sum("n").alias("n"), F.grouping_id().alias("g"))
+    of = lambda g: F.coalesce(F.sum(F.when(F.col("g") == g, (F.col("n") * (F.col("n") - 1) / 2).cast("bigint"))), F.lit(0).cast("bigint"))
+    one = sums.agg(of(0).alias("tp"), F.sum(F.when(F.col("g") == 0, F.col("n"))).alias("total"), of(1).alias("predicted"), of(2).alias("actual"))
     every = F.col("total") * (F.col("total") - 1) / 2
     precision, recall = F.try_divide("tp", "predicted"), F.try_divide("tp", "actual")
     return one.select(

@@ -16,30 +16,40 @@ STEPS = ("missing_id", "not_in_both", "inconsistent_id", "short_id", "promiscuou
 MIN_BYTES, MAX_S, ORIGIN, BIN_S = 4, 10, 0, 20
 
 
+_REPLY = ("engine_id", "boots", "engine_time", "recv_s")
+
+
+def _first() -> Column:
+    """What the earliest of several replies is chosen by."""
+    return F.struct("recv_s", F.coalesce("engine_id", F.lit("")), "engine_time")
+
+
 def dedup(df: DataFrame, keys: tuple[str, ...] = ("scan", "addr")) -> DataFrame:
     """The earliest reply of each key, with how many there were and whether their ids conflict."""
-    first = F.min_by(F.struct("engine_id", "boots", "engine_time", "recv_s"), F.struct("recv_s", F.coalesce("engine_id", F.lit("")), "engine_time"))
     conflict = F.coalesce(F.min("engine_id") != F.max("engine_id"), F.lit(False))
-    return df.groupBy(*keys).agg(first.alias("r"), F.count("*").alias("packets"), conflict.alias("conflict")).select(*keys, "r.*", "packets", "conflict")
+    return df.groupBy(*keys).agg(F.min_by(F.struct(*_REPLY), _first()).alias("r"), F.count("*").alias("packets"), conflict.alias("conflict")).select(*keys, "r.*", "packets", "conflict")
 
 
 def two_scans(df: DataFrame) -> DataFrame:
-    """One row an address with both scans side by side; one shuffle. Replies without an id don't count as replies, but are remembered."""
-    real = F.length("engine_id") > 0
-    of = lambda k, c: F.max(F.when((F.col("scan") == k) & real, F.col(c))).alias(f"{c}{k}")
-    columns = [of(k, c) for k in (1, 2) for c in ("engine_id", "boots", "engine_time", "recv_s")]
-    wide = df.groupBy("family", "addr").agg(F.max("addr_key").alias("addr_key"), *columns)
-    return wide.withColumnRenamed("engine_id1", "id1").withColumnRenamed("engine_id2", "id2").withColumn("r1", F.col("recv_s1") - F.col("engine_time1")).withColumn("r2", F.col("recv_s2") - F.col("engine_time2"))
+    """One row an address with both scans side by side; one shuffle. Of several replies in a scan the earliest with an id counts, whole: id and clock
+    are of one packet. Replies without an id don't count as replies, but are remembered."""
+    of = lambda k: F.min_by(F.struct(*_REPLY), F.when((F.col("scan") == k) & (F.length("engine_id") > 0), _first()))
+    found = df.groupBy("family", "addr").agg(F.max("addr_key").alias("addr_key"), of(1).alias("a"), of(2).alias("b"))
+    return _side_by_side(found, "a", "b")
+
+
+def _side_by_side(found: DataFrame, a: str, b: str) -> DataFrame:
+    columns = [F.col(f"{side}.{c}").alias(f"{'id' if c == 'engine_id' else c}{k}") for k, side in ((1, a), (2, b)) for c in _REPLY]
+    return found.select("family", "addr", "addr_key", *columns).withColumn("r1", F.col("recv_s1") - F.col("engine_time1")).withColumn("r2", F.col("recv_s2") - F.col("engine_time2"))
 
 
 def two_scans_join(df: DataFrame) -> DataFrame:
-    """The same by an explicit full join of the scans."""
+    """The same by collapsing each scan's replies and an explicit full join of the scans."""
     real = df.filter(F.length("engine_id") > 0)
-    side = lambda k: real.filter(F.col("scan") == k).select("family", "addr", *(F.col(c).alias(f"{c}{k}") for c in ("addr_key", "engine_id", "boots", "engine_time", "recv_s")))
-    empty = df.filter(F.coalesce(F.length("engine_id"), F.lit(0)) == 0).select("family", "addr", F.col("addr_key").alias("k0")).distinct()
-    wide = side(1).join(side(2), ["family", "addr"], "full").join(empty, ["family", "addr"], "full").withColumn("addr_key", F.coalesce("addr_key1", "addr_key2", "k0"))
-    wide = wide.drop("addr_key1", "addr_key2", "k0").withColumnRenamed("engine_id1", "id1").withColumnRenamed("engine_id2", "id2")
-    return wide.withColumn("r1", F.col("recv_s1") - F.col("engine_time1")).withColumn("r2", F.col("recv_s2") - F.col("engine_time2"))
+    side = lambda k: dedup(real.filter(F.col("scan") == k), ("family", "addr", "addr_key")).select("family", "addr", F.col("addr_key").alias(f"key{k}"), F.struct(*_REPLY).alias(f"s{k}"))
+    empty = df.filter(F.coalesce(F.length("engine_id"), F.lit(0)) == 0).select("family", "addr", F.col("addr_key").alias("key0")).distinct()
+    found = side(1).join(side(2), ["family", "addr"], "full").join(empty, ["family", "addr"], "full").withColumn("addr_key", F.coalesce("key1", "key2", "key0"))
+    return _side_by_side(found, "s1", "s2")
 
 
 def early_step(min_bytes: int = MIN_BYTES) -> Column:

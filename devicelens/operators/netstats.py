@@ -10,8 +10,13 @@ from devicelens.functions.codec import ip4_to_long, prefix_of
 from devicelens.operators.distrib import cumulate
 
 
-def lpm(addrs: DataFrame, prefixes: DataFrame, lengths4: tuple[int, ...] = (14, 24), lengths6: tuple[int, ...] = (48,)) -> DataFrame:
-    """Longest-prefix match as one equi join a prefix length instead of a range join; the longest that matches wins."""
+def lpm(addrs: DataFrame, prefixes: DataFrame, lengths4: tuple[int, ...] | None = None, lengths6: tuple[int, ...] = (48,)) -> DataFrame:
+    """Longest-prefix match as one equi join a prefix length instead of a range join; the longest that matches wins. Lengths of IPv4 prefixes are the
+    table's own if not said (33 at most, asked of the table); IPv6 prefixes are written out up to their length, and others than ``lengths6`` raise."""
+    found = prefixes.select("family", "length").distinct().collect()  # no more rows than there are prefix lengths
+    if odd := {r.length for r in found if r.family == 6} - set(lengths6):
+        raise ValueError(f"IPv6 prefixes of lengths {sorted(odd)} are in the table, but {lengths6} are matched")
+    lengths4 = lengths4 or tuple(sorted(r.length for r in found if r.family == 4))
     rows = addrs.withColumn("_ip", F.when(F.col("family") == 4, ip4_to_long(F.col("addr"))))
     found = []
     for length in lengths4:

@@ -25,7 +25,7 @@ class Inputs:
         return self._made[name]
 
     def make_merged(self) -> DataFrame:
-        return funnel.two_scans(self.responses)
+        return funnel.two_scans(self.reply_packets)
 
     def make_flags(self) -> DataFrame:
         return funnel.flagged(self.merged, self.mac_registry, self.enterprise_registry)

@@ -98,7 +98,14 @@ def scan_merge(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("scan_merge_join", _MERGED_SQL)
 def scan_merge_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return funnel.two_scans_join(Inputs(spark, sf_dir).responses).select(*MERGED)
+    return funnel.two_scans_join(Inputs(spark, sf_dir).reply_packets).select(*MERGED)
+
+
+@query("reply_collapse", """SELECT r.scan, r.addr, r.engine_id, r.boots, r.engine_time, r.recv_s, p.packets, p.conflict FROM responses r
+    JOIN (SELECT scan, addr, count(*) AS packets, coalesce(min(engine_id) <> max(engine_id), false) AS conflict FROM reply_packets GROUP BY scan, addr) p ON p.scan = r.scan AND p.addr = r.addr""")
+def reply_collapse(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Repeated replies of one scan collapse to the first, which is the reply that the other relations hold."""
+    return funnel.dedup(Inputs(spark, sf_dir).reply_packets)
 
 
 @query("scan_populations", "SELECT family, CASE WHEN in1 AND in2 THEN 'both' WHEN in1 THEN 'only 1' ELSE 'only 2' END AS seen, count(*) AS addresses FROM paired GROUP BY 1, 2")

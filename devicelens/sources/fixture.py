@@ -8,6 +8,8 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
+from devicelens.sources.stored import stored_path
+
 GIVEN = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 SCAN_1, SCAN_2, SCAN_SECONDS, V4_BASE, AS_SPAN = 1704672000, 1705190400, 345600, 335544320, 262144
 #: The public special-purpose IPv4 blocks (first, last, why).
@@ -122,6 +124,13 @@ def _definitions(q: Dialect) -> dict[str, tuple[tuple[str, ...], str]]:
                 ELSE recv_s - CASE WHEN scan = 2 AND rebooted THEN {SCAN_2} - 7200 ELSE boot_epoch END + {jitter} END AS bigint) AS engine_time
         FROM (SELECT r.a, r.scan, r.family, r.addr, r.recv_s, v.engine_id, v.boots, v.boot_epoch, v.rebooted, v.future FROM {{replies_sent}} r JOIN {{device}} v ON v.device = r.answering) x""",
     )
+    # some addresses answer again a little later, a part of them as another device
+    made["reply_packets"] = (
+        ("responses",),
+        f"""SELECT scan, family, addr, addr_key, recv_s, engine_id, boots, engine_time FROM {{responses}}
+        UNION ALL SELECT scan, family, addr, addr_key, recv_s + 1 + {u('addr_key', 'again', 5)}, CASE WHEN {u('addr_key', 'other', 100)} < 30 AND engine_id IS NOT NULL THEN concat(substr(engine_id, 1, 10), 'ffffffff') ELSE engine_id END,
+            boots + {u('addr_key', 'other', 2)}, engine_time + 7 FROM {{responses}} WHERE {u('addr_key', 'repeat', 1000)} < 60""",
+    )
     made["truth"] = (("address", "device"), "SELECT p.a AS addr_key, p.d AS device, p.asn AS asn, v.vendor_no AS vendor_no FROM {address} p JOIN {device} v ON v.device = p.d")
     made["router_tags"] = (
         ("address",),
@@ -199,12 +208,19 @@ def given(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Relations that many queries read, or that cost a join to derive: stored once a session and directory.
+STORED = ("device", "address", "responses", "reply_packets", "truth", "router_tags", "ptr", "ipid_samples", "fragid_samples", "event_replies")
+
+
 def relation(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """A given table or derived relation, lazily."""
+    """A given table or derived relation: stored, or lazily derived."""
     if name in GIVEN:
         return given(spark, sf_dir, name)
     reads, text = _SPARK[name]
-    return spark.sql(text, **{r: relation(spark, sf_dir, r) for r in reads})
+    derived = lambda: spark.sql(text, **{r: relation(spark, sf_dir, r) for r in reads})
+    if name in STORED and (path := stored_path(spark, sf_dir, name, derived)):
+        return spark.read.parquet(path)
+    return derived()
 
 
 def oracle_relations(*names: str) -> str:
