@@ -3,6 +3,6 @@
 
 def load() -> tuple[dict, dict]:
     """All queries and their oracle texts."""
-    from devicelens.plans import deployment, live, methods, registry, surrounding  # noqa: F401
+    from devicelens.plans import deployment, live, methods, registry, surface, surrounding  # noqa: F401
 
     return registry.QUERIES, registry.ORACLE_SQL

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
 from devicelens.functions import codec
+from devicelens.operators import linking
 from devicelens.plans.inputs import Inputs
 from devicelens.plans.registry import query
 
@@ -97,10 +98,10 @@ def join_interval_overlap(spark: SparkSession, sf_dir: str) -> DataFrame:
     return a.join(b, ["user_id", "bin"]).filter((F.col("ea") < F.col("eb")) & (F.abs(F.col("ta") - F.col("tb")) < bin_us)).agg(F.count("*").alias("overlapping"))
 
 
-@query("join_self_pairs", "SELECT m.set_id, m.addr_key AS a, n.addr_key AS b FROM members m JOIN members n ON m.set_id = n.set_id AND m.addr_key < n.addr_key WHERE m.addr_key = m.set_id")
+@query("join_self_pairs", "SELECT m.set_id, m.addr_key AS a, n.addr_key AS b FROM (SELECT *, row_number() OVER (PARTITION BY set_id ORDER BY addr_key) AS k FROM members) m JOIN (SELECT *, row_number() OVER (PARTITION BY set_id ORDER BY addr_key) AS k FROM members) n ON m.set_id = n.set_id AND m.k < n.k WHERE m.k <= 12 AND n.k <= 12")
 def join_self_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every member paired with its set's first: a pair a member, not all pairs."""
-    return Inputs(spark, sf_dir).members.filter("addr_key <> set_id").select("set_id", F.col("set_id").alias("a"), F.col("addr_key").alias("b"))
+    """Pairs of the first 12 addresses of every set."""
+    return linking.capped_pairs(Inputs(spark, sf_dir).members, 12)
 
 
 @query("join_salted", _JOIN)

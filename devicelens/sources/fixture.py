@@ -223,6 +223,15 @@ def relation(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return derived()
 
 
+def stored(spark: SparkSession, sf_dir: str, name: str) -> str:
+    """The folder of a stored relation, for readers of files."""
+    relation(spark, sf_dir, name)
+    path = stored_path(spark, sf_dir, name, lambda: relation(spark, sf_dir, name))
+    if not path:
+        raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+    return path
+
+
 def oracle_relations(*names: str) -> str:
     """The WITH entries (without WITH) that define the relations and what they read, for DuckDB."""
     order: list[str] = []
