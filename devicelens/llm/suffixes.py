@@ -36,7 +36,7 @@ class EnhancedSuffixArray:
             inside = np.flatnonzero(self.room > step)
             behind[inside] = rank[inside + step] + 1
             behind += rank.astype(np.int64) * (n + 1)
-            order = np.argsort(behind, kind="stable")
+            order = np.argsort(behind)
             rank = self._ranked(order, behind)
             if step != _STEPS[-1]:
                 self.ranks.append(rank)
@@ -92,12 +92,20 @@ class EnhancedSuffixArray:
         """(length, positions of all occurrences) of every maximal repeat: an interval of the order whose suffixes share a prefix that
         can't be prolonged to the right for all, and, as the bytes before its occurrences differ, nor to the left."""
         places, lengths = self.stretches(least)
-        breaks = np.flatnonzero(np.diff(places) != 1) + 1
-        for at, shared in zip(np.split(places, breaks), np.split(lengths, breaks)):
-            if len(at):
-                low = int(at[0]) - 1
-                positions = self.order[low : int(at[-1]) + 1]
-                yield from self._scan(positions, shared.tolist(), self.left_of(positions).tolist())
+        if not len(places):
+            return
+        left = self.left_of(self.order)
+        begins = np.flatnonzero(np.append(True, np.diff(places) != 1))
+        ends = np.append(begins[1:], len(places))
+        # a stretch of two suffixes is one interval: most of them can be prolonged to the left and go all at once
+        two = begins[ends - begins == 1]
+        at = places[two]
+        for i in two[(left[at - 1] != left[at]) | (lengths[two] == DEPTH)].tolist():
+            yield int(lengths[i]), self.order[places[i] - 1 : places[i] + 1]
+        more = ends - begins > 1
+        for a, b in zip(begins[more].tolist(), ends[more].tolist()):
+            low, high = int(places[a]) - 1, int(places[b - 1]) + 1
+            yield from self._scan(self.order[low:high], lengths[a:b].tolist(), left[low:high].tolist())
 
     @staticmethod
     def _scan(positions: np.ndarray, shared: list[int], left: list[int]) -> Iterator[tuple[int, np.ndarray]]:
