@@ -44,9 +44,9 @@ def scratch(spark: SparkSession, what: str) -> str:
     return os.path.join(shared_dir(spark), f"{what}-{uuid.uuid4().hex}")
 
 
-def dealt(size: int, block_bytes: int, task_bytes: int) -> tuple[int, int]:
-    """Blocks and shuffle partitions for so many bytes. Several small blocks go to a task, one after another: memory follows a block, and tasks are alike."""
-    return max(1, -(-size // block_bytes)), max(1, -(-size // task_bytes))
+def dealt(size: int, block_bytes: int, range_bytes: int) -> tuple[int, int]:
+    """Blocks of documents, and ranges of keys, for so many bytes of text."""
+    return max(1, -(-size // block_bytes)), max(1, -(-size // range_bytes))
 
 
 def _hashed(k: int) -> int:

@@ -33,13 +33,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .blobs import merge, pack, pack_sorted, slices, unpack, unpack_sorted
-from .common import cut, dealt, portions, text_or_empty
+from .common import cut, dealt, labelled, portions, text_or_empty
 from .components import components
 from .prefix_tree import PERCENT, linked
 from .vectors_of_text import batches_of, mixed, words_by_text
 
 WIDTH, BUCKET = 4, 4_000
-BLOCK_BYTES, TASK_BYTES, RANGE_BYTES = 4 << 20, 12 << 20, 16 << 20
+BLOCK_BYTES, RANGE_BYTES = 4 << 20, 16 << 20
 _SHIFT = np.uint64(16)  # frequencies are counted by the upper 48 bits
 _FACTORS = np.random.default_rng(8).integers(1, 1 << 63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
@@ -81,7 +81,7 @@ def sets_of(docs: DataFrame, width: int = WIDTH, carry: list[str] | None = None)
     return docs.select(F.col("doc_id").cast("long"), *(carry or []), text_or_empty().alias("text")).mapInArrow(classes, schema)
 
 
-def dealt_sets(docs: DataFrame, blocks: int, tasks: int, width: int = WIDTH) -> DataFrame:
+def dealt_sets(docs: DataFrame, blocks: int, width: int = WIDTH) -> DataFrame:
     """block, class and its packed set; a task sends a class once only, so a block gets no more copies than there are tasks."""
 
     def sent(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -95,7 +95,8 @@ def dealt_sets(docs: DataFrame, blocks: int, tasks: int, width: int = WIDTH) ->
                     found[key] = pack_sorted(elements)
             yield pa.RecordBatch.from_arrays([pa.array([int.from_bytes(k[:8], "big") % blocks for k in found], pa.int32()), pa.array(found.keys(), pa.binary()), pa.array(found.values(), pa.binary())], ["block", "class", "elements"])
 
-    return docs.select(text_or_empty().alias("text")).mapInArrow(sent, "block int, class binary, elements binary").repartition(tasks, "block")
+    found = docs.select(text_or_empty().alias("text")).mapInArrow(sent, "block int, class binary, elements binary")
+    return found.withColumn("block", labelled(F.col("block"), blocks)).repartition(blocks, "block")
 
 
 def block_sets(block: pa.Table) -> dict[bytes, np.ndarray]:
@@ -168,9 +169,8 @@ def join_bucket(members: pa.Table, percent: int) -> pa.Table:
 def similar_classes(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, bucket: int = BUCKET, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """a, b: a spanning forest of the links between classes."""
     size = docs.agg(F.sum(F.octet_length(text_or_empty()))).first()[0] or 0  # how much there is decides only how it is dealt
-    blocks, tasks = dealt(size, block_bytes, TASK_BYTES)
-    ranges = dealt(size, RANGE_BYTES, RANGE_BYTES)[0]
-    sets = dealt_sets(docs, blocks, tasks, width)
+    blocks, ranges = dealt(size, block_bytes, RANGE_BYTES)
+    sets = dealt_sets(docs, blocks, width)
     asked = sets.groupBy("block").applyInArrow(lambda b: ask(b, ranges), "part int, block int, keys binary, counts binary")
     answers = asked.groupBy("part").applyInArrow(answer, "part int, block int, counts binary")
     shared = cut(

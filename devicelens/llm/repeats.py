@@ -31,12 +31,12 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .blobs import pack, pack_sorted, slices, unpack, unpack_sorted
-from .common import cut, dealt, text_or_empty
+from .common import cut, dealt, labelled, text_or_empty
 from .suffixes import EnhancedSuffixArray
 from .vectors_of_text import _RANDOM, batches_of, mixed, powers
 
 LEAST, GRAM, HOT = 200, 32, 2_000
-BLOCK_BYTES, TASK_BYTES, RANGE_BYTES, SEGMENT = 4 << 20, 12 << 20, 16 << 20, 1 << 17
+BLOCK_BYTES, RANGE_BYTES, SEGMENT = 4 << 20, 16 << 20, 1 << 17
 FINER = 12  # ranges of suffix arrays for each range of questions: an array takes some 60 bytes for each of its own
 REPEATED, SENT, BUSY = 1, 2, 4  # what an answer says of a run
 _ROW = "kind string, part int, block int, a binary, b binary, c binary, d binary"
@@ -308,9 +308,9 @@ def remove_repeats(docs: DataFrame, least: int = LEAST, hot: int = HOT, block_by
     carry = carry or []
     rows = docs.select("doc_id", *carry, text_or_empty().alias("text"))
     size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0  # how much there is decides only how it is dealt
-    blocks, tasks = dealt(size, block_bytes, TASK_BYTES)
-    ranges = dealt(size, RANGE_BYTES, RANGE_BYTES)[0]
-    parted = rows.withColumn("block", F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(blocks)).cast("int")).repartition(tasks, "block")
+    blocks, ranges = dealt(size, block_bytes, RANGE_BYTES)
+    number = F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(blocks)).cast("int")
+    parted = rows.withColumn("block", labelled(number, blocks)).repartition(blocks, "block")
     asked = parted.groupBy("block").applyInArrow(lambda b: ask(b, ranges, least), _ROW)
     answers = asked.groupBy("part").applyInArrow(lambda a: answer(a, hot), _ROW)
     sorted_out = cut(parted.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(lambda b, a: sort_out(b, a, ranges, least), _ROW))
