@@ -220,7 +220,7 @@ def language_model_scores(docs: DataFrame, folds: int = 10, block_bytes: int = B
     numbered = rows.withColumn("block", F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(blocks)).cast("int"))
     texts = numbered.mapInArrow(lambda b: packed(b, blocks), "block int, documents binary").withColumn("block", labelled(F.col("block"), blocks)).repartition(blocks, "block")
 
-    requests = texts.groupBy("block").applyInArrow(lambda block: ask(block, ranges), REQUEST)
+    requests = texts.groupBy("block").applyInArrow(lambda block: ask(block, ranges), REQUEST).repartition(len(KINDS) * ranges, "kind", "part")  # some range a task, whatever the size
     answers = requests.groupBy("kind", "part").applyInArrow(answer, "kind string, part int, block int, counts binary")
     totals = requests.groupBy("kind", "part").applyInArrow(tokens_counted, "seen long, distinct long").agg(F.struct(F.sum("seen").alias("n"), F.sum("distinct").alias("v")).alias("totals"))
     return texts.groupBy("block").cogroup(answers.withColumn("totals", totals.scalar()).groupBy("block")).applyInArrow(
