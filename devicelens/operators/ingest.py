@@ -38,10 +38,13 @@ def amplification_total(packets: DataFrame, request_bytes: int) -> DataFrame:
 
 
 def targets(addresses: DataFrame, aliased: DataFrame) -> DataFrame:
-    """Routable IPv4 addresses, and IPv6 addresses outside aliased prefixes."""
-    routable = addresses.filter((F.col("family") == 6) | ~in_ranges(F.col("v4"), special_ranges()))
-    prefix = F.when(F.col("family") == 6, F.substring("addr", 1, 14))
-    return routable.join(F.broadcast(aliased), prefix == F.col("prefix"), "left_anti")
+    """Routable IPv4 addresses, and IPv6 addresses outside aliased prefixes (column prefix, written out): one anti join a length of prefix."""
+    left = addresses.filter((F.col("family") == 6) | ~in_ranges(F.col("v4"), special_ranges()))
+    lengths = [r.n for r in aliased.select(F.length("prefix").alias("n")).distinct().collect()]  # no more than an address has characters
+    for n in sorted(lengths):
+        some = aliased.filter(F.length("prefix") == n).select("prefix").distinct()
+        left = left.join(some, F.when(F.col("family") == 6, F.substring("addr", 1, n)) == F.col("prefix"), "left_anti")
+    return left
 
 
 def top_id_spread(replies: DataFrame, k: int) -> DataFrame:

@@ -249,26 +249,6 @@ def names_pages_hosts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.filter("stem <> ''").groupBy("stem").agg(F.count("*").alias("pages"), F.countDistinct("host").alias("hosts"))
 
 
-def _counter_sql(modulus: int) -> str:
-    h = modulus // 2
-    step = f"((ipid - lag(ipid) OVER ({{}}) + {modulus}) % {modulus})"
-    able = f"""(SELECT asn, addr_key, coalesce(sum(step), 0)::BIGINT // greatest(max(t) - min(t), 1) AS velocity FROM (SELECT *, {step.format('PARTITION BY addr_key ORDER BY t, ipid')} AS step FROM ipid_samples) s
-        GROUP BY asn, addr_key HAVING count(*) >= 3 AND coalesce(max(step), 0) < {h})"""
-    return f"""SELECT a, b FROM (SELECT a, b, t, {step.format('PARTITION BY a, b ORDER BY t, ipid, addr_key')} AS step FROM (SELECT p.a, p.b, s.addr_key, s.t, s.ipid FROM (SELECT x.addr_key AS a, y.addr_key AS b FROM {able} x
-        JOIN {able} y ON x.asn = y.asn AND x.velocity = y.velocity AND x.addr_key < y.addr_key) p JOIN ipid_samples s ON s.addr_key = p.a OR s.addr_key = p.b) u) v
-        GROUP BY a, b HAVING coalesce(max(step), 0) < {h} AND coalesce(sum(step), 0) <= (max(t) - min(t) + 1) * 60"""
-
-
-@query("ipid_monotonic_v4", _counter_sql(65536))
-def ipid_monotonic_v4(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return baselines.counter_pairs(Inputs(spark, sf_dir).ipid_samples)
-
-
-@query("fragid_monotonic_v6", _counter_sql(1 << 32))
-def fragid_monotonic_v6(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return baselines.counter_pairs(Inputs(spark, sf_dir).ipid_samples, 1 << 32)
-
-
 def _near_counter_sql(samples: str, modulus: int, max_velocity: int, width: int) -> str:
     h = modulus // 2
     step = f"((ipid - lag(ipid) OVER ({{}}) + {modulus}) % {modulus})"
@@ -279,16 +259,16 @@ def _near_counter_sql(samples: str, modulus: int, max_velocity: int, width: int)
         GROUP BY a, b HAVING coalesce(max(step), 0) < {h} AND coalesce(sum(step), 0) <= (max(t) - min(t) + 1) * {max_velocity}"""
 
 
-@query("ipid_pairs_v4", _near_counter_sql("(SELECT * FROM ipid_samples WHERE addr_key IN (SELECT a FROM address WHERE family = 4))", 65536, 60, 1))
-def ipid_pairs_v4(spark: SparkSession, sf_dir: str) -> DataFrame:
+@query("ipid_monotonic_v4", _near_counter_sql("(SELECT * FROM ipid_samples WHERE addr_key IN (SELECT a FROM address WHERE family = 4))", 65536, 60, 1))
+def ipid_monotonic_v4(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The shared-counter test of IPv4 addresses, velocities at most 1 a unit of time apart."""
     x = Inputs(spark, sf_dir)
     four = x.address.filter("family = 4").select(F.col("a").alias("addr_key"))
     return baselines.counter_pairs(x.ipid_samples.join(four, "addr_key", "left_semi"), width=1)
 
 
-@query("fragid_pairs_v6", _near_counter_sql("fragid_samples", 1 << 32, 1_000_000, 1_000))
-def fragid_pairs_v6(spark: SparkSession, sf_dir: str) -> DataFrame:
+@query("fragid_monotonic_v6", _near_counter_sql("fragid_samples", 1 << 32, 1_000_000, 1_000))
+def fragid_monotonic_v6(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The shared-counter test of IPv6 addresses over 32-bit fragment identifiers, velocities at most 1,000 a unit of time apart."""
     return baselines.counter_pairs(Inputs(spark, sf_dir).fragid_samples, 1 << 32, 1_000_000, width=1_000)
 

@@ -52,7 +52,7 @@ class Inputs:
         return tags.router_sets(self.members, self.router_tags, sources=("topology", "traceroute"))
 
     def make_routers(self) -> DataFrame:
-        return self.vendors.join(self.router_two, "set_id", "left_semi").join(self.set_as, "set_id").join(F.broadcast(self.as_region), "asn")
+        return self.vendors.join(self.router_two, "set_id", "left_semi").join(self.set_as, "set_id").join(self.as_region, "asn")
 
     def make_as_vendor(self) -> DataFrame:
         return netstats.as_vendor(self.routers)

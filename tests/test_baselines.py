@@ -32,7 +32,7 @@ def test_counter_of_varying_speed(spark):
 
 
 def test_ipid_pairs_equal_oracle(spark, duck):  # noqa: F811
-    got = against_oracle(spark, duck, "ipid_pairs_v4")
+    got = against_oracle(spark, duck, "ipid_monotonic_v4")
     from devicelens.plans.inputs import Inputs
 
     four = {r.a for r in Inputs(spark, SF).address.filter("family = 4").select("a").collect()}
@@ -52,7 +52,7 @@ def test_fragid_pairs_equal_oracle(spark, duck):  # noqa: F811
     six = {r.a for r in x.address.filter("family = 6").select("a").collect()}
     assert {r.addr_key for r in x.fragid_samples.select("addr_key").distinct().collect()} <= six
     assert x.fragid_samples.agg({"ipid": "max"}).first()[0] > 1 << 31
-    got = against_oracle(spark, duck, "fragid_pairs_v6")
+    got = against_oracle(spark, duck, "fragid_monotonic_v6")
     assert set(got.a) | set(got.b) <= six
     same = {r.addr_key: r.device for r in x.truth.select("addr_key", "device").collect()}
     assert any(same[r.a] == same[r.b] for r in got.itertuples())

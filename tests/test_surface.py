@@ -75,3 +75,24 @@ def test_prefixes_of_other_lengths(spark):
     assert {(r.addr, r.asn) for r in netstats.lpm(addrs, spark.createDataFrame(prefixes, schema)).collect()} == {("10.1.2.3", 3), ("10.9.9.9", 1)}
     with pytest.raises(ValueError):
         netstats.lpm(addrs, spark.createDataFrame([(6, None, "2001:0db8::", 32, 1)], schema))
+
+
+def plan_of(spark, key):
+    return load()[0][key](spark, SF)._jdf.queryExecution().executedPlan().toString()
+
+
+@pytest.mark.parametrize(
+    "key, there, absent",
+    [
+        ("topk_heap", "TakeOrderedAndProject", "Sort ["), ("agg_sort", "SortAggregate", "ObjectHashAggregate"), ("agg_hash", "HashAggregate", "SortAggregate"), ("join_broadcast_hash", "BroadcastHashJoin", "SortMergeJoin"),
+        ("join_sort_merge", "SortMergeJoin", "BroadcastHashJoin"), ("join_shuffle_hash", "ShuffledHashJoin", "SortMergeJoin"), ("sort_global", "rangepartitioning", "SinglePartition"), ("scan_parquet_pruned", "PushedFilters: [IsNotNull(o_totalprice)", "Exchange"),
+    ],
+)
+def test_plans_of_operators(spark, key, there, absent):
+    plan = spark.sparkContext._jvm.PythonSQLUtils.explainString(load()[0][key](spark, SF)._jdf.queryExecution(), "formatted") if key == "scan_parquet_pruned" else plan_of(spark, key)
+    assert there in plan and absent not in plan
+
+
+def test_pair_accuracy_reads_few_tables(spark):
+    plan = plan_of(spark, "pairwise_accuracy")
+    assert plan.count("FileScan") <= 8
