@@ -1,7 +1,5 @@
 """Results of streams stay with the executors."""
 
-from pyspark.sql import functions as F
-
 from devicelens.streaming import live
 
 SF = "/root/testdata/sf0.001"
@@ -12,3 +10,9 @@ def test_appended_rows_are_in_files(spark):
     assert got.inputFiles() and got.count() == spark.read.parquet(f"{SF}/events.parquet").count()
     none = live.final_state(live.events(spark, SF).filter("event_id < 0").select("event_id"), "append")
     assert none.columns == ["event_id"] and none.count() == 0
+
+
+def test_complete_results_are_in_files(spark):
+    got = live.final_state(live.counts(live.events(spark, SF)), "complete")
+    want = spark.read.parquet(f"{SF}/events.parquet").groupBy("user_id").count()
+    assert got.inputFiles() and {tuple(r) for r in got.collect()} == {tuple(r) for r in want.collect()}
