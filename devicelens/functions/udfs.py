@@ -14,6 +14,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.window import Window as W
 
 from devicelens.functions.codec import AGENT_ENTERPRISE, FORMATS
 
@@ -70,21 +71,67 @@ class ExpandPrefix:
             yield (".".join(str(x >> s & 255) for s in (24, 16, 8, 0)),)
 
 
-def counter_test(pairs: DataFrame, modulus: int, max_velocity: int) -> DataFrame:
-    """The shared-counter test over samples (a, b, addr_key, t, ipid) of pairs: whether those of a pair rise as one counter. A group holds the
-    pairs of one first address."""
-
-    def of_first(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values(["b", "t", "ipid", "addr_key"])
-        b, t = rows.b.to_numpy(), rows.t.to_numpy()
-        step = np.diff(rows.ipid.to_numpy(), prepend=0) % modulus
-        begin = np.flatnonzero(np.append(True, b[1:] != b[:-1]))
+def counter_test(able: DataFrame, samples: DataFrame, modulus: int, max_velocity: int, width: int, whole: int = 2000, part: int = 1000) -> DataFrame:
+    """a < b of one network that have velocities at most ``width`` apart and whose samples (addr_key, t, ipid) rise as one counter; ``able`` as
+    ``baselines.velocities`` gives it. Pairs are made within a group, never as rows of samples: a network of at most ``whole`` addresses is a group;
+    a larger one has a group a bucket of velocity, to which those of the bucket below come as guests; and where more than ``part`` stand in such a
+    bucket it is dealt into parts, a group for every two of them."""
+
+    def merged(t, ipid, start, size, i, j):
+        """Whether the samples of pairs, in order of time, are one counter."""
+        ids, number = np.concatenate([i, j]), np.concatenate([np.arange(len(i))] * 2)
+        n = size[ids]
+        at = np.repeat(start[ids] - (np.cumsum(n) - n), n) + np.arange(n.sum())
+        number = np.repeat(number, n)
+        order = np.lexsort((ipid[at], t[at], number))
+        at, number = at[order], number[order]
+        step = np.diff(ipid[at], prepend=0) % modulus
+        begin = np.flatnonzero(np.append(True, number[1:] != number[:-1]))
         step[begin] = 0
-        span = t[np.append(begin[1:], len(t)) - 1] - t[begin]
-        same = (np.maximum.reduceat(step, begin) < modulus // 2) & (np.add.reduceat(step, begin) <= (span + 1) * max_velocity)
-        return pd.DataFrame({"a": rows.a.iloc[0], "b": b[begin], "same": same})
-
-    return pairs.groupBy("a").applyInPandas(of_first, "a long, b long, same boolean")
+        span = t[at[np.append(begin[1:], len(at)) - 1]] - t[at[begin]]
+        return (np.maximum.reduceat(step, begin) < modulus // 2) & (np.add.reduceat(step, begin) <= (span + 1) * max_velocity)
+
+    def of_group(rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values("addr_key")
+        key, moved, t0, t1 = (rows[c].to_numpy() for c in ("addr_key", "moved", "t0", "t1"))
+        guest, own = rows.guest.to_numpy(), rows.own.to_numpy()
+        crossing = bool(rows.lo.iloc[0] != rows.hi.iloc[0])
+        t, ipid = (np.concatenate(rows[c].to_numpy()) for c in ("t", "ipid"))
+        size = rows.t.map(len).to_numpy()
+        start = np.cumsum(size) - size
+        first, last, span = ipid[start], ipid[start + size - 1], np.maximum(t1 - t0, 1)
+        found, rows_at_once = [], max(1, (1 << 20) // len(key))
+        for low in range(0, len(key), rows_at_once):
+            i = np.arange(low, min(low + rows_at_once, len(key)))[:, None]
+            near = np.abs(moved[i] * span - moved * span[i]) <= width * span[i] * span
+            near &= (i < np.arange(len(key))) & ~(guest[i] & guest)
+            if crossing:
+                near &= own[i] != own
+            i, j = np.nonzero(near)
+            i += low
+            # of two addresses of which one was seen before the other only the step between them is new
+            before, after = t1[i] < t0[j], t1[j] < t0[i]
+            apart = before | after
+            f, s = np.where(before, i, j), np.where(before, j, i)
+            step = (first[s] - last[f]) % modulus
+            same = apart & (step < modulus // 2) & (moved[f] + moved[s] + step <= (t1[s] - t0[f] + 1) * max_velocity)
+            rest = np.flatnonzero(~apart)
+            if len(rest):
+                same[rest] = merged(t, ipid, start, size, i[rest], j[rest])
+            found.append(np.stack([key[i[same]], key[j[same]]]))
+        a, b = np.concatenate(found, axis=1)
+        return pd.DataFrame({"a": a, "b": b})
+
+    per = samples.groupBy("addr_key").agg(F.array_sort(F.collect_list(F.struct("t", "ipid"))).alias("x")).select("addr_key", F.col("x.t").alias("t"), F.col("x.ipid").alias("ipid"))
+    many = F.count("*").over(W.partitionBy("asn")) > whole
+    home = F.when(many, F.expr(f"velocity div {width}")).otherwise(F.lit(0))
+    rows = able.filter("rising").select("asn", "addr_key", "moved", "t0", "t1", many.alias("many"), home.alias("home"), F.when(many, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0))).alias("up"))
+    rows = rows.withColumn("up", F.explode("up")).withColumn("bucket", F.col("home") + F.col("up")).withColumn("guest", F.col("up") == 1)
+    parts = F.when(F.col("many"), F.ceil(F.col("n") / part)).otherwise(F.lit(1))
+    rows = rows.withColumn("n", F.count("*").over(W.partitionBy("asn", "bucket"))).withColumn("parts", parts).withColumn("own", F.pmod(F.xxhash64("addr_key"), F.col("parts")))
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)))
+    rows = rows.withColumn("lo", F.least("own", "other")).withColumn("hi", F.greatest("own", "other")).drop("many", "home", "up", "n", "parts", "other")
+    return rows.join(per, "addr_key").groupBy("asn", "bucket", "lo", "hi").applyInPandas(of_group, "a long, b long")
 
 
 #: SQL functions that Catalyst puts in place of their calls.

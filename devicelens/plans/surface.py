@@ -62,8 +62,7 @@ def fragid_sets_v6_computed(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("grouped_map_pair_test", _V4)
 def grouped_map_pair_test(spark: SparkSession, sf_dir: str) -> DataFrame:
     samples = _four(Inputs(spark, sf_dir))
-    pairs = linking.exploded(baselines.similar_velocity(baselines.velocities(samples, 65536, 3).filter("rising"), 1), samples)
-    return udfs.counter_test(pairs, 65536, 60).filter("same").select("a", "b")
+    return udfs.counter_test(baselines.velocities(samples, 65536, 3), samples, 65536, 60, 1)
 
 
 @query("tests_per_target", """SELECT 'one probe' AS method, count(*) AS targets, 1 AS tests_per_target, count(*) AS tests FROM address WHERE family = 4
