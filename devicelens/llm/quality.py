@@ -14,6 +14,7 @@ features, is smaller. Rows that repeat are scored each. Only texts are inputs of
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 
 import numpy as np
@@ -102,17 +103,24 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPL
     return docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.min("label").alias("label")).select("text", "label")
 
 
+def fitted(sample: pa.Table) -> pa.Table:
+    """The model of the counts and labels of a sample, as bytes."""
+    sample = sample.sort_by([("label", "ascending"), ("counts", "ascending")])
+    counts = np.array([np.frombuffer(x.as_py(), np.uint16) for x in sample.column("counts")], np.uint16).reshape(-1, BINS)
+    return pa.table({"model": pa.array([pickle.dumps(VotingModel(counts, np.array(sample.column("label").to_pylist(), np.float64)))], pa.binary())})
+
+
 def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> VotingModel:
-    """A model from a bounded sample; only its bins' counts come to the driver."""
+    """A model from a bounded sample, whose bins' counts meet in one task; only the model comes to the driver."""
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in portions(batches, 0):
             counts = [np.minimum(trigram_counts((t or "").encode()), 65_535).astype(np.uint16).tobytes() for t in batch.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array(counts, pa.binary()), batch.column(1)], ["counts", "label"])
 
-    got = labelled_sample(docs, labels, sample_rows).mapInArrow(features, "counts binary, label int").toArrow().sort_by([("label", "ascending"), ("counts", "ascending")])
-    counts = np.array([np.frombuffer(x.as_py(), np.uint16) for x in got.column("counts")], np.uint16).reshape(-1, BINS)
-    return VotingModel(counts, np.array(got.column("label").to_pylist(), np.float64))
+    sample = labelled_sample(docs, labels, sample_rows).mapInArrow(features, "counts binary, label int")
+    model = sample.withColumn("task", F.lit(0)).groupBy("task").applyInArrow(fitted, "model binary").first()
+    return pickle.loads(model[0]) if model else VotingModel(np.zeros((0, BINS), np.uint16), np.zeros(0))
 
 
 def quality_scores(docs: DataFrame, model: VotingModel, threshold: float = THRESHOLD, keep: list[str] | None = None) -> DataFrame:

@@ -106,6 +106,24 @@ def test_warc(spark, tmp_path):
     assert archived(pages.filter("false"), str(tmp_path / "b")).count() == 0
 
 
+def test_quality_model_is_made_by_a_task(spark, monkeypatch):
+    from devicelens.llm import quality
+
+    texts = [f"{'plain' if i % 2 else 'spam'} words {i} of a text {i * i}" for i in range(1, 41)]
+    docs = spark.createDataFrame(list(enumerate(texts, 1)), "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(1, 41)], "doc_id long, quality int")
+    rows = sorted((r.label, np.array(quality.trigram_counts(r.text.encode()), np.uint16).tobytes()) for r in quality.labelled_sample(docs, labels).collect())
+    want = quality.VotingModel(np.array([np.frombuffer(x, np.uint16) for _, x in rows]), np.array([x for x, _ in rows], float))
+
+    def refused(*_):
+        raise AssertionError("the sample came to the driver")
+
+    monkeypatch.setattr(quality, "leading_axes", refused)
+    got = quality.fit(docs, labels)
+    assert len(rows) > 20 and got.labels.tolist() == want.labels.tolist() and got.share == want.share
+    assert np.array_equal(got.weight, want.weight) and np.allclose(got.vectors @ got.vectors.T, want.vectors @ want.vectors.T, atol=1e-5)
+
+
 def test_quality_votes_by_brute_force(spark, odd):
     from devicelens.llm.quality import BINS, NEIGHBOURS, POWER, PRIOR, fit, quality_scores, trigram_counts
 
