@@ -260,7 +260,8 @@ def sort_within_partitions(spark: SparkSession, sf_dir: str) -> DataFrame:
 def st_scan_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = stored(spark, sf_dir, "responses")
     of = lambda k: live.stored_stream(spark, path, "recv_s", "1 day").filter(F.col("scan") == k)
-    return live.final_state(live.scan_join(of(1), of(2)), "append")
+    with live.state_on_disk(spark):
+        return live.final_state(live.scan_join(of(1), of(2)), "append")
 
 
 @query("join_stream_stream", "SELECT c.event_id AS click, p.event_id AS purchase FROM events c JOIN events p ON c.user_id = p.user_id AND c.event_type = 'click' AND p.event_type = 'purchase' AND p.ts BETWEEN c.ts AND c.ts + INTERVAL 1 HOUR")
